@@ -31,6 +31,12 @@ def op4_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_duplicates(_table(spark, sf_dir, "documents"))
 
 
+def op5_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .substring import repeated_substrings
+
+    return repeated_substrings(_table(spark, sf_dir, "documents"), window=35)
+
+
 def op10_minhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .minhash import near_duplicates
 
@@ -42,7 +48,7 @@ def queries() -> dict[str, Query]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op1_benchmark_decontamination": OP1, "op4_exact_dedup": OP4}
+    return {"op1_benchmark_decontamination": OP1, "op4_exact_dedup": OP4, "op5_substring_dedup": OP5}
 
 
 _WORDS = r"regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+')"
@@ -64,6 +70,19 @@ SELECT d.doc_id, CAST(len(w) AS BIGINT) AS n_words, CAST(coalesce(n_hit, 0) AS B
 FROM d LEFT JOIN h USING (doc_id) LEFT JOIN n USING (doc_id)
 """
 
+OP5 = r"""
+WITH d AS (SELECT doc_id, regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+') AS w FROM documents),
+     g AS (SELECT doc_id, k, md5(array_to_string(w[k : k + 34], ' ')) AS h
+           FROM (SELECT doc_id, w, unnest(range(1, len(w) - 33)) AS k FROM d WHERE len(w) >= 35)),
+     r AS (SELECT doc_id, k FROM g WHERE h IN (SELECT h FROM g GROUP BY h HAVING count(*) > 1)),
+     x AS (SELECT doc_id, list(DISTINCT p) AS gone FROM (SELECT doc_id, unnest(range(k, k + 35)) AS p FROM r) GROUP BY 1),
+     t AS (SELECT doc_id, w, unnest(range(1, len(w) + 1)) AS p FROM d),
+     k AS (SELECT t.doc_id, string_agg(t.w[t.p], ' ' ORDER BY t.p) AS kept, count(*) AS n
+           FROM t LEFT JOIN (SELECT doc_id, unnest(gone) AS p FROM x) y ON t.doc_id = y.doc_id AND t.p = y.p WHERE y.p IS NULL GROUP BY 1)
+SELECT d.doc_id, CAST(len(w) AS BIGINT) AS n_words, CAST(len(w) - coalesce(n, 0) AS BIGINT) AS n_removed, sha256(coalesce(kept, '')) AS kept_sha256
+FROM d LEFT JOIN k USING (doc_id)
+"""
+
 _NORMALISED = "replace(replace(replace(replace(replace(replace(coalesce(text, ''), ' ', ''), chr(9), ''), chr(10), ''), chr(11), ''), chr(12), ''), chr(13), '')"
 
 OP4 = f"""
