@@ -37,6 +37,12 @@ def op5_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return repeated_substrings(_table(spark, sf_dir, "documents"), window=35)
 
 
+def op7_language_model(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .lm import language_model_scores
+
+    return language_model_scores(_table(spark, sf_dir, "documents"))
+
+
 def op10_minhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .minhash import near_duplicates
 
