@@ -30,8 +30,10 @@ SPACE = 1 << 20
 BANDS, ROWS = 40, 5
 BITS = 256
 #: Least agreeing sketch bits.  At similarity 0.8 a pair agrees on 230 +- 5 of 256.
-AGREE = 196
+AGREE = 205
 _SEED = 11
+#: Stars drawn in every bucket at most before the pairs across its components are compared.
+ROUNDS = 8
 
 
 def shingle_sets(hashes: np.ndarray, offsets: np.ndarray, size: int) -> tuple[np.ndarray, np.ndarray]:
@@ -121,8 +123,41 @@ def _confirm(percent: int):
     return run
 
 
-def _agree(a: str, b: str) -> Column:
-    return sum((BITS // 4 - F.bit_count(F.col(f"{a}.s{k}").bitwiseXOR(F.col(f"{b}.s{k}"))) for k in range(4)), F.lit(0))
+def _possible(a: str, b: str, percent: int) -> Column:
+    """Whether set sizes and sketches leave two nodes a chance."""
+    fits = (F.col(f"{a}.n") * 100 >= F.col(f"{b}.n") * percent) & (F.col(f"{b}.n") * 100 >= F.col(f"{a}.n") * percent)
+    bits = sum((BITS // 4 - F.bit_count(F.col(f"{a}.s{k}").bitwiseXOR(F.col(f"{b}.s{k}"))) for k in range(4)), F.lit(0))
+    return fits & (bits >= AGREE)
+
+
+class _Sets:
+    """Full shingle sets of the texts that pairs have asked for so far, each made once."""
+
+    def __init__(self, texts: DataFrame, scratch: Scratch, size: int, fold: bool):
+        self.texts, self.scratch, self.run, self.have = texts, scratch, _sets(size, fold), None
+
+    def of(self, pairs: DataFrame, name: str) -> DataFrame:
+        wanted = pairs.select(F.col("a").alias("id")).union(pairs.select(F.col("b").alias("id"))).distinct()
+        if self.have is not None:
+            wanted = wanted.join(self.have.select("id"), "id", "left_anti")
+        wanted = self.scratch.save(wanted, f"{name}-wanted")
+        if self.have is None or not wanted.isEmpty():
+            few = wanted.hint("shuffle_hash") if _large(wanted) else wanted
+            more = self.texts.join(few, "id").mapInArrow(self.run, "id long, set binary").dropDuplicates(["id"])
+            more = self.scratch.save(more, f"{name}-sets")
+            self.have = more if self.have is None else self.have.union(more)
+        return self.have
+
+
+def _relabel(label: DataFrame, links: DataFrame, scratch: Scratch, turn: int) -> DataFrame:
+    """Labels after more links: components of the graph between the components so far."""
+    for end in ("a", "b"):
+        links = links.join(label.select(F.col("node").alias(end), F.col("component").alias(f"of_{end}")), end, "left").withColumn(end, F.coalesce(f"of_{end}", end)).drop(f"of_{end}")
+    over = scratch.save(connected_components(links, scratch, f"over-{turn}"), f"over-{turn}")
+    moved = label.join(over.select(F.col("node").alias("component"), F.col("component").alias("to")), "component", "left")
+    moved = moved.select("node", F.coalesce("to", "component").alias("component"))
+    fresh = over.join(label.select("node"), "node", "left_anti")
+    return scratch.save(moved.union(fresh), f"label-{turn}")
 
 
 def near_duplicates(docs: DataFrame, shingle: int = 2, percent: int = 80, fold: bool = True, scratch: Scratch | None = None) -> DataFrame:
@@ -153,45 +188,43 @@ def near_duplicates(docs: DataFrame, shingle: int = 2, percent: int = 80, fold:
     shared = rows.groupBy("key").agg(F.min("node").alias("lead"), F.max("node").alias("last")).where("lead < last")
     members = scratch.save(rows.join(shared.select("key", "lead"), "key"), "members")
     sketches = nodes.select("id", "n", "s0", "s1", "s2", "s3")
+    sets = _Sets(texts, scratch, shingle, fold)
 
-    def close(pairs: DataFrame) -> DataFrame:
-        """Pairs (a, b) that sketches and set sizes leave possible."""
-        fits = F.col("l.n") * 100 >= F.col("r.n") * percent
-        fits &= F.col("r.n") * 100 >= F.col("l.n") * percent
+    def confirmed(pairs: DataFrame, name: str) -> DataFrame:
+        """Those of the pairs (a, b) that sketches and set sizes leave possible and the sets confirm."""
         pairs = pairs.join(sketches.alias("l"), F.col("a") == F.col("l.id")).join(sketches.alias("r"), F.col("b") == F.col("r.id"))
-        return pairs.where(fits & (_agree("l", "r") >= AGREE)).select("a", "b").distinct()
-
-    def confirmed(pairs: DataFrame, label: str) -> DataFrame:
-        pairs = scratch.save(pairs, f"{label}-pairs")
-        wanted = scratch.save(pairs.select(F.col("a").alias("id")).union(pairs.select(F.col("b").alias("id"))).distinct(), f"{label}-wanted")
-        sets = texts.join(wanted.hint("shuffle_hash") if _large(wanted) else wanted, "id").mapInArrow(_sets(shingle, fold), "id long, set binary")
-        sets = scratch.save(sets, f"{label}-sets").dropDuplicates(["id"])
-        both = pairs.join(sets.withColumnRenamed("id", "a").withColumnRenamed("set", "x"), "a")
-        both = both.join(sets.withColumnRenamed("id", "b").withColumnRenamed("set", "y"), "b").select("a", "b", "x", "y")
-        out = scratch.save(both.mapInArrow(_confirm(percent), "a long, b long"), f"{label}-links")
-        scratch.drop(f"{label}-sets")
-        return out
+        pairs = scratch.save(pairs.where(_possible("l", "r", percent)).select("a", "b").distinct(), f"{name}-pairs")
+        known = sets.of(pairs, name)
+        both = pairs.join(known.withColumnRenamed("id", "a").withColumnRenamed("set", "x"), "a")
+        both = both.join(known.withColumnRenamed("id", "b").withColumnRenamed("set", "y"), "b").select("a", "b", "x", "y")
+        return scratch.save(both.mapInArrow(_confirm(percent), "a long, b long"), f"{name}-links")
 
     stars = members.where("node > lead").select(F.col("lead").alias("a"), F.col("node").alias("b")).distinct()
-    links = confirmed(close(stars), "star")
-    label = connected_components(links, scratch, "star")
-    label = scratch.save(label, "star-label")
-
-    # What the stars left open: pairs of one bucket whose components differ, one of them not the bucket's first.
-    placed = members.join(label, "node", "left").select("key", "node", "lead", F.coalesce("component", "node").alias("component"))
-    mixed = placed.groupBy("key").agg(F.min("component").alias("low"), F.max("component").alias("high"), F.count(F.lit(1)).alias("size"))
-    mixed = mixed.where("low < high and size > 2").select("key", "low")
-    open_rows = placed.join(mixed, "key").join(sketches.withColumnRenamed("id", "node"), "node")
-    open_rows = scratch.save(open_rows, "open")
-    left = open_rows.where("component <> low").alias("l")
-    right = open_rows.alias("r")
-    differ = (F.col("l.key") == F.col("r.key")) & (F.col("l.component") != F.col("r.component")) & (F.col("l.node") != F.col("l.lead")) & (F.col("r.node") != F.col("l.lead"))
+    label = scratch.save(connected_components(confirmed(stars, "star"), scratch, "star"), "label-0")
+    size, turn = members.count(), 0
+    while True:
+        # Buckets that still hold several components, and how many pairs across these they have at most.
+        placed = members.join(label, "node", "left").select("key", "node", F.coalesce("component", "node").alias("component"))
+        low = placed.groupBy("key").agg(F.min("component").alias("low"), F.max("component").alias("high")).where("low < high").select("key", "low")
+        placed = scratch.save(placed.join(low, "key"), f"open-{turn}")
+        count = placed.groupBy("key").agg(F.count(F.lit(1)).alias("m"), F.sum((F.col("component") > F.col("low")).cast("long")).alias("others"))
+        across = count.where("m > 2").agg(F.coalesce(F.sum(F.col("m") * F.col("others")), F.lit(0))).first()[0]
+        if across <= 2 * size or turn == ROUNDS:
+            break
+        turn += 1
+        # Another star for each: from a member chosen by hash to all members of other components.
+        first = F.min(F.struct(F.xxhash64("node", F.lit(turn)), F.col("node").alias("node"), F.col("component").alias("own"))).alias("first")
+        rays = placed.join(placed.groupBy("key").agg(first), "key").where(F.col("component") != F.col("first.own"))
+        rays = rays.select(F.least("node", "first.node").alias("a"), F.greatest("node", "first.node").alias("b")).distinct()
+        label = _relabel(label, confirmed(rays, f"round-{turn}"), scratch, turn)
+    sketch = placed.join(sketches.withColumnRenamed("id", "node"), "node")
+    sketch = scratch.save(sketch, "across")
+    left, right = sketch.where("component > low").alias("l"), sketch.alias("r")
+    differ = (F.col("l.key") == F.col("r.key")) & (F.col("l.component") != F.col("r.component"))
     once = (F.col("r.component") == F.col("r.low")) | (F.col("l.node") < F.col("r.node"))
-    fits = (F.col("l.n") * 100 >= F.col("r.n") * percent) & (F.col("r.n") * 100 >= F.col("l.n") * percent)
-    pairs = left.join(right, differ & once & fits & (_agree("l", "r") >= AGREE)).select(F.least("l.node", "r.node").alias("a"), F.greatest("l.node", "r.node").alias("b")).distinct()
-    more = confirmed(pairs, "open")
-    joined = links.select("a", "b").union(more.select("a", "b"))
-    label = connected_components(joined, scratch, "all")
+    pairs = left.join(right, differ & once & _possible("l", "r", percent))
+    pairs = pairs.select(F.least("l.node", "r.node").alias("a"), F.greatest("l.node", "r.node").alias("b")).distinct()
+    label = _relabel(label, confirmed(pairs, "across"), scratch, turn + 1)
 
     placed = same.join(label, "node", "left").select("f1", "f2", F.coalesce("component", "node").alias("component_id"))
     ids = profiles.select(F.col("id").alias("doc_id"), "n", "f1", "f2")
