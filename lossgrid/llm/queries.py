@@ -43,6 +43,12 @@ def op5_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return repeated_substrings(_table(spark, sf_dir, "documents"), window=35)
 
 
+def op6_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .lines import line_report, similar_lines
+
+    return line_report(similar_lines(_table(spark, sf_dir, "documents"), percent=80))
+
+
 def op7_language_model(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .lm import language_model_scores
 
