@@ -126,3 +126,27 @@ def exact_duplicates(docs: DataFrame, index: DigestIndex | None = None) -> DataF
         same = same.join(old, "text_sha256", "left").select(*cols, (F.col("kept") & F.col("old").isNull()).alias("kept"))
     out = same.unionByName(rest.select(*cols, F.lit(False).alias("kept")))
     return out.select("doc_id", "keep_id", "group_size", "kept", "text_sha256")
+
+
+def keep_first(docs: DataFrame) -> DataFrame:
+    """Rows of ``docs``, all columns, without exact copies: see :func:`exact_duplicates`.
+
+    Of rows that repeat the doc_id and text of a row that stays, one stays.
+    """
+    scratch = Scratch(docs.sparkSession, "first")
+    found = scratch.save(exact_duplicates(docs), "decisions")
+    rows = found.groupBy("doc_id", "text_sha256").agg(F.count(F.lit(1)).alias("n"), F.max("kept").alias("kept"))
+    gone = rows.where("not kept").select(F.col("doc_id").alias("__id"), F.col("text_sha256").alias("__sha"))
+    again = rows.where("kept and n > 1").select(F.col("doc_id").alias("__id"), F.col("text_sha256").alias("__sha"))
+    same = docs["doc_id"].cast("long").eqNullSafe(F.col("__id")) & (digest(docs["text"]) == F.col("__sha"))
+    kept = docs.join(gone.hint("shuffle_hash"), same, "left_anti")
+    if again.isEmpty():
+        return kept
+    same = kept["doc_id"].cast("long").eqNullSafe(F.col("__id")) & (digest(kept["text"]) == F.col("__sha"))
+    once = kept.join(again.hint("shuffle_hash"), same, "left_anti")
+    more = kept.join(again.hint("shuffle_hash"), same, "left_semi")
+    size = F.coalesce(F.length("text"), F.lit(0))
+    more = more.withColumns({"__sha": digest(F.col("text")), "__size": size})
+    columns = [c for c in docs.columns]
+    best = more.groupBy("doc_id", "__sha").agg(F.max(F.struct("__size", *[F.struct(F.col(c)).alias(f"v{k}") for k, c in enumerate(columns)])).alias("__best"))
+    return once.unionByName(best.select(*[F.col(f"__best.v{k}.{c}").alias(c) for k, c in enumerate(columns)]))

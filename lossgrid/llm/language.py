@@ -156,13 +156,13 @@ def _predict(shared):
     return run
 
 
-def predictor(spark, table: pd.DataFrame):
-    """What ``mapInArrow`` runs over (key, anything, text) to add lang_pred and score."""
+def shared_profiles(spark, table: pd.DataFrame):
+    """Languages, their n-grams and each one's places, for the tasks."""
     names = sorted(table["lang"].unique())
     vocabulary = np.unique(table["gram"].to_numpy(np.int64)).astype(np.uint64)
     places = np.full((len(vocabulary), len(names)), -1, np.int32)
     places[np.searchsorted(vocabulary, table["gram"].to_numpy(np.int64).astype(np.uint64)), [names.index(x) for x in table["lang"]]] = table["rank"].to_numpy()
-    return _predict(spark.sparkContext.broadcast((names, vocabulary, places)))
+    return spark.sparkContext.broadcast((names, vocabulary, places))
 
 
 def identify(docs: DataFrame, folds: int = 3, held: int = 1, sample: int = SAMPLE) -> DataFrame:
@@ -180,4 +180,35 @@ def identify(docs: DataFrame, folds: int = 3, held: int = 1, sample: int = SAMPL
     out = F.coalesce(remainder(F.col("doc_id"), folds) == held, F.lit(False))
     table = profiles(docs.where(~out).select("doc_id", "lang", "text"), sample)
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), out.alias("held_out"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
-    return rows.mapInArrow(predictor(docs.sparkSession, table), "doc_id long, held_out boolean, lang_pred string, score double")
+    return rows.mapInArrow(_predict(shared_profiles(docs.sparkSession, table)), "doc_id long, held_out boolean, lang_pred string, score double")
+
+
+def _keep(shared, least: float):
+    predict = _predict(shared)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            text = batch.column(batch.schema.get_field_index(_TEXT))
+            place = pa.array(range(batch.num_rows), pa.int64())
+            found = pa.Table.from_batches(predict(iter([pa.RecordBatch.from_arrays([place, place, text], ["doc_id", "held_out", "text"])]))).to_pandas()
+            keep = ((found["lang_pred"] != UNKNOWN) & (found["score"] >= least)).to_numpy()
+            yield batch.drop_columns([_TEXT]).filter(pa.array(keep))
+
+    return run
+
+
+_TEXT = "__text_to_identify"
+
+
+def keep_identified(docs: DataFrame, least: float, sample: int = SAMPLE) -> DataFrame:
+    """Rows of ``docs``, all columns, whose text is in one of the languages of its column lang.
+
+    Rejected are null texts, texts without a letter, and texts whose score is under ``least``.
+    All labelled rows may be learned from; if none is labelled, every text is rejected.
+    """
+    table = profiles(docs.select("doc_id", "lang", "text"), sample)
+    shared = shared_profiles(docs.sparkSession, table)
+    rows = docs.withColumn(_TEXT, F.coalesce(F.col("text").cast("string"), F.lit("")))
+    return rows.mapInArrow(_keep(shared, least), docs.schema)

@@ -6,6 +6,9 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+#: Vocabulary of a public tokenizer.
+TOKENIZER = "/opt/tokenizers/piece_bpe_32k.model"
+
 Query = Callable[[SparkSession, str], DataFrame]
 
 
@@ -55,6 +58,12 @@ def op7_language_model(spark: SparkSession, sf_dir: str) -> DataFrame:
     return language_model_scores(_table(spark, sf_dir, "documents"))
 
 
+def op8_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .tokens import token_counts, zipf_scores
+
+    return token_counts(_table(spark, sf_dir, "documents"), zipf_scores(TOKENIZER))
+
+
 def op9_html_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .html import main_text
 

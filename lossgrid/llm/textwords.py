@@ -139,3 +139,23 @@ class Words:
                 hashes, starts, _ = self._block(part)
                 yield i, j, hashes, np.searchsorted(starts, off[i : j + 1] - off[i])
             i = j
+
+    def pieces(self, column: pa.Array, most: int = BLOCK) -> Iterator[tuple[int, np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
+        """(first text, bytes, hashes, starts, ends, offsets of each text in these); a text longer than
+        ``most`` comes in several pieces, cut at delimiters, with its own number each time."""
+        data, off = buffers(column)
+        i, n = 0, len(off) - 1
+        while i < n:
+            j = max(i + 1, int(np.searchsorted(off, off[i] + most, "right")) - 1)
+            lo, end = int(off[i]), int(off[j])
+            while lo < end:
+                hi = end
+                if j == i + 1 and end - lo > most:
+                    back = np.flatnonzero(self.gap[data[lo : lo + most]])
+                    hi = lo + int(back[-1]) + 1 if len(back) else lo + most + int(np.argmax(self.gap[data[lo + most : end]])) + 1
+                part = data[lo:hi]
+                hashes, starts, ends = self._block(part)
+                bounds = np.array([0, len(hashes)]) if j == i + 1 else np.searchsorted(starts, off[i : j + 1] - off[i])
+                yield i, part, hashes, starts, ends, bounds
+                lo = hi
+            i = j
