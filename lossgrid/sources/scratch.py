@@ -13,7 +13,6 @@ import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
 _local: dict[str, str] = {}
 
@@ -45,14 +44,3 @@ class Scratch:
         jvm = self.spark._jvm
         path = jvm.org.apache.hadoop.fs.Path(self.path(name))
         path.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(path, True)
-
-
-
-    @staticmethod
-    def without(docs: DataFrame, gone: DataFrame) -> DataFrame:
-        """``docs`` without the rows whose doc_id is in ``gone`` (a column doc_id); null ids stay.
-
-        The ids are hashed beside the documents, which are not sorted.
-        """
-        ids = gone.where("doc_id is not null").select(F.col("doc_id").alias("__gone")).distinct()
-        return docs.join(ids.hint("shuffle_hash"), docs["doc_id"] == F.col("__gone"), "left_anti")
