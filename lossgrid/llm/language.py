@@ -128,7 +128,7 @@ def profiles(labelled: DataFrame, sample: int = SAMPLE) -> pd.DataFrame:
     texts = labelled.join(F.broadcast(picked.distinct()), (F.col("doc_id") == F.col("picked")) & (F.col("lang") == F.col("of"))).select(F.col("of").alias("lang"), F.coalesce("text", F.lit("")).alias("text"))
     counts = texts.mapInArrow(_sample_counts, "lang string, gram long, n long").groupBy("lang", "gram").agg(F.sum("n").alias("n"))
     order = Window.partitionBy("lang").orderBy(F.col("n").desc(), "gram")
-    return counts.withColumn("rank", F.row_number().over(order) - 1).where(F.col("rank") < TOP).select("lang", "gram", "rank").toPandas()
+    return counts.withColumn("rank", F.row_number().over(order) - 1).where(F.col("rank") < TOP).select("lang", "gram", "rank").toArrow().to_pandas()
 
 
 def _predict(shared):

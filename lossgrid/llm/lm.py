@@ -184,7 +184,7 @@ def train(texts: DataFrame, scratch: Scratch, order: int = 3) -> tuple[Automaton
     counts = texts.mapInArrow(_count(lambda tokens, first: tokens), "key long, n long")
     counts = scratch.save(counts.groupBy("key").agg(F.sum("n").alias("n")), "words")
     total, types, once = counts.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count(F.lit(1)), F.count(F.when(F.col("n") == 1, 1))).first()
-    often = counts.where(F.col("n") >= F.lit(WORD * total)).toPandas()
+    often = counts.where(F.col("n") >= F.lit(WORD * total)).toArrow().to_pandas()
     words = often["key"].to_numpy(np.int64).view(np.uint64)
     by = np.argsort(words)
     words, n = words[by], often["n"].to_numpy(np.int64)[by]
@@ -202,7 +202,7 @@ def train(texts: DataFrame, scratch: Scratch, order: int = 3) -> tuple[Automaton
             return history[both] << _SHIFT | state[both]
 
         grams = texts.mapInArrow(_count(keys_of), "key long, n long").groupBy("key").agg(F.sum("n").alias("n"))
-        grams = grams.where((F.col("n") >= F.lit(GRAM * total)) & (F.col("n") > 1)).toPandas().sort_values("key")
+        grams = grams.where((F.col("n") >= F.lit(GRAM * total)) & (F.col("n") > 1)).toArrow().to_pandas().sort_values("key")
         model.extend(grams["key"].to_numpy(np.int64), grams["n"].to_numpy(np.int64))
         if not len(grams):
             break

@@ -1,53 +1,17 @@
-"""Intermediate tables that outlive any executor.
-
-Lineage is cut by writing Parquet below the folder that the cluster names in
-``spark.checkpoint.dir``: driver and executors all see it, and a lost executor
-costs a re-read, not a re-run.  Where the setting is absent a private folder is
-made, and only when driver and executors are one process (``local[...]``).
-"""
+"""Intermediate tables in the shared folder, and taking documents out by id."""
 
 from __future__ import annotations
 
-import re
-import tempfile
-import uuid
-
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-_local: dict[str, str] = {}
-
-
-def shared_folder(spark: SparkSession) -> str:
-    named = spark.conf.get("spark.checkpoint.dir", None)
-    if named:
-        return named.rstrip("/")
-    if not re.match(r"local(\[|$)", spark.sparkContext.master):
-        raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
-    return _local.setdefault("dir", tempfile.mkdtemp(prefix="lossgrid-"))
-
-
-class Scratch:
-    """Tables of one run, each written once and read back from the shared folder."""
-
-    def __init__(self, spark: SparkSession, label: str):
-        self.spark = spark
-        self.base = f"{shared_folder(spark)}/{label}-{uuid.uuid4().hex}"
-
-    def path(self, name: str) -> str:
-        return f"{self.base}/{name}"
-
-    def save(self, df: DataFrame, name: str) -> DataFrame:
-        df.write.mode("overwrite").parquet(self.path(name))
-        return self.spark.read.schema(df.schema).parquet(self.path(name))
-
-    def drop(self, name: str) -> None:
-        jvm = self.spark._jvm
-        path = jvm.org.apache.hadoop.fs.Path(self.path(name))
-        path.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(path, True)
+from ..sources.scratch import Scratch as _Scratch
+from ..sources.scratch import shared_folder
 
+__all__ = ["Scratch", "shared_folder"]
 
 
+class Scratch(_Scratch):
     @staticmethod
     def without(docs: DataFrame, gone: DataFrame) -> DataFrame:
         """``docs`` without the rows whose doc_id is in ``gone`` (a column doc_id); null ids stay.
