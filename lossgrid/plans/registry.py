@@ -2,14 +2,21 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
 
-def entry(spark, sf_dir):
-    raise NotImplementedError
+from pyspark.sql import DataFrame, SparkSession
 
+from . import queries as exact
+from . import relational, studies
 
-def queries():
-    return {}
 
+def entry(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return exact.QUERIES["merge_hv_pass"](spark, sf_dir)
 
-def oracle_sql():
-    return {}
+
+def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
+    return exact.QUERIES | relational.QUERIES | studies.QUERIES
+
+
+def oracle_sql() -> dict[str, str]:
+    return exact.SQL | relational.SQL
