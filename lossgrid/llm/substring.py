@@ -175,12 +175,16 @@ def repeated_substrings(docs: DataFrame, window: int = 35, texts: bool = False,
     first = scratch.save(rows.mapInArrow(_first(levels, window), _MARK_TYPES), "marks-0")
     base = first.where("hash is null").select("doc_id", "print", "n_words", "sha")
     marks = first.where("hash is not null").select(*_MARKS[:4])
+    # Texts of the same words repeat each other's every window.
+    copies = base.where(F.col("n_words") >= window).groupBy("sha").agg(F.count(F.lit(1)).alias("n"), F.min(F.struct("doc_id", "print")).alias("lead"))
+    copies = scratch.save(copies.where("n > 1").select("sha", "lead"), "copies")
     work, names = rows, []
     for k in range(len(levels)):
         name = f"s{k}"
         found = _repeated(marks, name)
-        if k == 0:
-            found = scratch.save(found, "found-0")
+        if k == 0:  # the first of a class of copies stands for all from here on
+            rest = base.join(copies, "sha").where(~(F.col("doc_id").eqNullSafe(F.col("lead.doc_id")) & (F.col("print") == F.col("lead.print"))))
+            found = found.alias("m").join(rest.select("doc_id", "print").distinct().alias("n"), _same("m", "n"), "left_anti")
         last = k == len(levels) - 1
         columns = [f"w.{c}" for c in ["doc_id", "print", "text", *([] if last else names)]] + [f"f.{name}"]
         work = scratch.save(work.alias("w").join(found.hint("shuffle_hash").alias("f"), _same("w", "f")).select(*columns), f"work-{k}")
@@ -194,6 +198,9 @@ def repeated_substrings(docs: DataFrame, window: int = 35, texts: bool = False,
     cut = work.mapInArrow(_cut(window), "doc_id long, print long, n_removed long, sha string, kept string")
     cut = cut if texts else cut.drop("kept")
     cut = cut.dropDuplicates(["doc_id", "print"])
-    out = base.alias("b").join(cut.alias("c"), _same("b", "c"), "left")
-    columns = ["b.doc_id", "b.n_words", F.coalesce("c.n_removed", F.lit(0)).cast("long").alias("n_removed"), F.coalesce("c.sha", "b.sha").alias("kept_sha256")]
-    return out.select(*columns, *(["c.kept"] if texts else []))
+    out = base.alias("b").join(cut.alias("c"), _same("b", "c"), "left").join(copies.select(F.col("sha").alias("all")), F.col("b.sha") == F.col("all"), "left")
+    whole = F.col("all").isNotNull()
+    removed = F.when(whole, F.col("b.n_words")).otherwise(F.coalesce("c.n_removed", F.lit(0)))
+    sha = F.when(whole, F.sha2(F.lit(""), 256)).otherwise(F.coalesce("c.sha", "b.sha"))
+    columns = ["b.doc_id", "b.n_words", removed.cast("long").alias("n_removed"), sha.alias("kept_sha256")]
+    return out.select(*columns, *([F.when(whole, F.lit("")).otherwise(F.col("c.kept")).alias("kept")] if texts else []))
