@@ -39,4 +39,5 @@ def connected_components(links: DataFrame, scratch: Scratch, label: str) -> Data
         edges = scratch.save(small.where("x <> y").distinct(), f"{label}-{turn}")
         if turn > 1:
             scratch.drop(f"{label}-{turn - 2}")
-    return edges.groupBy(F.col("x").alias("node")).agg(F.min("y").alias("component"))
+    leaves = edges.groupBy(F.col("x").alias("node")).agg(F.min("y").alias("component"))
+    return leaves.union(edges.select("y", "y").distinct())
