@@ -74,11 +74,13 @@ def train(graph: Graph, cfg: TrainConfig) -> Model:
     return Model(net.weights, cfg, trace, time.monotonic() - began)
 
 
-def sample_tiles(nodes: DataFrame, limit: int, n: int, seed: int, tile: int = 4096) -> DataFrame:
-    """Whole runs of neighbouring ids, at most about ``limit`` nodes in all."""
+def sample_tiles(nodes: DataFrame, limit: int, n: int, seed: int) -> DataFrame:
+    """Whole runs of neighbouring ids, about ``limit`` nodes in all and never more."""
+    tile = max(1, min(4096, limit // 8))
     share = min(1.0, 0.9 * limit / max(1, n))
     unit = F.pmod(F.xxhash64(F.floor(F.col("id") / tile), F.lit(seed)), F.lit(1_000_000)) / 1_000_000
-    return nodes.where(unit < share).limit(limit)
+    picked = nodes.where(unit < share).orderBy("id").limit(limit)
+    return nodes.orderBy("id").limit(limit) if picked.isEmpty() else picked
 
 
 def predict(graph: Graph, model: Model, tiles: int | None = None, scratch: Scratch | None = None) -> DataFrame:

@@ -18,15 +18,20 @@ def source(spark: SparkSession, path: str, schema, files: int = 1) -> DataFrame:
     return spark.readStream.schema(schema).option("maxFilesPerTrigger", files).parquet(path)
 
 
+def timed(events: DataFrame, ts: str, late: str) -> DataFrame:
+    """Watermarks need a timestamp with a zone; tables here have them without."""
+    return events.withColumn(ts, F.col(ts).cast("timestamp")).withWatermark(ts, late)
+
+
 def window_counts(events: DataFrame, spec: GridSpec, ts: str, length: str, late: str, slide: str | None = None) -> DataFrame:
     """Load of each cell and tumbling or sliding window; rows later than ``late`` are dropped."""
-    placed = events.withWatermark(ts, late).withColumns({"row": spec.row.bin(), "col": spec.col.bin()})
+    placed = timed(events.withColumns({"row": spec.row.bin(), "col": spec.col.bin()}), ts, late)
     return placed.groupBy(F.window(ts, length, slide) if slide else F.window(ts, length), "row", "col").agg(F.count(F.lit(1)).alias("load"))
 
 
 def mover_sessions(events: DataFrame, mover: str, ts: str, gap: str, late: str) -> DataFrame:
     """Points of each mover in one session, for trajectory segments."""
-    return events.withWatermark(ts, late).groupBy(mover, F.session_window(ts, gap)).agg(F.count(F.lit(1)).alias("n"))
+    return timed(events, ts, late).groupBy(mover, F.session_window(ts, gap)).agg(F.count(F.lit(1)).alias("n"))
 
 
 def tag(events: DataFrame, spec: GridSpec, cell_parts: DataFrame, default: int = 0) -> DataFrame:
@@ -36,7 +41,7 @@ def tag(events: DataFrame, spec: GridSpec, cell_parts: DataFrame, default: int =
 
 
 def dedup(events: DataFrame, key: str, ts: str, late: str) -> DataFrame:
-    return events.withWatermark(ts, late).dropDuplicatesWithinWatermark([key])
+    return timed(events, ts, late).dropDuplicatesWithinWatermark([key])
 
 
 class IncrementalGrid:
