@@ -184,7 +184,7 @@ def near_duplicates(docs: DataFrame, shingle: int = 2, percent: int = 80, fold:
     nodes = profiles.join(lead, ["f1", "f2", "id"]).dropDuplicates(["f1", "f2"])
     nodes = scratch.save(nodes.select("id", "n", "bands", "s0", "s1", "s2", "s3"), "nodes")
 
-    rows = nodes.select(F.explode("bands").alias("key"), F.col("id").alias("node"))
+    rows = nodes.select(F.posexplode("bands").alias("band", "key"), F.col("id").alias("node"))
     shared = rows.groupBy("key").agg(F.min("node").alias("lead"), F.max("node").alias("last")).where("lead < last")
     members = scratch.save(rows.join(shared.select("key", "lead"), "key"), "members")
     sketches = nodes.select("id", "n", "s0", "s1", "s2", "s3")
@@ -201,28 +201,29 @@ def near_duplicates(docs: DataFrame, shingle: int = 2, percent: int = 80, fold:
 
     stars = members.where("node > lead").select(F.col("lead").alias("a"), F.col("node").alias("b")).distinct()
     label = scratch.save(connected_components(confirmed(stars, "star"), scratch, "star"), "label-0")
-    size, turn = members.count(), 0
+    size, turn, last = members.count(), 0, None
     while True:
         # Buckets that still hold several components, and how many pairs across these they have at most.
-        placed = members.join(label, "node", "left").select("key", "node", F.coalesce("component", "node").alias("component"))
+        placed = members.join(label, "node", "left").select("key", "band", "node", F.coalesce("component", "node").alias("component"))
         low = placed.groupBy("key").agg(F.min("component").alias("low"), F.max("component").alias("high")).where("low < high").select("key", "low")
         placed = scratch.save(placed.join(low, "key"), f"open-{turn}")
         count = placed.groupBy("key").agg(F.count(F.lit(1)).alias("m"), F.sum((F.col("component") > F.col("low")).cast("long")).alias("others"))
         across = count.where("m > 2").agg(F.coalesce(F.sum(F.col("m") * F.col("others")), F.lit(0))).first()[0]
-        if across <= 2 * size or turn == ROUNDS:
-            break
-        turn += 1
+        if across <= 2 * size or turn == ROUNDS or (last is not None and across > 0.7 * last):
+            break  # few pairs are left, or mostly such as no star brings together
+        turn, last = turn + 1, across
         # Another star for each: from a member chosen by hash to all members of other components.
         first = F.min(F.struct(F.xxhash64("node", F.lit(turn)), F.col("node").alias("node"), F.col("component").alias("own"))).alias("first")
         rays = placed.join(placed.groupBy("key").agg(first), "key").where(F.col("component") != F.col("first.own"))
         rays = rays.select(F.least("node", "first.node").alias("a"), F.greatest("node", "first.node").alias("b")).distinct()
         label = _relabel(label, confirmed(rays, f"round-{turn}"), scratch, turn)
-    sketch = placed.join(sketches.withColumnRenamed("id", "node"), "node")
+    # A pair is compared in the first bucket that both are in: bands before that one have nothing in common.
+    sketch = placed.join(nodes.withColumnRenamed("id", "node"), "node").withColumn("earlier", F.slice("bands", F.lit(1), F.col("band"))).drop("bands")
     sketch = scratch.save(sketch, "across")
     left, right = sketch.where("component > low").alias("l"), sketch.alias("r")
     differ = (F.col("l.key") == F.col("r.key")) & (F.col("l.component") != F.col("r.component"))
     once = (F.col("r.component") == F.col("r.low")) | (F.col("l.node") < F.col("r.node"))
-    pairs = left.join(right, differ & once & _possible("l", "r", percent))
+    pairs = left.join(right, differ & once & _possible("l", "r", percent) & ~F.arrays_overlap("l.earlier", "r.earlier"))
     pairs = pairs.select(F.least("l.node", "r.node").alias("a"), F.greatest("l.node", "r.node").alias("b")).distinct()
     label = _relabel(label, confirmed(pairs, "across"), scratch, turn + 1)
 
