@@ -129,14 +129,14 @@ class TrainConfig:
     g: int = 8
     hidden: int = 32
     embed: int = 32
-    act: str = "relu"
+    act: str = "tanh"
     norm: str = "sym"
     agg: str = "mean"
     fanout: int | None = None
     lr: float = 0.01
     optimizer: str = "adam"
-    epochs: int = 200
-    patience: int = 40
+    epochs: int = 400
+    patience: int = 100
     form: str = "cut"
     balance_scale: str = "mean"
     alpha: float = 1.0

@@ -151,6 +151,11 @@ def cut_graph(graph: G.Graph, cfg: TrainConfig, slack: float | None = 0.02) -> t
     return G.harden(soft), model
 
 
+def _longer(cfg: TrainConfig, g: int, n: int) -> TrainConfig:
+    """Small graphs are trained for more epochs; no more parts than nodes."""
+    return replace(cfg, g=min(g, max(1, n)), epochs=cfg.epochs * 3 // 2 if n <= 1500 else cfg.epochs)
+
+
 def as_cells(r: Reduced, assignment: DataFrame) -> DataFrame:
     """(row, col, load, part) of every cell."""
     return r.cells.select("row", "col", "load", "block_id").join(assignment.withColumnRenamed("id", "block_id"), "block_id").select("row", "col", "load", "part")
@@ -182,7 +187,7 @@ def proximity_table(spark: SparkSession, sf_dir: str, name: str, g: int = 8, cfg
     part = graphs.sweep_cut(graphs.eigen_embedding(arrays, 1)[:, 0], load_, g)
     rows.append((name, "eigen sweep", None, _one(G.proximity(as_cells(raw, _parts_table(spark, ids, part))))))
     for theta, r in reduced(w).items():
-        assignment, _ = cut_graph(feature_graph(r, w.rows), replace(cfg, g=min(g, max(1, r.n_blocks))))
+        assignment, _ = cut_graph(feature_graph(r, w.rows), _longer(cfg, g, r.n_blocks))
         rows.append((name, "two-stage", theta, _one(G.proximity(as_cells(r, assignment)))))
     return spark.createDataFrame(rows, "workload string, method string, theta double, proximity double")
 
@@ -221,7 +226,7 @@ def balance_table(spark: SparkSession, sf_dir: str, name: str, g: int = 8, cfg:
         rows.append((name, method, theta, lam, lam, ubd))
     for theta, r in reduced(w).items():
         small = feature_graph(r, w.rows)
-        assignment, _ = cut_graph(small, replace(cfg, g=min(g, max(1, r.n_blocks))))
+        assignment, _ = cut_graph(small, _longer(cfg, g, r.n_blocks))
         lam = _one(G.edge_cut_rate(small.edges, assignment))
         cells = as_cells(r, assignment)
         own = cells.select((F.col("row").cast("long") * w.cols + F.col("col")).alias("id"), "part")
