@@ -207,9 +207,10 @@ def near_duplicates(docs: DataFrame, shingle: int = 2, percent: int = 80, fold:
         placed = members.join(label, "node", "left").select("key", "band", "node", F.coalesce("component", "node").alias("component"))
         low = placed.groupBy("key").agg(F.min("component").alias("low"), F.max("component").alias("high")).where("low < high").select("key", "low")
         placed = scratch.save(placed.join(low, "key"), f"open-{turn}")
-        count = placed.groupBy("key").agg(F.count(F.lit(1)).alias("m"), F.sum((F.col("component") > F.col("low")).cast("long")).alias("others"))
-        across = count.where("m > 2").agg(F.coalesce(F.sum(F.col("m") * F.col("others")), F.lit(0))).first()[0]
-        if across <= 2 * size or turn == ROUNDS or (last is not None and across > 0.7 * last):
+        count = placed.groupBy("key", "component").agg(F.count(F.lit(1)).alias("m"))
+        count = count.groupBy("key").agg(F.sum("m").alias("m"), F.sum(F.col("m") * F.col("m")).alias("inner")).where("m > 2")
+        across = count.agg(F.coalesce(F.sum((F.col("m") * F.col("m") - F.col("inner")) / 2), F.lit(0.0))).first()[0]
+        if across <= size / 2 or turn == ROUNDS or (last is not None and across > 0.7 * last):
             break  # few pairs are left, or mostly such as no star brings together
         turn, last = turn + 1, across
         # Another star for each: from a member chosen by hash to all members of other components.
