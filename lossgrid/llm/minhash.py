@@ -18,6 +18,7 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -34,6 +35,8 @@ AGREE = 205
 _SEED = 11
 #: Stars drawn in every bucket at most before the pairs across its components are compared.
 ROUNDS = 8
+#: Nodes of a component that is met in blocks instead of pairs, and nodes in a block.
+BIG, BLOCK = 128, 256
 
 
 def shingle_sets(hashes: np.ndarray, offsets: np.ndarray, size: int) -> tuple[np.ndarray, np.ndarray]:
@@ -160,6 +163,57 @@ def _relabel(label: DataFrame, links: DataFrame, scratch: Scratch, turn: int) ->
     return scratch.save(moved.union(fresh), f"label-{turn}")
 
 
+def _met_in_blocks(open_rows: DataFrame, label: DataFrame, sketches: DataFrame, sets: _Sets, percent: int, scratch: Scratch) -> DataFrame:
+    """Links (a, b) of nodes to components of at least BIG nodes with which they share a bucket.
+
+    A node is compared with the whole component, BLOCK by BLOCK nodes in a task, and the first
+    link in a block is enough: it joins the components.  No pair becomes a row.
+    """
+    big = open_rows.where(F.col("size") >= BIG).select("key", F.col("component").alias("whole"), F.col("size").alias("members")).distinct()
+    smaller = (F.col("size") < F.col("members")) | ((F.col("size") == F.col("members")) & (F.col("component") < F.col("whole")))
+    guests = open_rows.join(big, "key").where((F.col("component") != F.col("whole")) & smaller).select("whole", "members", "node").distinct()
+    guests = scratch.save(guests, "guests")
+    if guests.isEmpty():
+        return guests.select(F.col("node").alias("a"), F.col("node").alias("b"))
+    shape = guests.groupBy("whole").agg(F.ceil(F.count(F.lit(1)) / BLOCK).cast("int").alias("across"), F.ceil(F.max("members") / BLOCK).cast("int").alias("down"))
+    hosts = label.join(shape, F.col("component") == F.col("whole")).select("whole", "across", "down", "node")
+    guests = guests.select("whole", "node").join(shape, "whole")
+    both = hosts.select("node").union(guests.select("node"))
+    known = sets.of(both.select(F.col("node").alias("a"), F.col("node").alias("b")), "blocks").join(sketches, "id").withColumnRenamed("id", "node")
+
+    def dealt(rows: DataFrame, own: str, other: str) -> DataFrame:
+        mine = F.pmod(F.xxhash64("node"), F.col(own)).cast("int").alias(own)
+        rows = rows.select("whole", "node", mine, F.col(other).alias("many"))
+        return rows.select("whole", "node", own, F.explode(F.sequence(F.lit(0), F.col("many") - 1)).alias(other))
+
+    guests = scratch.save(dealt(guests, "across", "down").join(known, "node"), "guest-rows")
+    hosts = scratch.save(dealt(hosts, "down", "across").join(known, "node"), "host-rows")
+    keys = ["whole", "across", "down"]
+    met = guests.groupBy(*keys).cogroup(hosts.groupBy(*keys)).applyInPandas(_meet(percent), "a long, b long")
+    return scratch.save(met, "met")
+
+
+def _meet(percent: int):
+    def run(guests: pd.DataFrame, hosts: pd.DataFrame) -> pd.DataFrame:
+        out = []
+        if len(guests) and len(hosts):
+            names = ["s0", "s1", "s2", "s3"]
+            sketch, n = hosts[names].to_numpy(np.int64), hosts["n"].to_numpy(np.int64)
+            ids, full = hosts["node"].to_numpy(np.int64), [np.frombuffer(x, np.uint64) for x in hosts["set"]]
+            for g in guests.itertuples():
+                own = np.array([getattr(g, s) for s in names], np.int64)
+                agree = BITS - np.bitwise_count((sketch ^ own).view(np.uint64)).sum(axis=1, dtype=np.int64)
+                mine = np.frombuffer(g.set, np.uint64)
+                for k in np.flatnonzero((agree >= AGREE) & (n * 100 >= g.n * percent) & (g.n * 100 >= n * percent)):
+                    both = len(np.intersect1d(mine, full[k], assume_unique=True))
+                    if 100 * both >= percent * (len(mine) + len(full[k]) - both):
+                        out.append((g.node, ids[k]))
+                        break
+        return pd.DataFrame(out, columns=["a", "b"]).astype("int64")
+
+    return run
+
+
 def near_duplicates(docs: DataFrame, shingle: int = 2, percent: int = 80, fold: bool = True, scratch: Scratch | None = None) -> DataFrame:
     """Component of every text under "shares at least ``percent`` % of all shingles".
 
@@ -218,15 +272,20 @@ def near_duplicates(docs: DataFrame, shingle: int = 2, percent: int = 80, fold:
         rays = placed.join(placed.groupBy("key").agg(first), "key").where(F.col("component") != F.col("first.own"))
         rays = rays.select(F.least("node", "first.node").alias("a"), F.greatest("node", "first.node").alias("b")).distinct()
         label = _relabel(label, confirmed(rays, f"round-{turn}"), scratch, turn)
-    # A pair is compared in the first bucket that both are in: bands before that one have nothing in common.
+    # Components of many nodes are met node by node, in blocks; pairs of the others one by one, in the
+    # first bucket that both are in: bands before that one have nothing in common.
+    sizes = label.groupBy("component").agg(F.count(F.lit(1)).alias("size"))
+    placed = placed.join(sizes, "component", "left").fillna(1, ["size"])
     sketch = placed.join(nodes.withColumnRenamed("id", "node"), "node").withColumn("earlier", F.slice("bands", F.lit(1), F.col("band"))).drop("bands")
     sketch = scratch.save(sketch, "across")
-    left, right = sketch.where("component > low").alias("l"), sketch.alias("r")
+    few = sketch.where(F.col("size") < BIG)
+    left, right = few.where("component > low").alias("l"), few.alias("r")
     differ = (F.col("l.key") == F.col("r.key")) & (F.col("l.component") != F.col("r.component"))
     once = (F.col("r.component") == F.col("r.low")) | (F.col("l.node") < F.col("r.node"))
     pairs = left.join(right, differ & once & _possible("l", "r", percent) & ~F.arrays_overlap("l.earlier", "r.earlier"))
     pairs = pairs.select(F.least("l.node", "r.node").alias("a"), F.greatest("l.node", "r.node").alias("b")).distinct()
-    label = _relabel(label, confirmed(pairs, "across"), scratch, turn + 1)
+    links = confirmed(pairs, "across").union(_met_in_blocks(sketch, label, sketches, sets, percent, scratch))
+    label = _relabel(label, links, scratch, turn + 1)
 
     placed = same.join(label, "node", "left").select("f1", "f2", F.coalesce("component", "node").alias("component_id"))
     ids = profiles.select(F.col("id").alias("doc_id"), "n", "f1", "f2")
