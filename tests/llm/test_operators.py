@@ -137,8 +137,11 @@ def test_near_duplicates(spark, docs, size, percent):
     assert all(r["kept"] == (r["doc_id"] == r["component_id"] or r["doc_id"] is None) for r in got.values())
 
 
-def test_near_duplicates_in_a_large_group(spark):
+@pytest.mark.parametrize("big,block", [(128, 256), (3, 16)])
+def test_near_duplicates_in_a_large_group(spark, monkeypatch, big, block):
     """Copies that are mostly, but not all, linked to each other; further stars and the rest are needed."""
+    monkeypatch.setattr(minhash, "BIG", big)
+    monkeypatch.setattr(minhash, "BLOCK", block)
     rng = random.Random(8)
     base = [f"b{k}" for k in range(60)]
     rows = []
