@@ -413,6 +413,44 @@ def test_language_model(spark, docs, monkeypatch):
         assert total == pytest.approx(1, abs=1e-6)
 
 
+def brute_lm(rows, held):
+    """Interpolated absolute discounting over the counts of all bigrams and trigrams."""
+    texts = [(i, ["<s>", *words(lowered(t)), "\n"]) for i, t, *_ in rows]
+    uni, after = collections.Counter(), collections.defaultdict(collections.Counter)
+    for i, w in texts:
+        if i not in held:
+            uni.update(w[1:])
+            for k in range(1, len(w)):
+                for n in (1, 2)[:k]:
+                    after[tuple(w[k - n : k])][w[k]] += 1
+    total, once = sum(uni.values()), sum(n == 1 for n in uni.values())
+    unknown = (once + 1) / (total + 2)
+    out = {}
+    for i, w in texts:
+        out[i] = 0.0
+        for k in range(1, len(w)):
+            p = (1 - unknown) * uni[w[k]] / total if uni[w[k]] else unknown
+            for n in (1, 2)[:k]:
+                seen = after.get(tuple(w[k - n : k]))
+                if seen:
+                    size = sum(seen.values())
+                    p = max(seen[w[k]] - lm.DISCOUNT, 0) / size + lm.DISCOUNT * len(seen) / size * p
+            out[i] += math.log10(p)
+    return out
+
+
+@pytest.mark.parametrize("gram,word,part", [(1e-6, 1e-6, 1 << 20), (1.0, 1e-6, 1 << 20), (1.0, 5e-3, 40)])
+def test_language_model_counts_every_ngram(spark, monkeypatch, gram, word, part):
+    """As one automaton and in parts, with rare words and with words of several parts."""
+    for name, value in {"GRAM": gram, "WORD": word, "PART": part, "FLUSH": 500}.items():
+        monkeypatch.setattr(lm, name, value)
+    rows = corpus() + ODD[:-1]
+    held = {r[0] for r in rows if r[0] is not None and zlib.crc32(str(r[0]).encode()) % 7 == 2}
+    got = lm.language_model_scores(spark.createDataFrame(rows, SCHEMA).repartition(3)).collect()
+    assert len(got) == len(rows)
+    assert {r["doc_id"]: r["score"] for r in got} == {i: pytest.approx(s, abs=1e-6) for i, s in brute_lm(rows, held).items()}
+
+
 def test_language_model_on_the_tables(spark):
     rows = Q.op7_language_model(spark, "/root/testdata/sf0.01").where("held_out").select("score", "base_score").collect()
     assert sum(r["score"] for r in rows) > sum(r["base_score"] for r in rows)
