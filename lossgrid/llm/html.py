@@ -2,10 +2,12 @@
 
 A page is cut into blocks at block-level tags.  First pass: what lies in a container that
 cannot be article text (menus, page headers and footers, sidebars, notices, adverts, forms,
-comments, scripts, styles, hidden parts) is left out; where the page marks its article or
-main part, blocks within are text and blocks without are not; all other blocks are judged by
-link density, length and stop-word density as good, bad, near or short.  Second pass: short and
-near blocks inherit the label of their nearest decided neighbours.
+comments, scripts, styles, hidden parts) is left out; every other block is judged by link
+density, length and stop-word density as good, bad, near or short.  Few stop words are no evidence
+against a block, as the page may be in another language.  That a block lies in a marked article or
+main part is one feature: it allows more links there, and beside it only long text with stop
+words is good.  Second pass: short and near blocks inherit the label of their nearest decided
+neighbours; the page's ends count as neither.
 """
 
 from __future__ import annotations
@@ -48,7 +50,7 @@ STOP = frozenset(
     "de la le et les des en un du une que est pour qui dans par plus pas au sur ne se ce il sont avec son "
     "el los y del las por con para una su al lo como más pero sus o este ya entre".split()
 )
-LINKS, SHORT, LONG, FEW, MANY = 0.2, 70, 200, 0.30, 0.32
+LINKS, OWN_LINKS, SHORT, LONG, FEW = 0.2, 0.5, 70, 200, 0.15
 _HIDDEN = re.compile(r"display\s*:\s*none|visibility\s*:\s*hidden", re.I)
 _WORD = re.compile(r"[^\W\d_]+")
 
@@ -141,26 +143,23 @@ def blocks(html: str | None) -> list[tuple[str, int, bool, bool]]:
     return parser.found
 
 
-def _judge(text: str, linked: int) -> str:
+def _judge(text: str, linked: int, own: bool, marked: bool) -> str:
     density = linked / len(text)
-    if density > LINKS or "©" in text:
+    if density > (OWN_LINKS if own else LINKS) or ("©" in text and len(text) < LONG and not own):
         return "bad"
-    if len(text) < SHORT:
-        return "bad" if linked else "short"
     words = _WORD.findall(text.lower())
-    stop = sum(w in STOP for w in words) / max(1, len(words))
-    if stop >= MANY:
-        return "good" if len(text) > LONG else "near"
-    return "near" if stop >= FEW else "bad"
+    stop = sum(w in STOP for w in words) / max(1, len(words)) >= FEW
+    if marked and not own:
+        return "good" if stop and len(text) > LONG else "bad"
+    if len(text) < SHORT:
+        return "bad" if linked and not own else "short"
+    return "good" if stop or len(text) > LONG else "near"
 
 
 def classify(found: list[tuple[str, int, bool, bool]]) -> list[bool]:
     """Which blocks are text."""
     marked = any(own for _, _, own, _ in found)
-    if marked:
-        first = ["good" if own else "bad" for _, _, own, _ in found]
-    else:
-        first = [_judge(text, linked) for text, linked, _, _ in found]
+    first = [_judge(text, linked, own, marked) for text, linked, own, _ in found]
     out = [k == "good" for k in first]
     for k, kind in enumerate(first):
         if kind not in ("short", "near"):
@@ -168,14 +167,15 @@ def classify(found: list[tuple[str, int, bool, bool]]) -> list[bool]:
         sides = []
         for step in (-1, 1):
             at = k + step
-            while 0 <= at < len(first) and first[at] in (("short",) if kind == "near" else ("short", "near")):
+            while 0 <= at < len(first) and (first[at] == "short" or kind == "short" and first[at] == "bad" and marked and not found[at][2]):
                 at += step
-            sides.append(0 <= at < len(first) and first[at] in ("good", "near"))
-        out[k] = any(sides) if kind == "near" else all(sides)
-    for k, (_, _, _, heading) in enumerate(found):  # a heading goes with the text right below it
-        if not marked and heading and first[k] != "bad" and k + 1 < len(out):
+            if 0 <= at < len(first):
+                sides.append(first[at] in ("good", "near"))
+        out[k] = any(sides) if kind == "near" else bool(sides) and all(sides)
+    for k in range(len(found) - 2, -1, -1):  # a heading goes with the text right below it
+        if found[k][3] and first[k] != "bad":
             out[k] = out[k] or out[k + 1]
-    if not any(out) and not marked:  # nothing long enough: what was not judged bad
+    if not any(out):  # nothing long enough: what was not judged bad
         out = [kind != "bad" for kind in first]
     return out
 

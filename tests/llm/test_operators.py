@@ -515,6 +515,19 @@ def test_html_on_the_tables(spark):
     assert pages and all(" ".join(r["text"].split("\n", 1)[1].split()) in bodies and r["n_chars"] == len(r["text"]) for r in pages)
 
 
+def test_html_judges_blocks_with_and_without_marks(spark):
+    """The same text where the article is a plain part, and link lists and menus by their links."""
+    pages = [r["html"] for r in spark.read.parquet("/root/testdata/sf0.01/pages.parquet").select("html").collect()]
+    plain = [re.sub(r"<(/?)article\b", r"<\1div", page) for page in pages]
+    assert plain != pages
+    same = [html.extract(a) == html.extract(b) for a, b in zip(pages, plain, strict=True)]
+    assert sum(same) >= 0.99 * len(same)
+    long = "Pitkä kertomus kaupungista, jonka halki virtaa leveä joki ja jonka kaduilla kävelee iltaisin paljon väkeä. " * 3
+    links = "<ul>" + "".join(f"<li><a href=x>Related story number {k} with a long title that goes on for more than one line of text</a></li>" for k in range(3)) + "</ul>"
+    for tag in ("article", "div"):
+        assert html.extract(f"<body><div><a href=a>Home</a></div><{tag}><h1>Joki</h1><p>{long}</p>{links}<p>{long}</p></{tag}></body>") == f"Joki\n{long.strip()}\n{long.strip()}"
+
+
 def test_empty_tables(spark, none):
     items = spark.createDataFrame([], "item_id long, text string")
     for out in (
