@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from collections.abc import Sequence
+from collections.abc import Iterator, Sequence
 from functools import reduce
 
 from pyspark.sql import Column, DataFrame, Window
@@ -65,6 +65,7 @@ def quantile_schedule(diffs: DataFrame, steps: int) -> list[float]:
     return sorted(set(got or []))
 
 
-def distinct_schedule(diffs: DataFrame, steps: int) -> list[float]:
-    """The smallest ``steps`` distinct differences."""
-    return [r[0] for r in diffs.select("diff").distinct().orderBy("diff").limit(steps).collect()]
+def distinct_schedule(diffs: DataFrame) -> Iterator[float]:
+    """All distinct differences from the smallest, a partition at a time."""
+    for row in diffs.select("diff").distinct().orderBy("diff").toLocalIterator():
+        yield row[0]

@@ -6,6 +6,7 @@ import time
 from collections.abc import Iterator
 from dataclasses import dataclass
 
+import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -42,12 +43,24 @@ class Reduced:
 class _Arrays:
     def __init__(self, grid: ArrayGrid, cfg: ReduceConfig):
         self.grid, self.cfg = grid, cfg
+        self.known: float | None = None
+        self.least: float | None = None
 
     def __len__(self) -> int:
         return len(self.grid)
 
+    def idle(self, delta: float) -> bool:
+        """Whether a pass at ``delta`` merges nothing; known for the range guard only."""
+        if self.cfg.extractor != "run_merge" or self.cfg.guard != "range":
+            return False
+        if self.least is None:
+            self.least = float(np.min(self.grid.spans(self.cfg.metric), initial=np.inf))
+        return delta < self.least - 1e-9
+
     def step(self, delta: float, turn: int) -> _Arrays:
         cfg = self.cfg
+        if self.idle(delta):
+            return self
         axes = "vh" if cfg.axis_order == "alternate" and turn % 2 else "hv"
         if cfg.extractor == "pair_match":
             return _Arrays(self.grid.match(delta, cfg.metric), cfg)
@@ -57,7 +70,9 @@ class _Arrays:
         return _Arrays(self.grid.merge(delta, cfg.metric, guard, axes, shift=bool(turn % 2)), cfg)
 
     def loss(self) -> float:
-        return self.grid.loss(self.cfg.allocation, self.cfg.zero_policy, self.cfg.epsilon, self.cfg.mode_digits)
+        if self.known is None:
+            self.known = self.grid.loss(self.cfg.allocation, self.cfg.zero_policy, self.cfg.epsilon, self.cfg.mode_digits)
+        return self.known
 
     def least_above(self, delta: float) -> float | None:
         gaps = self.grid.gaps(self.cfg.metric)
@@ -123,14 +138,13 @@ def _deltas(state, diffs: DataFrame, cfg: ReduceConfig) -> Iterator:
         yield cfg.fixed
     elif cfg.schedule == "min_remaining":
         delta = -1.0
-        for _ in range(cfg.steps):
+        while True:
             delta = state.least_above(delta)
             if delta is None:
                 return
             state = (yield delta) or state
     else:
-        steps = cfg.steps
-        for delta in D.quantile_schedule(diffs, steps) if cfg.schedule == "quantile" else D.distinct_schedule(diffs, steps):
+        for delta in D.quantile_schedule(diffs, cfg.steps) if cfg.schedule == "quantile" else D.distinct_schedule(diffs):
             yield delta
 
 
@@ -139,7 +153,9 @@ def reduce_grid(grid: DataFrame, attrs: list[str], cols: int, cfg: ReduceConfig
 
     Merging goes on while the loss is within a threshold and the last state within it is
     returned; ``stop="first_within"`` returns the first pass within it.  The loss is not
-    monotone, so ``lookahead`` passes beyond it are tried before giving up.
+    monotone, so ``lookahead`` passes beyond it are tried before giving up.  The schedules
+    ``distinct`` and ``min_remaining`` end only there or when no difference is left;
+    ``steps`` counts quantiles.
 
     A grid of at most ``cfg.local_cells`` cells is reduced on arrays, a larger one on tables.
     """

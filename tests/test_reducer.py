@@ -113,6 +113,14 @@ def test_engines_agree_on_the_walk(spark):
     assert a.ifl == pytest.approx(b.ifl)
 
 
+@pytest.mark.parametrize("schedule", ["distinct", "min_remaining"])
+def test_steps_do_not_end_the_walk(spark, schedule):
+    values = np.random.default_rng(8).integers(1, 400, (8, 8)).tolist()
+    few, many = (reduce_grid(table(spark, values), ["a"], 8, ReduceConfig(thetas=(0.3,), schedule=schedule, steps=n))[0.3] for n in (2, 10_000))
+    assert len(few.trace) == len(many.trace) > 2 and few.trace[-1]["ifl"] > 0.3
+    assert few.n_blocks == many.n_blocks < 64
+
+
 def test_literal_stop_ends_at_the_first_pass(spark):
     values = np.random.default_rng(6).integers(1, 9, (8, 8)).tolist()
     r = reduce_grid(table(spark, values), ["a"], 8, ReduceConfig(thetas=(0.3,), stop="first_within"))[0.3]
