@@ -151,6 +151,27 @@ def baseline_no_reduction(spark, sf_dir):
     return spark.createDataFrame([{k: float(v) for k, v in out.report.items() if v is not None}])
 
 
+@add
+def graph_from_orders_whole(spark, sf_dir):
+    """Every customer (even ids) beside every part (odd ids) of their orders."""
+    orders, items = load(spark, sf_dir, "orders", ["o_orderkey", "o_custkey"]), load(spark, sf_dir, "lineitem", ["l_orderkey", "l_partkey"])
+    pairs = orders.join(items, F.col("o_orderkey") == F.col("l_orderkey")).select((F.col("o_custkey") * 2).alias("src"), (F.col("l_partkey") * 2 + 1).alias("dst"))
+    return G.Graph.from_edges(pairs).edges
+
+
+@add
+def dates_whole(spark, sf_dir):
+    df = load(spark, sf_dir, "orders", ["o_orderkey", "o_orderdate"])
+    return df.select("o_orderkey", F.date_format(F.trunc("o_orderdate", "month"), "yyyy-MM-dd").alias("m"), F.year("o_orderdate").cast("long").alias("y"), (F.weekday("o_orderdate") + 1).cast("long").alias("d"), F.datediff("o_orderdate", F.lit("1995-01-01")).cast("long").alias("since"))
+
+
+@add
+def unpivot_whole(spark, sf_dir):
+    items = load(spark, sf_dir, "lineitem", ["l_orderkey", "l_linenumber", "l_quantity", "l_discount", "l_tax"])
+    named = items.select("l_orderkey", "l_linenumber", F.col("l_quantity").alias("q"), F.col("l_discount").alias("discount"), F.col("l_tax").alias("tax"))
+    return named.unpivot(["l_orderkey", "l_linenumber", "q"], ["discount", "tax"], "k", "v")
+
+
 def _stream_spec() -> GridSpec:
     at = F.expr("timestampdiff(MICROSECOND, timestamp_ntz'2024-01-01 00:00:00', ts)")
     return GridSpec(Axis.width(F.col("user_id"), 0, 200, 10), Axis.width(at, 0, 30 * 86400 * 1e6, 10), {"val": F.avg("value")})

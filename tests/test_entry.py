@@ -36,6 +36,20 @@ def test_sql_agrees(spark, name):
     assert rows[0] == rows[1]
 
 
+def test_whole_tables(spark):
+    sf = "/root/testdata/sf0.001"
+    orders, items = (spark.read.parquet(f"{sf}/{t}.parquet").toPandas() for t in ("orders", "lineitem"))
+    of = dict(zip(orders["o_orderkey"], orders["o_custkey"], strict=True))
+    pairs = {(2 * int(of[o]), 2 * int(p) + 1) for o, p in zip(items["l_orderkey"], items["l_partkey"], strict=True) if o in of}
+    edges = registry.queries()["graph_from_orders_whole"](spark, sf).collect()
+    assert len(edges) == 2 * len(pairs) and {(r["src"], r["dst"]) for r in edges} == pairs | {(b, a) for a, b in pairs}
+    days = {int(k): (d.strftime("%Y-%m-01"), d.year, d.isoweekday()) for k, d in zip(orders["o_orderkey"], orders["o_orderdate"], strict=True)}
+    got = registry.queries()["dates_whole"](spark, sf).collect()
+    assert len(got) == len(orders) and {r["o_orderkey"]: (r["m"], r["y"], r["d"]) for r in got} == days
+    want = sorted((int(r.l_orderkey), int(r.l_linenumber), k, float(v)) for r in items.itertuples() for k, v in (("discount", r.l_discount), ("tax", r.l_tax)))
+    assert sorted((r["l_orderkey"], r["l_linenumber"], r["k"], float(r["v"])) for r in registry.queries()["unpivot_whole"](spark, sf).collect()) == want
+
+
 @pytest.mark.parametrize("name", ["stream_incremental_grid", "stream_tag"])
 def test_streams_equal_batches(spark, sf, name):
     from lossgrid.operators.grid import gridify
