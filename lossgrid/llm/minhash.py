@@ -15,7 +15,10 @@ generated code, then exactly.  Nothing is capped.
 
 from __future__ import annotations
 
+import functools
+import math
 from collections.abc import Iterator
+from typing import NamedTuple
 
 import numpy as np
 import pandas as pd
@@ -28,10 +31,10 @@ from .components import connected_components
 from .store import Scratch
 
 SPACE = 1 << 20
-BANDS, ROWS = 40, 5
+#: Coordinates of a signature, and bits of a sketch.
 BITS = 256
-#: Least agreeing sketch bits.  At similarity 0.8 a pair agrees on 230 +- 5 of 256.
-AGREE = 205
+#: Chance, at most, that banding misses a pair at the least similarity, and that its sketch does.
+MISS = 1e-7
 _SEED = 11
 #: Stars drawn in every bucket at most before the pairs across its components are compared.
 ROUNDS = 8
@@ -39,8 +42,41 @@ ROUNDS = 8
 BIG, BLOCK = 128, 256
 
 
-def shingle_sets(hashes: np.ndarray, offsets: np.ndarray, size: int) -> tuple[np.ndarray, np.ndarray]:
-    """Sorted distinct shingles of each text, end to end, and their offsets."""
+class Plan(NamedTuple):
+    """Bands, coordinates in each, and least agreeing bits of two sketches."""
+
+    bands: int
+    rows: int
+    agree: int
+
+
+@functools.cache
+def plan(percent: int) -> Plan:
+    """The most selective banding, and sketch bound, that miss a pair at ``percent`` % with a chance of at most MISS.
+
+    Refuses a percentage so low that BITS coordinates cannot do this.
+    """
+    if not 0 < percent <= 100:
+        raise ValueError("percent must be above 0 and at most 100")
+    like = percent / 100
+    for rows in range(BITS, 0, -1):
+        miss = 1 - like**rows
+        bands = 1 if miss <= MISS else math.ceil(math.log(MISS) / math.log(miss)) if miss < 1 else BITS + 1
+        if bands * rows <= BITS:
+            break
+    else:
+        raise ValueError(f"{BITS} coordinates are too few for pairs at {percent} %")
+    same, below, agree = (1 + like) / 2, 0.0, 0
+    while agree < BITS and (below := below + math.comb(BITS, agree) * same**agree * (1 - same) ** (BITS - agree)) <= MISS:
+        agree += 1
+    return Plan(bands, rows, agree)
+
+
+def shingle_sets(hashes: np.ndarray, offsets: np.ndarray, size: int) -> tuple[np.ndarray, np.ndarray, np.ndarray | None]:
+    """Sorted distinct shingles of each text, end to end, their offsets, and their second lanes if
+    ``hashes`` has two."""
+    lanes = hashes if hashes.ndim > 1 else hashes[None]
+    hashes = lanes[0]
     counts = np.diff(offsets)
     sums = W.prefix_sums(hashes)
     width = np.minimum(counts, size)
@@ -53,7 +89,11 @@ def shingle_sets(hashes: np.ndarray, offsets: np.ndarray, size: int) -> tuple[np
     new = np.ones(len(shingles), np.bool_)
     new[1:] = (shingles[1:] != shingles[:-1]) | (text[1:] != text[:-1])
     shingles, text = shingles[new], text[new]
-    return shingles, np.searchsorted(text, np.arange(len(counts) + 1))
+    second = None
+    if len(lanes) > 1:
+        at, wide = first[order][new], width[text]
+        second = W.stretch(W.prefix_sums(lanes[1]), at, at + wide)
+    return shingles, np.searchsorted(text, np.arange(len(counts) + 1)), second
 
 
 def _second_permutation() -> np.ndarray:
@@ -75,26 +115,27 @@ def signatures(shingles: np.ndarray, offsets: np.ndarray, table: np.ndarray) ->
     return out
 
 
-def _profiles(size: int, fold: bool):
+def _profiles(size: int, percent: int, fold: bool):
+    bands, rows, _ = plan(percent)
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        words, table = W.Words(fold), _second_permutation()
-        weights = W.mix64(np.arange(1, BANDS * ROWS + 1, dtype=np.uint64)).reshape(BANDS, ROWS) | np.uint64(1)
+        words, table = W.Words(fold, lanes=2), _second_permutation()
+        weights = W.mix64(np.arange(1, bands * rows + 1, dtype=np.uint64)).reshape(bands, rows) | np.uint64(1)
         for batch in batches:
             for i, j, hashes, offsets in words.batches(batch.column(1)):
-                sets, off = shingle_sets(hashes, offsets, size)
+                sets, off, second = shingle_sets(hashes, offsets, size)
                 counts = np.diff(off)
-                f1 = np.add.reduceat(np.append(W.mix64(sets), np.uint64(0)), np.minimum(off[:-1], len(sets)))
-                f2 = np.add.reduceat(np.append(W.mix64(sets ^ np.uint64(0xD6E8FEB86659FD93)), np.uint64(0)), np.minimum(off[:-1], len(sets)))
+                f1, f2 = (np.add.reduceat(np.append(W.mix64(x), np.uint64(0)), np.minimum(off[:-1], len(x))) for x in (sets, second))
                 f1[counts == 0] = f2[counts == 0] = 0
                 sig = signatures(sets, off, table)
-                keys = W.mix64((sig[:, : BANDS * ROWS].reshape(-1, BANDS, ROWS) * weights).sum(axis=2, dtype=np.uint64) + np.arange(BANDS, dtype=np.uint64))
+                keys = W.mix64((sig[:, : bands * rows].reshape(-1, bands, rows) * weights).sum(axis=2, dtype=np.uint64) + np.arange(bands, dtype=np.uint64))
                 sketch = np.packbits((sig * np.uint32(0x9E3779B1)) >> np.uint32(31) == 1, axis=1).view(np.int64)
                 at = np.zeros(j - i + 1, np.int64)
-                np.cumsum((counts > 0) * BANDS, out=at[1:])
+                np.cumsum((counts > 0) * bands, out=at[1:])
                 four = np.zeros((j - i, 4), np.int64)
                 four[counts > 0] = sketch
-                bands = pa.ListArray.from_arrays(pa.array(at.astype(np.int32)), pa.array(keys.view(np.int64).ravel()))
-                columns = [batch.column(0).slice(i, j - i), pa.array(counts.astype(np.int64)), pa.array(f1.view(np.int64)), pa.array(f2.view(np.int64)), bands]
+                lists = pa.ListArray.from_arrays(pa.array(at.astype(np.int32)), pa.array(keys.view(np.int64).ravel()))
+                columns = [batch.column(0).slice(i, j - i), pa.array(counts.astype(np.int64)), pa.array(f1.view(np.int64)), pa.array(f2.view(np.int64)), lists]
                 yield pa.RecordBatch.from_arrays(columns + [pa.array(four[:, k].copy()) for k in range(4)], ["id", "n", "f1", "f2", "bands", "s0", "s1", "s2", "s3"])
 
     return run
@@ -105,7 +146,7 @@ def _sets(size: int, fold: bool):
         words = W.Words(fold)
         for batch in batches:
             for i, j, hashes, offsets in words.batches(batch.column(1)):
-                sets, off = shingle_sets(hashes, offsets, size)
+                sets, off, _ = shingle_sets(hashes, offsets, size)
                 packed = pa.array([sets[a:b].tobytes() for a, b in zip(off[:-1], off[1:], strict=True)], pa.binary())
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(i, j - i), packed], ["id", "set"])
 
@@ -130,7 +171,7 @@ def _possible(a: str, b: str, percent: int) -> Column:
     """Whether set sizes and sketches leave two nodes a chance."""
     fits = (F.col(f"{a}.n") * 100 >= F.col(f"{b}.n") * percent) & (F.col(f"{b}.n") * 100 >= F.col(f"{a}.n") * percent)
     bits = sum((BITS // 4 - F.bit_count(F.col(f"{a}.s{k}").bitwiseXOR(F.col(f"{b}.s{k}"))) for k in range(4)), F.lit(0))
-    return fits & (bits >= AGREE)
+    return fits & (bits >= plan(percent).agree)
 
 
 class _Sets:
@@ -194,6 +235,8 @@ def _met_in_blocks(open_rows: DataFrame, label: DataFrame, sketches: DataFrame,
 
 
 def _meet(percent: int):
+    least = plan(percent).agree
+
     def run(guests: pd.DataFrame, hosts: pd.DataFrame) -> pd.DataFrame:
         out = []
         if len(guests) and len(hosts):
@@ -204,7 +247,7 @@ def _meet(percent: int):
                 own = np.array([getattr(g, s) for s in names], np.int64)
                 agree = BITS - np.bitwise_count((sketch ^ own).view(np.uint64)).sum(axis=1, dtype=np.int64)
                 mine = np.frombuffer(g.set, np.uint64)
-                for k in np.flatnonzero((agree >= AGREE) & (n * 100 >= g.n * percent) & (g.n * 100 >= n * percent)):
+                for k in np.flatnonzero((agree >= least) & (n * 100 >= g.n * percent) & (g.n * 100 >= n * percent)):
                     both = len(np.intersect1d(mine, full[k], assume_unique=True))
                     if 100 * both >= percent * (len(mine) + len(full[k]) - both):
                         out.append((g.node, ids[k]))
@@ -224,13 +267,16 @@ def near_duplicates(docs: DataFrame, shingle: int = 2, percent: int = 80, fold:
     and it is kept.  An empty table gives an empty result.
 
     Returns doc_id, n_shingles, component_id, kept; links are in the sense of the whole
-    sets.  The chance that banding misses a pair at similarity 0.8 is about 1e-7, less above.
+    sets.  The chance that banding, or the sketch, misses a pair at the least similarity is at
+    most MISS, less above; bands and sketch bound follow from ``percent`` (see :func:`plan`).
+    Equal sets are told by 128 bits; shared shingles of two texts are counted by 64-bit hashes,
+    among which two of one pair of texts are equal by chance once in 1e11 for 10 000 shingles each.
     """
     spark = docs.sparkSession
     scratch = scratch or Scratch(spark, "near")
     texts = docs.select(F.col("doc_id").cast("long").alias("id"), W.terminated(F.col("text")).alias("text"))
     schema = "id long, n long, f1 long, f2 long, bands array<long>, s0 long, s1 long, s2 long, s3 long"
-    profiles = scratch.save(texts.mapInArrow(_profiles(shingle, fold), schema), "profiles")
+    profiles = scratch.save(texts.mapInArrow(_profiles(shingle, percent, fold), schema), "profiles")
 
     same = profiles.where("n > 0 and id is not null").groupBy("f1", "f2").agg(F.min("id").alias("node"), F.count(F.lit(1)).alias("size"))
     same = scratch.save(same, "same")
