@@ -1,128 +1,227 @@
 """Line deduplication by an exact set-similarity join.
 
 A line is the set of its words.  Words are ordered by rarity, so that two similar lines
-must share a word among the first few of each; only these prefixes are joined, length and
-position filters drop most of what they give, and the rest is verified on whole sets.
+must share a word among the first few of each; only these prefixes are joined.  Length and
+position filters, and a parity bitmap of each line's words that bounds what two lines can
+share, drop most pairs within the join; the rest is verified on the words themselves.
 Only DataFrame functions are used.
 
-Words are 63-bit numbers: the rarity rank of the word's class (``CLASSES`` of them, by
-hash, counted over all documents) above its hash.  Any order shared by all lines gives the
-same result; rarity only makes the join small.
+Rarity: words are counted over all documents in ``CLASSES`` classes by hash; a word's level
+is the logarithm of its class's count, which is never less than its own, and words of one
+level are ordered by hash.  Any order shared by all lines gives the same result; rarity
+makes the join small.
+
+Lines with equal sets become one before anything is joined.  Prefix words of large classes
+can stand in many lines: those lines are first compared with the ``CENTERS`` earliest that
+have the word, and a line that matches one of these needs no other partner; what is left
+of such words is joined by bands of length.
 """
 
 from __future__ import annotations
 
+import math
+
+import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 from .store import Scratch
 
-CLASSES = 4096
-_BITS = 51
+CLASSES = 1 << 18
+#: Occurrences of a class of words that make its words hot.
+HOT = 512
+#: Earliest lines with a hot word that all others with it are compared with first.
+CENTERS = 4
+#: Bits of the filter that says which lines' words are asked for, at most.
+FILTER = 1 << 26
+_BITS = 54
 _GAP = "[\\x20\\x09-\\x0D]+"
+#: Stands for a null doc_id, which comes first.
+_NULL = -(1 << 63)
+
+
+def _text(col: str = "text") -> Column:
+    return F.coalesce(F.col(col).cast("string"), F.lit(""))
 
 
-def _classes(docs: DataFrame) -> Column:
-    """Array of the rarity rank of each class, 0 the rarest, as a constant."""
-    words = docs.select(F.explode(F.split(F.coalesce("text", F.lit("")), _GAP)).alias("word"))
-    counts = words.groupBy(F.pmod(F.xxhash64("word"), F.lit(CLASSES)).cast("int").alias("class")).agg(F.count(F.lit(1)).alias("n"))
-    found = {r["class"]: r["n"] for r in counts.collect()}
-    order = sorted(range(CLASSES), key=lambda k: (found.get(k, 0), k))
-    rank = [0] * CLASSES
-    for place, k in enumerate(order):
-        rank[k] = place
-    return F.split(F.lit(",".join(map(str, rank))), ",").cast("array<bigint>")
+def _level(count: int | np.ndarray) -> np.ndarray:
+    return 1 + np.floor(4 * np.log2(np.maximum(count, 1))).astype(np.int64)
+
+
+def _levels(docs: DataFrame) -> Column:
+    """Array of the level of each class, 0 if it has no word, as a constant of CLASSES numbers."""
+    words = docs.select(F.explode(F.split(_text(), _GAP)).alias("word"))
+    counts = words.groupBy(F.xxhash64("word").bitwiseAND(F.lit(CLASSES - 1)).alias("class")).agg(F.count(F.lit(1)).alias("n")).toArrow()
+    level = np.zeros(CLASSES, np.int64)
+    level[counts.column("class").to_numpy()] = _level(counts.column("n").to_numpy())
+    return F.split(F.lit(",".join(map(str, level.tolist()))), ",").cast("array<smallint>")
 
 
 def _lines(docs: DataFrame) -> DataFrame:
-    text = F.coalesce(F.col("text").cast("string"), F.lit(""))
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.posexplode(F.split(text, "\n")).alias("line_no", "line"))
+    """(d, lk, line_no, line): d is doc_id with a number for null; lk orders the lines of a document
+    and, below that, tells texts of one doc_id apart."""
+    rows = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(_NULL)).alias("d"), F.xxhash64(_text()).alias("print"), _text().alias("text"))
+    rows = rows.select("d", "print", F.posexplode(F.split("text", "\n")).alias("line_no", "line"))
+    lk = F.shiftleft(F.col("line_no").cast("long"), 32).bitwiseOR(F.col("print").bitwiseAND(F.lit(0xFFFFFFFF)))
+    return rows.select("d", "print", "line_no", lk.alias("lk"), "line")
+
+
+def _split(line: Column) -> Column:
+    return F.array_remove(F.split(line, _GAP), "")
 
 
-def _words(line: Column, rank: Column) -> Column:
-    """Distinct words of a line as numbers, rarest first."""
-    mask = F.lit((1 << _BITS) - 1)
+def _words(line: Column, levels: Column) -> Column:
+    """Distinct words of a line as numbers, level above hash, rarest first."""
 
     def number(word: Column) -> Column:
         h = F.xxhash64(word)
-        return F.shiftleft(F.get(rank, F.pmod(h, F.lit(CLASSES)).cast("int")), _BITS).bitwiseOR(h.bitwiseAND(mask))
+        return F.shiftleft(F.get(levels, h.bitwiseAND(F.lit(CLASSES - 1)).cast("int")).cast("long"), _BITS).bitwiseOR(h.bitwiseAND(F.lit((1 << _BITS) - 1)))
 
-    return F.sort_array(F.array_distinct(F.transform(F.array_remove(F.split(line, _GAP), ""), number)))
+    return F.sort_array(F.array_distinct(F.transform(_split(line), number)))
 
 
 def _needs(overlap: Column, percent: int, a: Column, b: Column) -> Column:
     return overlap * (100 + percent) >= (a + b) * percent
 
 
+def _leads(docs: DataFrame, percent: int) -> DataFrame:
+    """The earliest line of every set of words: d, lk, n, parity bitmap, its first words and how many
+    of these are not hot."""
+    rows = _lines(docs).select("d", "lk", _words(F.col("line"), _levels(docs)).alias("words")).where(F.size("words") > 0)
+    n = F.size("words")
+    head = F.slice("words", F.lit(1), n - F.floor((n * percent + 99) / 100).cast("int") + 1)
+    parity = F.aggregate("words", F.lit(0).cast("long"), lambda bits, w: bits.bitwiseXOR(F.call_function("shiftleft", F.lit(1).cast("long"), F.shiftright(w, 20).bitwiseAND(F.lit(63)).cast("int"))))
+    hot = F.lit(int(_level(HOT)) << _BITS)
+    rows = rows.select("d", "lk", n.alias("n"), parity.alias("parity"), F.xxhash64("words").alias("f1"), F.xxhash64(F.lit(1), "words").alias("f2"), head.alias("head"))
+    rows = rows.select(
+        "d", "lk", "n", "parity", "f1", "f2",
+        F.size(F.filter("head", lambda w: w < hot)).alias("cold"),
+        F.transform("head", lambda w: (w.bitwiseAND(F.lit(0xFFFFFFFF)) - F.lit(1 << 31)).cast("int")).alias("head"),
+    )
+    first = F.min(F.struct("d", "lk", "n", "parity", "cold", "head")).alias("first")
+    return rows.groupBy("f1", "f2").agg(first).select("first.*")
+
+
+def _heads(leads: DataFrame) -> DataFrame:
+    """One row for each first word: packed is the size, the place and whether the line still looks for a partner."""
+    rows = leads.select("d", "lk", "n", "parity", "cold", "open", F.posexplode("head").alias("pos", "word"))
+    packed = F.shiftleft(F.col("n").cast("long"), 32).bitwiseOR(F.shiftleft(F.col("pos").cast("long"), 1)).bitwiseOR(F.col("open").cast("long"))
+    return rows.select("word", "d", "lk", "parity", packed.alias("packed"), (F.col("pos") >= F.col("cold")).alias("hot"))
+
+
+def _possible(percent: int) -> Column:
+    """Whether x is before y, y is open, and sizes, places and bitmaps leave the two a chance."""
+    nx, ny = (F.shiftright(F.col(f"{s}.packed"), 32) for s in "xy")
+    px, py = (F.shiftright(F.col(f"{s}.packed"), 1).bitwiseAND(F.lit(0x7FFFFFFF)) for s in "xy")
+    before = (F.col("x.d") < F.col("y.d")) | ((F.col("x.d") == F.col("y.d")) & (F.col("x.lk") < F.col("y.lk")))
+    length = (nx * 100 >= ny * percent) & (ny * 100 >= nx * percent)
+    place = _needs(F.least(nx - px, ny - py), percent, nx, ny)
+    shared = F.shiftright(nx + ny - F.bit_count(F.col("x.parity").bitwiseXOR(F.col("y.parity"))), 1)
+    # with x in it, this is tested in the join, so that both sides of a self-join are one exchange
+    opened = F.col("x.packed").bitwiseOR(F.lit(1)).bitwiseAND(F.col("y.packed")).bitwiseAND(F.lit(1)) == 1
+    return opened & length & place & before & _needs(shared, percent, nx, ny)
+
+
+def _pairs(x: DataFrame, y: DataFrame, on: list[str], percent: int) -> DataFrame:
+    same = [F.col(f"x.{c}") == F.col(f"y.{c}") for c in on]
+    condition = _possible(percent)
+    for c in same:
+        condition = c & condition
+    return x.alias("x").join(y.alias("y"), condition).select(F.col("x.d").alias("xd"), F.col("x.lk").alias("xk"), F.col("y.d").alias("yd"), F.col("y.lk").alias("yk"))
+
+
+def _bands(heads: DataFrame, percent: int, near: bool) -> DataFrame:
+    """Heads with a band of their line's length, or that one and the two beside it: lengths that can
+    match are in the same or in neighbouring bands."""
+    band = F.floor(F.log(F.shiftright(F.col("packed"), 32).cast("double")) / math.log(100 / min(percent, 99))).cast("int")
+    return heads.withColumn("band", F.explode(F.array(band - 1, band, band + 1)) if near else band)
+
+
+def _asked(lines: DataFrame, pairs: DataFrame, scratch: Scratch, name: str) -> DataFrame:
+    """Those of ``lines`` that ``pairs`` name, and a few more: a bitmap of at most FILTER bits is sent to
+    the lines, so that others are not shuffled."""
+    wanted = pairs.select(F.xxhash64("xd", "xk").alias("h")).union(pairs.select(F.xxhash64("yd", "yk"))).distinct()
+    wanted = scratch.save(wanted, f"{name}-wanted")
+    size = min(FILTER, max(1 << 15, 1 << math.ceil(math.log2(16 * max(1, wanted.count())))))
+    place = F.pmod("h", F.lit(size)) + 1
+    marked = wanted.groupBy(F.bitmap_bucket_number(place).alias("bucket")).agg(F.bitmap_construct_agg(F.bitmap_bit_position(place)).alias("bits"))
+    rows = lines.withColumn("h", F.xxhash64("d", "lk")).withColumn("place", place)
+    rows = rows.withColumns({"bucket": F.bitmap_bucket_number("place"), "at": F.bitmap_bit_position("place").cast("int")}).join(F.broadcast(marked), "bucket")
+    byte = F.conv(F.hex(F.expr("substring(bits, at div 8 + 1, 1)")), 16, 10).cast("int")
+    hit = F.call_function("shiftright", byte, F.expr("int(at % 8)")).bitwiseAND(F.lit(1)) == 1
+    return rows.where(hit).select("d", "lk", "line").dropDuplicates(["d", "lk"])
+
+
+def _confirmed(lines: DataFrame, pairs: DataFrame, percent: int, scratch: Scratch, name: str) -> DataFrame:
+    """(d, lk) of the later lines of those pairs whose words match."""
+    texts = scratch.save(_asked(lines, pairs, scratch, name), f"{name}-lines")
+    both = pairs.join(texts.select(F.col("d").alias("xd"), F.col("lk").alias("xk"), F.col("line").alias("x")), ["xd", "xk"])
+    both = both.join(texts.select(F.col("d").alias("yd"), F.col("lk").alias("yk"), F.col("line").alias("y")), ["yd", "yk"])
+    x, y = F.array_distinct(_split(F.col("x"))), F.array_distinct(_split(F.col("y")))
+    match = _needs(F.size(F.array_intersect(x, y)), percent, F.size(x), F.size(y))
+    return scratch.save(both.where(match).select(F.col("yd").alias("d"), F.col("yk").alias("lk")).distinct(), f"{name}-matched")
+
+
 def similar_lines(docs: DataFrame, percent: int = 80, scratch: Scratch | None = None) -> DataFrame:
-    """Which lines repeat an earlier one: (doc_id, line_no, n_words, removed).
+    """Which lines repeat an earlier one: (doc_id, print, line_no, n_words, removed).
 
     Lines are the parts of a text between line feeds, numbered from 0; null counts as empty.  Two
     lines match if they share at least ``percent`` % of all their distinct words.  A line is removed
     if any earlier line matches it, earlier meaning by (doc_id, line_no); lines without words match
-    nothing and stay.  Rows that share a doc_id share their line numbers, and equal lines at one
-    number are one line.  A null doc_id comes first.  An empty table gives an empty result.
+    nothing and stay.  print is a hash of the text, so that texts that share a doc_id are told
+    apart; among lines of one number it decides which is earlier.  Rows that repeat both doc_id and
+    text are one document read twice: their lines have the same answers.  A null doc_id comes first
+    (as does -2**63, which is taken for null).  An empty table gives an empty result.
     """
     scratch = scratch or Scratch(docs.sparkSession, "lines")
     docs = docs.select("doc_id", "text")
-    rank = _classes(docs)
-    rows = _lines(docs).select("doc_id", "line_no", _words(F.col("line"), rank).alias("words"))
-    n = F.size("words")
-    head = F.slice("words", F.lit(1), F.greatest(F.lit(1), n - F.floor((n * percent + 99) / 100).cast("int") + 1))
-    rows = rows.select("doc_id", "line_no", n.alias("n"), F.xxhash64("words").alias("f1"), F.xxhash64(F.lit(1), "words").alias("f2"), F.when(n > 0, head).alias("head"))
-    rows = scratch.save(rows, "rows")
-
-    first = F.min(F.struct("doc_id", "line_no")).alias("first")
-    sets = scratch.save(rows.where("n > 0").groupBy("f1", "f2").agg(first).select("f1", "f2", "first.*"), "sets")
-    same = F.col("s.doc_id").eqNullSafe(F.col("r.doc_id")) & (F.col("s.line_no") == F.col("r.line_no")) & (F.col("s.f1") == F.col("r.f1")) & (F.col("s.f2") == F.col("r.f2"))
-    leads = rows.where("n > 0").alias("r").join(sets.alias("s"), same, "left_semi")
-    heads = leads.select("doc_id", "line_no", "n", F.posexplode("head").alias("pos", "word"))
-    x, y = heads.alias("x"), heads.alias("y")
-    before = (F.col("x.doc_id").isNull() & F.col("y.doc_id").isNotNull()) | (F.col("x.doc_id") < F.col("y.doc_id")) | (F.col("x.doc_id").eqNullSafe(F.col("y.doc_id")) & (F.col("x.line_no") < F.col("y.line_no")))
-    length = (F.col("x.n") * 100 >= F.col("y.n") * percent) & (F.col("y.n") * 100 >= F.col("x.n") * percent)
-    place = _needs(F.least(F.col("x.n") - F.col("x.pos"), F.col("y.n") - F.col("y.pos")), percent, F.col("x.n"), F.col("y.n"))
-    pairs = x.join(y, (F.col("x.word") == F.col("y.word")) & before & length & place)
-    pairs = pairs.select(*(F.col(f"{s}.{c}").alias(f"{s}_{c}") for s in "xy" for c in ("doc_id", "line_no"))).distinct()
-    pairs = scratch.save(pairs, "pairs")
-
-    wanted = pairs.select(F.col("x_doc_id").alias("doc"), F.col("x_line_no").alias("no")).union(pairs.select("y_doc_id", "y_line_no")).distinct()
-    wanted = scratch.save(wanted.groupBy("doc").agg(F.collect_set("no").alias("nos")), "wanted")
-    asked = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(wanted.hint("shuffle_hash"), F.col("doc_id").eqNullSafe(F.col("doc")))
-    full = asked.select("doc_id", "nos", F.posexplode(F.split(F.coalesce("text", F.lit("")), "\n")).alias("line_no", "line"))
-    full = full.where(F.array_contains("nos", F.col("line_no"))).select("doc_id", "line_no", _words(F.col("line"), rank).alias("words"))
-    full = scratch.save(full, "full")
-
-    def with_words(side: str, table: DataFrame) -> DataFrame:
-        keys = F.col(f"{side}_doc_id").eqNullSafe(F.col("w.doc_id")) & (F.col(f"{side}_line_no") == F.col("w.line_no"))
-        return table.join(full.alias("w"), keys).select(*(F.col(c) for c in table.columns), F.col("w.words").alias(side))
-
-    both = with_words("y", with_words("x", pairs))
-    shared = F.size(F.array_intersect("x", "y"))
-    matched = both.where(_needs(shared, percent, F.size("x"), F.size("y"))).select(F.col("y_doc_id").alias("doc"), F.col("y_line_no").alias("no")).distinct()
-    return _decided(rows, sets, matched, scratch)
-
-
-def _decided(rows: DataFrame, sets: DataFrame, matched: DataFrame, scratch: Scratch) -> DataFrame:
-    matched = matched.withColumn("again", F.lit(True))
-    known = sets.withColumnRenamed("doc_id", "lead").withColumnRenamed("line_no", "lead_no")
-    known = known.join(matched, F.col("lead").eqNullSafe(F.col("doc")) & (F.col("lead_no") == F.col("no")), "left").select("f1", "f2", "lead", "lead_no", F.coalesce("again", F.lit(False)).alias("again"))
-    keyed = rows.where("n > 0").join(scratch.save(known, "known"), ["f1", "f2"])
-    lead = F.col("doc_id").eqNullSafe(F.col("lead")) & (F.col("line_no") == F.col("lead_no"))
-    keyed = keyed.select("doc_id", "line_no", F.col("n").cast("long").alias("n_words"), (~lead | F.col("again")).alias("removed"))
-    return keyed.union(rows.where("n = 0").select("doc_id", "line_no", F.lit(0).cast("long"), F.lit(False)))
+    lines = _lines(docs)
+    leads = scratch.save(_leads(docs, percent), "leads").withColumn("open", F.lit(True))
+
+    hot = scratch.save(_heads(leads.where(F.col("cold") < F.size("head"))).where("hot").drop("hot"), "hot")
+    first = Window.partitionBy("word").orderBy("d", "lk")
+    centers = hot.withColumn("turn", F.row_number().over(first)).where(F.col("turn") <= CENTERS)
+    pairs = scratch.save(_pairs(centers, hot, ["word"], percent).distinct(), "near-centers")
+    matched = _confirmed(lines, pairs, percent, scratch, "centers")
+    if not matched.isEmpty():
+        found = matched.withColumn("found", F.lit(True))
+        leads = leads.drop("open").join(found, ["d", "lk"], "left").withColumn("open", F.col("found").isNull())
+        hot = hot.join(found, ["d", "lk"], "left").withColumn("packed", F.when(F.col("found"), F.col("packed").bitwiseAND(F.lit(-2))).otherwise(F.col("packed")))
+
+    heads = _heads(leads).where("not hot").drop("hot")
+    pairs = _pairs(heads, heads, ["word"], percent)
+    beside = _bands(hot.where(F.col("packed").bitwiseAND(F.lit(1)) == 1), percent, True)
+    pairs = pairs.union(_pairs(_bands(hot, percent, False), beside, ["word", "band"], percent))
+    pairs = scratch.save(pairs.distinct(), "pairs")
+    matched = matched.union(_confirmed(lines, pairs, percent, scratch, "all")).distinct()
+
+    kept = scratch.save(leads.select("d", "lk").join(matched, ["d", "lk"], "left_anti"), "kept").withColumn("stays", F.lit(True))
+    words = F.size(F.array_distinct(_split(F.col("line")))).cast("long")
+    some = F.col("line").rlike("[^\\x20\\x09-\\x0D]")
+    out = lines.select("d", "print", "lk", "line_no", words.alias("n_words"), some.alias("some")).join(kept, ["d", "lk"], "left")
+    return out.select(F.nullif("d", F.lit(_NULL)).alias("doc_id"), "print", "line_no", "n_words", (F.col("some") & F.col("stays").isNull()).alias("removed"))
 
 
 def line_report(lines: DataFrame) -> DataFrame:
-    """Per document: doc_id, n_lines, n_removed, removed_lines (their numbers in order)."""
+    """Per document: doc_id, n_lines, n_removed, removed_lines (their numbers in order).
+
+    Texts that share a doc_id have a row each; rows that repeat doc_id and text have one.
+    """
+    return _report(lines).drop("print")
+
+
+def _report(lines: DataFrame) -> DataFrame:
     gone = F.sort_array(F.collect_set(F.when(F.col("removed"), F.col("line_no"))))
-    out = lines.groupBy("doc_id").agg(F.count(F.lit(1)).alias("n_lines"), F.sum(F.col("removed").cast("long")).alias("n_removed"), gone.alias("removed_lines"))
-    return out
+    out = lines.groupBy("doc_id", "print").agg((F.max("line_no") + 1).cast("long").alias("n_lines"), gone.alias("removed_lines"))
+    return out.select("doc_id", "print", "n_lines", F.size("removed_lines").cast("long").alias("n_removed"), "removed_lines")
 
 
 def drop_lines(docs: DataFrame, lines: DataFrame) -> DataFrame:
     """``docs`` with the removed lines taken out of text; other columns and rows as they are."""
-    gone = line_report(lines).where("n_removed > 0").select(F.col("doc_id").alias("__lines_of"), F.col("removed_lines").alias("__lines_gone"))
-    joined = docs.join(gone.hint("shuffle_hash"), docs["doc_id"].eqNullSafe(F.col("__lines_of")), "left")
+    gone = _report(lines).where("n_removed > 0").select(F.col("doc_id").alias("__lines_of"), F.col("print").alias("__lines_in"), F.col("removed_lines").alias("__lines_gone"))
+    same = docs["doc_id"].cast("long").eqNullSafe(F.col("__lines_of")) & (F.xxhash64(F.coalesce(docs["text"].cast("string"), F.lit(""))) == F.col("__lines_in"))
+    joined = docs.join(gone.hint("shuffle_hash"), same, "left")
     kept = F.filter(F.split("text", "\n"), lambda line, k: ~F.array_contains(F.col("__lines_gone"), k))
     text = F.when(F.col("__lines_gone").isNull(), F.col("text")).otherwise(F.array_join(kept, "\n"))
     return joined.withColumn("text", text).select(*docs.columns)
