@@ -18,7 +18,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from .store import Scratch
+from .store import Scratch, keyed
 
 GAP = "[\\x00-\\x2F\\x3A-\\x60\\x7B-\\x7F]+"
 TERMS = 200_000
@@ -52,7 +52,7 @@ class PositionalIndex:
     """Postings of training terms, in the shared folder."""
 
     def __init__(self, docs: DataFrame, scratch: Scratch):
-        """``docs`` has doc_id and text."""
+        """``docs`` has doc_id and text; doc_id should tell documents apart."""
         self.docs, self.scratch, self.made = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), scratch, 0
 
     def _passes(self, terms: DataFrame) -> list[DataFrame]:
@@ -145,13 +145,14 @@ def contamination(docs: DataFrame, items: DataFrame, length: int = 10, scratch:
 
     A window is ``length`` consecutive words of an item, or all its words if there are fewer.
     Null and empty texts have no words and no windows.  Items with a null item_id mark words
-    but are not named.  Rows that share a doc_id are one document to the matches: each gives a
-    row with the places found in any of them.  Empty tables give no matches or no rows.
+    but are not named.  Rows that share a doc_id, null included, are documents of their own unless
+    their texts are equal too.  Empty tables give no matches or no rows.
 
     Returns doc_id, n_words, n_hit, n_items, items_sha256, contaminated.
     """
-    scratch = scratch or Scratch(docs.sparkSession, "leaks")
-    index = PositionalIndex(docs, scratch)
+    own, scratch = scratch is None, scratch or Scratch(docs.sparkSession, "leaks")
+    docs, key, named = keyed(docs.select("doc_id", "text"), scratch)
+    index = PositionalIndex(docs.select(F.col(key).alias("doc_id"), "text"), scratch)
     phrases = scratch.save(phrases_of(items.select("item_id", "text"), length), "phrases")
     terms = phrases.select(F.explode("words").alias("term")).distinct()
     lists = scratch.save(rarest(phrases, index.frequencies(scratch.save(terms, "terms")), 2), "lists")
@@ -169,7 +170,9 @@ def contamination(docs: DataFrame, items: DataFrame, length: int = 10, scratch:
     rows = postings.where(F.col("term") == END).select("doc_id", F.col("pos").cast("long").alias("n_words"))
     out = rows.join(hits.withColumnRenamed("doc_id", "h"), F.col("doc_id").eqNullSafe(F.col("h")), "left")
     out = out.join(names.withColumnRenamed("doc_id", "m"), F.col("doc_id").eqNullSafe(F.col("m")), "left")
-    return out.select(
+    if named is not None:
+        out = out.join(named.withColumnRenamed("doc_id", "of"), F.col("doc_id") == F.col(key)).drop("doc_id", key).withColumnRenamed("of", "doc_id")
+    out = out.select(
         "doc_id",
         "n_words",
         F.coalesce("n_hit", F.lit(0)).cast("long").alias("n_hit"),
@@ -177,3 +180,4 @@ def contamination(docs: DataFrame, items: DataFrame, length: int = 10, scratch:
         F.sha2(F.coalesce(F.array_join("names", ","), F.lit("")), 256).alias("items_sha256"),
         (F.coalesce("n_hit", F.lit(0)) > 0).alias("contaminated"),
     )
+    return scratch.finish(out) if own else out

@@ -14,7 +14,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.utils import AnalysisException
 
-from .store import Scratch, shared_folder
+from .store import Scratch, free_name, shared_folder
 
 #: Deleted before texts are compared (code points 20, 09-0D).
 SPACES = " \t\n\x0b\x0c\r"
@@ -77,10 +77,13 @@ class DigestIndex:
         self.spark.catalog.refreshTable(self.name)
 
     def drop(self) -> None:
+        """The table and its files."""
         try:
             self.spark.sql(f"DROP TABLE IF EXISTS {self.name}")
         except AnalysisException:  # already gone with its session
             pass
+        path = self.spark._jvm.org.apache.hadoop.fs.Path(self.folder)
+        path.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(path, True)
 
 
 def _placed(rows: DataFrame, index: DataFrame, scratch: Scratch) -> DataFrame:
@@ -101,7 +104,8 @@ def exact_duplicates(docs: DataFrame, index: DigestIndex | None = None) -> DataF
     Texts are equal when they are once every space, tab, line feed, vertical tab, form feed and
     carriage return is deleted; null counts as empty, and empty texts are equal to each other.
     Of equal texts the longest original stays, then the smallest doc_id; null doc_ids come last.
-    With an index that already has a text, the row named there stays and none of ``docs``.
+    With an index that already has a text, the row named there stays and none of ``docs``, and
+    group_size counts it and the rows of ``docs``.  Without one, an index is made and dropped again.
     Rows that repeat both doc_id and size of the row that stays: one of them is kept.
     An empty table gives an empty result; other columns are ignored.
 
@@ -115,6 +119,10 @@ def exact_duplicates(docs: DataFrame, index: DigestIndex | None = None) -> DataF
     known = None if fresh else scratch.save(index.table().select("text_sha256"), "known")
     index.absorb(rows)
     out = _placed(rows, index.table(), scratch)
+    if known is not None:  # of a text that the index had, its row stands for one document
+        here = rows.groupBy("text_sha256").agg(F.count(F.lit(1)).alias("here")).join(known.withColumn("had", F.lit(1)), "text_sha256", "left")
+        here = here.select("text_sha256", (F.col("here") + F.coalesce("had", F.lit(0))).cast("long").alias("in_all"))
+        out = out.join(here, "text_sha256").withColumn("group_size", F.col("in_all")).drop("in_all")
     same = out.where(F.col("doc_id").eqNullSafe(F.col("keep_id")) & (F.col("size") == F.col("keep_size")))
     rest = out.where(~(F.col("doc_id").eqNullSafe(F.col("keep_id")) & (F.col("size") == F.col("keep_size"))))
     cols = ["doc_id", "keep_id", "group_size", "text_sha256"]
@@ -125,7 +133,10 @@ def exact_duplicates(docs: DataFrame, index: DigestIndex | None = None) -> DataF
         old = known.withColumn("old", F.lit(True))
         same = same.join(old, "text_sha256", "left").select(*cols, (F.col("kept") & F.col("old").isNull()).alias("kept"))
     out = same.unionByName(rest.select(*cols, F.lit(False).alias("kept")))
-    return out.select("doc_id", "keep_id", "group_size", "kept", "text_sha256")
+    out = scratch.finish(out.select("doc_id", "keep_id", "group_size", "kept", "text_sha256"))
+    if fresh:
+        index.drop()
+    return out
 
 
 def keep_first(docs: DataFrame) -> DataFrame:
@@ -133,20 +144,19 @@ def keep_first(docs: DataFrame) -> DataFrame:
 
     Of rows that repeat the doc_id and text of a row that stays, one stays.
     """
-    scratch = Scratch(docs.sparkSession, "first")
-    found = scratch.save(exact_duplicates(docs), "decisions")
+    found = exact_duplicates(docs)
+    of, sha, size, best = (free_name(docs.columns, c) for c in ("__id", "__sha", "__size", "__best"))
     rows = found.groupBy("doc_id", "text_sha256").agg(F.count(F.lit(1)).alias("n"), F.max("kept").alias("kept"))
-    gone = rows.where("not kept").select(F.col("doc_id").alias("__id"), F.col("text_sha256").alias("__sha"))
-    again = rows.where("kept and n > 1").select(F.col("doc_id").alias("__id"), F.col("text_sha256").alias("__sha"))
-    same = docs["doc_id"].cast("long").eqNullSafe(F.col("__id")) & (digest(docs["text"]) == F.col("__sha"))
+    gone = rows.where("not kept").select(F.col("doc_id").alias(of), F.col("text_sha256").alias(sha))
+    again = rows.where("kept and n > 1").select(F.col("doc_id").alias(of), F.col("text_sha256").alias(sha))
+    same = docs["doc_id"].cast("long").eqNullSafe(F.col(of)) & (digest(docs["text"]) == F.col(sha))
     kept = docs.join(gone.hint("shuffle_hash"), same, "left_anti")
     if again.isEmpty():
         return kept
-    same = kept["doc_id"].cast("long").eqNullSafe(F.col("__id")) & (digest(kept["text"]) == F.col("__sha"))
+    same = kept["doc_id"].cast("long").eqNullSafe(F.col(of)) & (digest(kept["text"]) == F.col(sha))
     once = kept.join(again.hint("shuffle_hash"), same, "left_anti")
     more = kept.join(again.hint("shuffle_hash"), same, "left_semi")
-    size = F.coalesce(F.length("text"), F.lit(0))
-    more = more.withColumns({"__sha": digest(F.col("text")), "__size": size})
-    columns = [c for c in docs.columns]
-    best = more.groupBy("doc_id", "__sha").agg(F.max(F.struct("__size", *[F.struct(F.col(c)).alias(f"v{k}") for k, c in enumerate(columns)])).alias("__best"))
-    return once.unionByName(best.select(*[F.col(f"__best.v{k}.{c}").alias(c) for k, c in enumerate(columns)]))
+    more = more.withColumns({sha: digest(F.col("text")), size: F.coalesce(F.length("text"), F.lit(0))})
+    columns = docs.columns
+    top = more.groupBy("doc_id", sha).agg(F.max(F.struct(F.col(size), *[F.struct(F.col(c)).alias(f"v{k}") for k, c in enumerate(columns)])).alias(best))
+    return once.unionByName(top.select(*[F.col(f"{best}.v{k}.{c}").alias(c) for k, c in enumerate(columns)]))

@@ -273,7 +273,7 @@ def near_duplicates(docs: DataFrame, shingle: int = 2, percent: int = 80, fold:
     among which two of one pair of texts are equal by chance once in 1e11 for 10 000 shingles each.
     """
     spark = docs.sparkSession
-    scratch = scratch or Scratch(spark, "near")
+    own, scratch = scratch is None, scratch or Scratch(spark, "near")
     texts = docs.select(F.col("doc_id").cast("long").alias("id"), W.terminated(F.col("text")).alias("text"))
     schema = "id long, n long, f1 long, f2 long, bands array<long>, s0 long, s1 long, s2 long, s3 long"
     profiles = scratch.save(texts.mapInArrow(_profiles(shingle, percent, fold), schema), "profiles")
@@ -336,11 +336,12 @@ def near_duplicates(docs: DataFrame, shingle: int = 2, percent: int = 80, fold:
     placed = same.join(label, "node", "left").select("f1", "f2", F.coalesce("component", "node").alias("component_id"))
     ids = profiles.select(F.col("id").alias("doc_id"), "n", "f1", "f2")
     out = ids.join(placed, ["f1", "f2"], "left")
-    return out.select(
+    out = out.select(
         "doc_id",
         F.col("n").alias("n_shingles"),
         F.when(F.col("n") > 0, F.col("component_id")).otherwise(F.col("doc_id")).alias("component_id"),
     ).select("*", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)).alias("kept"))
+    return scratch.finish(out) if own else out
 
 
 def _large(df: DataFrame) -> bool:

@@ -193,7 +193,7 @@ def repeated_substrings(docs: DataFrame, window: int = 35, texts: bool = False,
     Returns doc_id, n_words, n_removed, kept_sha256 (of the kept words joined by one space) and,
     with ``texts``, kept: those words, or null where nothing was removed.
     """
-    scratch = scratch or Scratch(docs.sparkSession, "substring")
+    own, scratch = scratch is None, scratch or Scratch(docs.sparkSession, "substring")
     levels = lengths(window)
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64(F.coalesce(F.col("text").cast("string"), F.lit(""))).alias("print"), W.terminated(F.col("text")).alias("text"))
     first = scratch.save(rows.mapInArrow(_first(levels, window), _MARK_TYPES), "marks-0")
@@ -226,4 +226,5 @@ def repeated_substrings(docs: DataFrame, window: int = 35, texts: bool = False,
     removed = F.when(whole, F.col("b.n_words")).otherwise(F.coalesce("c.n_removed", F.lit(0)))
     sha = F.when(whole, F.sha2(F.lit(""), 256)).otherwise(F.coalesce("c.sha", "b.sha"))
     columns = ["b.doc_id", "b.n_words", removed.cast("long").alias("n_removed"), sha.alias("kept_sha256")]
-    return out.select(*columns, *([F.when(whole, F.lit("")).otherwise(F.col("c.kept")).alias("kept")] if texts else []))
+    out = out.select(*columns, *([F.when(whole, F.lit("")).otherwise(F.col("c.kept")).alias("kept")] if texts else []))
+    return scratch.finish(out) if own else out
