@@ -19,8 +19,9 @@ from pyspark.sql.window import Window
 from .store import Scratch
 
 WEIGHTS = (3.0, 1.0, 2.0)
-#: Words that the dynamic programme fits exactly, at most; above, larger sizes are taken first.
-FIT = 1 << 16
+#: Words, or units of words, over which the dynamic programme runs, at most, and words that are left
+#: to it where the largest documents are taken first.
+FIT, KEEP = 1 << 20, 1 << 15
 
 
 def size_of(text: Column) -> Column:
@@ -53,48 +54,63 @@ def targets(sizes: Sequence[int], weights: Sequence[float], budget: float, most:
 def knapsack(sizes: Sequence[int], counts: Sequence[int], budget: int) -> list[int]:
     """How many of each size to take so that the sum is the largest possible within budget.
 
-    Bits of one integer are the reachable sums; counts are split into powers of two.
+    Counts are split into powers of two.  For every sum the step that first reached it is kept, so
+    that memory is in proportion to the budget, whatever the number of sizes.
     """
-    reach, steps, full = 1, [], (1 << (budget + 1)) - 1
+    reach, by, steps, out = np.zeros(budget + 1, np.bool_), np.zeros(budget + 1, np.int32), [], [0] * len(sizes)
+    reach[0], top = True, 0
     for k, (size, count) in enumerate(zip(sizes, counts, strict=True)):
-        if reach >> budget & 1:
+        if reach[budget]:
             break
         count, power = min(count, budget // size if size else 0), 1
         while count > 0:
             times = min(power, count)
-            grown = (reach | reach << size * times) & full
-            if grown != reach:
-                steps.append((k, times, reach))
-                reach = grown
+            last = min(top, budget - size * times) + 1
+            fresh = np.flatnonzero(reach[:last] & ~reach[size * times : size * times + last]) + size * times
+            if len(fresh):
+                reach[fresh], by[fresh], top = True, len(steps), max(top, int(fresh[-1]))
+                steps.append((k, times))
             count, power = count - times, power * 2
-    rest, out = reach.bit_length() - 1, [0] * len(sizes)
-    for k, times, before in reversed(steps):
-        if not before >> rest & 1:
-            out[k] += times
-            rest -= sizes[k] * times
+    while top:
+        k, times = steps[by[top]]
+        out[k] += times
+        top -= sizes[k] * times
+    return out
+
+
+def _fitted(sizes: np.ndarray, free: np.ndarray, budget: int, unit: int = 1) -> np.ndarray:
+    """The knapsack over documents that fit, in units of so many words, which sizes are rounded up to."""
+    out = np.zeros_like(free)
+    order = [k for k in np.argsort(-sizes, kind="stable") if 0 < sizes[k] <= budget and free[k] > 0]
+    if budget > 0 and order:
+        out[order] = knapsack([-(-int(sizes[k]) // unit) for k in order], [int(free[k]) for k in order], budget // unit)
     return out
 
 
 def fit(sizes: np.ndarray, counts: np.ndarray, budget: int) -> np.ndarray:
-    """Documents to take of each size so that their words come to budget as nearly as can be."""
+    """Documents to take of each size so that their words come to budget as nearly as can be.
+
+    A proportional share first.  Up to FIT words of the rest are fitted exactly.  Of a larger rest two
+    ways are tried and the better is taken: the largest documents down to what FIT words can fill,
+    and the knapsack over all of it, in units that make it at most FIT long.
+    """
     total = int((sizes * counts).sum())
     if budget >= total:
         return counts.copy()
-    taken = np.floor(counts * (budget / total)).astype(np.int64) if total else np.zeros_like(counts)
-    left = budget - int((sizes * taken).sum())
+    share = np.floor(counts * (budget / total)).astype(np.int64) if total else np.zeros_like(counts)
+    rest = budget - int((sizes * share).sum())
+    if rest <= FIT:
+        return share + _fitted(sizes, counts - share, rest)
+    greedy, left = share.copy(), rest
     for k in np.argsort(-sizes, kind="stable"):
-        if left <= FIT:
-            break
-        more = min(int(counts[k] - taken[k]), (left - FIT // 2) // max(1, int(sizes[k])))
-        if more > 0:
-            taken[k] += more
-            left -= more * int(sizes[k])
-    order = [k for k in np.argsort(-sizes, kind="stable") if 0 < sizes[k] <= left and taken[k] < counts[k]]
-    if left > 0 and order and left <= 4 * FIT:
-        extra = knapsack([int(sizes[k]) for k in order], [int(counts[k] - taken[k]) for k in order], left)
-        taken[order] += np.array(extra)
-        left -= sum(int(sizes[k]) * n for k, n in zip(order, extra, strict=True))
-    return taken
+        more = min(int(counts[k] - greedy[k]), max(0, left - KEEP) // max(1, int(sizes[k])))
+        greedy[k] += more
+        left -= more * int(sizes[k])
+    tries = [greedy, share + _fitted(sizes, counts - share, rest, -(-rest // FIT))]
+    for taken in tries:
+        left = budget - int((sizes * taken).sum())
+        taken += _fitted(sizes, counts - taken, min(left, FIT))
+    return max(tries, key=lambda taken: int((sizes * taken).sum()))
 
 
 def _plan(rows: pd.DataFrame) -> pd.DataFrame:
@@ -121,7 +137,7 @@ def mix(docs: DataFrame, weights: Sequence[float] = WEIGHTS, share: float = 1.5,
     Returns doc_id, size, source_size, target, taken.
     """
     spark = docs.sparkSession
-    scratch = scratch or Scratch(spark, "mix")
+    own, scratch = scratch is None, scratch or Scratch(spark, "mix")
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("source").cast("string").alias("source"), size_of(F.col("text")).alias("size"))
     rows = scratch.save(rows.withColumn("hash", F.xxhash64(F.lit(seed), "doc_id")), "sizes")
     by_size = rows.groupBy("source", "size").agg(F.count(F.lit(1)).alias("n"))
@@ -159,4 +175,5 @@ def mix(docs: DataFrame, weights: Sequence[float] = WEIGHTS, share: float = 1.5,
     order = Window.partitionBy("rank", "size", "part").orderBy("hash", F.col("doc_id").asc_nulls_last())
     edge = split.where("room < here and room > 0").withColumn("chosen", F.row_number().over(order) <= F.col("room"))
     cols = ["doc_id", "size", "source_size", "target", ((F.col("whole") + F.col("chosen").cast("int")) * F.col("size")).cast("long").alias("taken")]
-    return clear.select(*cols).unionByName(sure.select(*cols)).unionByName(edge.select(*cols))
+    out = clear.select(*cols).unionByName(sure.select(*cols)).unionByName(edge.select(*cols))
+    return scratch.finish(out) if own else out
