@@ -4,17 +4,20 @@ A page is cut into blocks at block-level tags.  First pass: what lies in a conta
 cannot be article text (menus, page headers and footers, sidebars, notices, adverts, forms,
 comments, scripts, styles, hidden parts) is left out; every other block is judged by link
 density, length and stop-word density as good, bad, near or short.  Few stop words are no evidence
-against a block, as the page may be in another language.  That a block lies in a marked article or
-main part is one feature: it allows more links there, and beside it only long text with stop
-words is good.  Second pass: short and near blocks inherit the label of their nearest decided
-neighbours; the page's ends count as neither.
+against a block, as the page may be in another language.  A class, id or role marks such a container
+only as a whole name, and never one that holds an article or main part.  That a block lies in a marked
+article or main part is one feature, if these parts hold at least half of the page's text: it allows
+more links there, and beside it only long text with stop words is good.  Second pass: short and near
+blocks inherit the label of their nearest decided neighbours; the page's ends count as neither.
 """
 
 from __future__ import annotations
 
 import re
+from collections import Counter
 from collections.abc import Iterator
 from html.parser import HTMLParser
+from typing import NamedTuple
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -26,12 +29,13 @@ BLOCKS = frozenset(
     "h1 h2 h3 h4 h5 h6 head header hgroup hr html legend li main menu nav ol option p pre section summary table tbody td tfoot th "
     "thead title tr ul".split()
 )
+HEADINGS = frozenset("h1 h2 h3 h4 h5 h6".split())
 # Tags without content.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 # Tags whose content is never article text.
 OUT = frozenset(
-    "head title script style noscript template nav footer aside form button select option textarea label iframe object svg canvas "
-    "dialog menu audio video applet math".split()
+    "head title script style noscript template nav footer aside form button select option textarea iframe object svg canvas "
+    "dialog menu audio video applet".split()
 )
 # Words of class, id and role that mark the same.
 HINTS = frozenset(
@@ -40,6 +44,13 @@ HINTS = frozenset(
     "breadcrumbs footer comment comments commentlist reply replies respond disqus related recommended share sharing social widget "
     "pagination pager toolbar login signin signup search copyright contentinfo complementary masthead topbar skip".split()
 )
+# Words that a name made of several may have beside one of these.
+BESIDE = frozenset(
+    "site page main global primary secondary top bottom left right side inner outer container wrapper wrap box list area section block bar links "
+    "link buttons button posts post article entry stories items item form panel unit slot region content".split()
+)
+# Words of a name that says what its element has or lacks, not what it is.
+SAYS = frozenset("has with no without non not is show shows hide hides enable enabled disable disabled free open closed on off allow allowed".split())
 # Words beside which a header belongs to the article.
 OWN = frozenset("article post entry story content title page".split())
 CLOSES_ITSELF = {"p": {"p"}, "li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "option": {"option"}, "tr": {"tr", "td", "th"}, "td": {"td", "th"}, "th": {"td", "th"}}
@@ -52,28 +63,50 @@ STOP = frozenset(
 )
 LINKS, OWN_LINKS, SHORT, LONG, FEW = 0.2, 0.5, 70, 200, 0.15
 _HIDDEN = re.compile(r"display\s*:\s*none|visibility\s*:\s*hidden", re.I)
+_RIGHTS = re.compile(r"(©|\(c\)|copyright\b)", re.I)
 _WORD = re.compile(r"[^\W\d_]+")
 
 
+class Open(NamedTuple):
+    """An open element and what holds within it."""
+
+    tag: str
+    out: bool
+    own: bool
+    heading: bool
+    linked: bool
+    marks: tuple[int, ...]
+
+
+_ROOT = Open("", False, False, False, False, ())
+
+
+def _named(name: str) -> bool:
+    """Whether a class, id or role says that its element is not article text: one of HINTS, or several
+    words that end in one or are all such or beside such, none of them in SAYS."""
+    parts = [w for w in re.split(r"[^a-z0-9]+", name) if w]
+    if not any(w in HINTS for w in parts) or any(w in SAYS for w in parts):
+        return False
+    return parts[-1] in HINTS or all(w in HINTS or w in BESIDE for w in parts)
+
+
 class Blocks(HTMLParser):
-    """Collects [text, letters within links, inside article or main, heading]."""
+    """Collects (text, letters within links, inside article or main, heading, numbers of the marks it lies in)."""
 
     def __init__(self) -> None:
         super().__init__(convert_charrefs=True)
-        self.found: list[tuple[str, int, bool, bool]] = []
-        self.open: list[tuple[str, bool, bool]] = []  # tag, left out, own part
+        self.found: list[tuple[str, int, bool, bool, tuple[int, ...]]] = []
+        self.stack: list[Open] = [_ROOT]
+        self.count: Counter[str] = Counter()
+        self.void_marks: set[int] = set()  # marks whose element holds an article or main part
         self.parts: list[str] = []
-        self.linked = self.breaks = 0
-
-    @property
-    def out(self) -> bool:
-        return bool(self.open) and self.open[-1][1]
+        self.linked = self.breaks = self.marks = 0
 
     def cut(self) -> None:
         text = " ".join("".join(self.parts).split())
         if text:
-            tags = [t for t, _, _ in self.open]
-            self.found.append((text, min(self.linked, len(text)), bool(self.open) and self.open[-1][2], any(re.fullmatch("h[1-6]", t) for t in tags)))
+            here = self.stack[-1]
+            self.found.append((text, min(self.linked, len(text)), here.own, here.heading, here.marks))
         self.parts, self.linked, self.breaks = [], 0, 0
 
     def handle_starttag(self, tag: str, attrs: list) -> None:
@@ -89,10 +122,16 @@ class Blocks(HTMLParser):
             self._close_own(tag)
         if tag in VOID:
             return
-        out, own = (self.open[-1][1:]) if self.open else (False, False)
-        if not out and tag not in ("html", "body", "main"):
-            out = tag in OUT or self._hinted(tag, dict(attrs), own)
-        self.open.append((tag, out, own or (tag in ("article", "main") and not out)))
+        here = self.stack[-1]
+        out, marks = here.out or tag in OUT or self._hidden(dict(attrs)), here.marks
+        if not out and tag not in ("html", "body", "main", "article") and self._hinted(tag, dict(attrs), here.own):
+            self.marks += 1
+            marks = (*marks, self.marks)
+        own = here.own or (tag in ("article", "main") and not out)
+        if own and not here.own:
+            self.void_marks.update(marks)
+        self.stack.append(Open(tag, out, own, here.heading or tag in HEADINGS, here.linked or tag == "a", marks))
+        self.count[tag] += 1
 
     def handle_startendtag(self, tag: str, attrs: list) -> None:
         self.handle_starttag(tag, attrs)
@@ -102,37 +141,47 @@ class Blocks(HTMLParser):
     def handle_endtag(self, tag: str) -> None:
         if tag in BLOCKS:
             self.cut()
-        for k in range(len(self.open) - 1, -1, -1):
-            if self.open[k][0] == tag:
-                del self.open[k:]
+        if not self.count[tag]:
+            return
+        for k in range(len(self.stack) - 1, 0, -1):
+            if self.stack[k].tag == tag:
+                self._close(k)
                 return
-            if tag not in BLOCKS and self.open[k][0] in BLOCKS:  # an inline end tag does not close blocks
+            if tag not in BLOCKS and self.stack[k].tag in BLOCKS:  # an inline end tag does not close blocks
                 return
 
     def handle_data(self, data: str) -> None:
-        if self.out:
+        here = self.stack[-1]
+        if here.out:
             return
         if not data.isspace():
             self.breaks = 0
-            if any(t == "a" for t, _, _ in self.open):
+            if here.linked:
                 self.linked += len(" ".join(data.split()))
         self.parts.append(data)
 
+    def _close(self, k: int) -> None:
+        self.count.subtract(x.tag for x in self.stack[k:])
+        del self.stack[k:]
+
     def _close_own(self, tag: str) -> None:
-        for k in range(len(self.open) - 1, -1, -1):
-            if self.open[k][0] in CLOSES_ITSELF[tag]:
-                del self.open[k:]
+        for k in range(len(self.stack) - 1, 0, -1):
+            if self.stack[k].tag in CLOSES_ITSELF[tag]:
+                self._close(k)
                 return
-            if self.open[k][0] in BLOCKS:
+            if self.stack[k].tag in BLOCKS:
                 return
 
-    def _hinted(self, tag: str, attrs: dict, own: bool) -> bool:
-        words = set(re.split(r"[^a-z0-9]+", " ".join(attrs.get(k) or "" for k in ("class", "id", "role")).lower()))
-        if "hidden" in attrs or attrs.get("aria-hidden") == "true" or _HIDDEN.search(attrs.get("style") or ""):
-            return True
-        if tag == "header" or "header" in words or "head" in words:
-            return not own and not words & OWN
-        return bool(words & HINTS)
+    @staticmethod
+    def _hidden(attrs: dict) -> bool:
+        return "hidden" in attrs or attrs.get("aria-hidden") == "true" or bool(_HIDDEN.search(attrs.get("style") or ""))
+
+    @staticmethod
+    def _hinted(tag: str, attrs: dict, own: bool) -> bool:
+        names = " ".join(attrs.get(k) or "" for k in ("class", "id", "role")).lower().split()
+        if tag == "header" or any(name.split("-")[-1] == "header" for name in names):
+            return not own and not any(w in OWN for name in names for w in re.split(r"[^a-z0-9]+", name))
+        return any(_named(name) for name in names)
 
 
 def blocks(html: str | None) -> list[tuple[str, int, bool, bool]]:
@@ -140,12 +189,12 @@ def blocks(html: str | None) -> list[tuple[str, int, bool, bool]]:
     parser.feed(html or "")
     parser.close()
     parser.cut()
-    return parser.found
+    return [block[:4] for block in parser.found if all(k in parser.void_marks for k in block[4])]
 
 
 def _judge(text: str, linked: int, own: bool, marked: bool) -> str:
     density = linked / len(text)
-    if density > (OWN_LINKS if own else LINKS) or ("©" in text and len(text) < LONG and not own):
+    if density > (OWN_LINKS if own else LINKS) or (not own and len(text) < LONG and _RIGHTS.match(text)):
         return "bad"
     words = _WORD.findall(text.lower())
     stop = sum(w in STOP for w in words) / max(1, len(words)) >= FEW
@@ -156,22 +205,38 @@ def _judge(text: str, linked: int, own: bool, marked: bool) -> str:
     return "good" if stop or len(text) > LONG else "near"
 
 
+def _marked(found: list[tuple[str, int, bool, bool]]) -> bool:
+    """Whether the article and main parts hold at least half of the text that is not in links."""
+    own = sum(len(text) - linked for text, linked, inside, _ in found if inside)
+    return own > 0 and 2 * own >= sum(len(text) - linked for text, linked, *_ in found)
+
+
 def classify(found: list[tuple[str, int, bool, bool]]) -> list[bool]:
     """Which blocks are text."""
-    marked = any(own for _, _, own, _ in found)
-    first = [_judge(text, linked, own, marked) for text, linked, own, _ in found]
+    marked = _marked(found)
+    first = [_judge(text, linked, own and marked, marked) for text, linked, own, _ in found]
     out = [k == "good" for k in first]
+
+    def passed(kind: str, k: int) -> bool:
+        return first[k] == "short" or (kind == "short" and first[k] == "bad" and marked and not found[k][2])
+
+    sides: dict[str, list[list[bool | None]]] = {}
+    for kind in ("short", "near"):  # the label of the nearest decided block on each side, None at the page's ends
+        label: list[bool | None] = [None, None]
+        before, after = [], []
+        for k in range(len(first)):
+            before.append(label[0])
+            if not passed(kind, k):
+                label[0] = first[k] in ("good", "near")
+        for k in range(len(first) - 1, -1, -1):
+            after.append(label[1])
+            if not passed(kind, k):
+                label[1] = first[k] in ("good", "near")
+        sides[kind] = [before, after[::-1]]
     for k, kind in enumerate(first):
-        if kind not in ("short", "near"):
-            continue
-        sides = []
-        for step in (-1, 1):
-            at = k + step
-            while 0 <= at < len(first) and (first[at] == "short" or kind == "short" and first[at] == "bad" and marked and not found[at][2]):
-                at += step
-            if 0 <= at < len(first):
-                sides.append(first[at] in ("good", "near"))
-        out[k] = any(sides) if kind == "near" else bool(sides) and all(sides)
+        if kind in sides:
+            near = [side[k] for side in sides[kind] if side[k] is not None]
+            out[k] = any(near) if kind == "near" else bool(near) and all(near)
     for k in range(len(found) - 2, -1, -1):  # a heading goes with the text right below it
         if found[k][3] and first[k] != "bad":
             out[k] = out[k] or out[k + 1]
