@@ -59,9 +59,9 @@ def op7_language_model(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op8_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
-    from .tokens import token_counts, zipf_scores
+    from .tokens import token_counts, piece_scores
 
-    return token_counts(_table(spark, sf_dir, "documents"), zipf_scores(TOKENIZER))
+    return token_counts(_table(spark, sf_dir, "documents"), piece_scores(TOKENIZER))
 
 
 def op9_html_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -81,7 +81,7 @@ def queries() -> dict[str, Query]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op1_benchmark_decontamination": OP1, "op4_exact_dedup": OP4, "op5_substring_dedup": OP5}
+    return {"op1_benchmark_decontamination": OP1, "op4_exact_dedup": OP4, "op5_substring_dedup": OP5, "op10_minhash_near_dedup": OP10}
 
 
 _WORDS = r"regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+')"
@@ -127,3 +127,15 @@ SELECT doc_id,
        text_sha256
 FROM d WINDOW w AS (PARTITION BY text_sha256 ORDER BY size DESC, doc_id)
 """
+
+OP10 = r"""
+WITH RECURSIVE d AS (SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS w FROM documents),
+s AS (SELECT doc_id, CASE WHEN len(w) = 0 THEN [] WHEN len(w) = 1 THEN [w[1]] ELSE list_distinct(list_transform(range(1, len(w)), lambda k: w[k] || ' ' || w[k + 1])) END AS s FROM d),
+n AS (SELECT doc_id, s, len(s) AS n FROM s),
+e AS (SELECT x.doc_id AS a, y.doc_id AS b FROM n x JOIN n y ON x.doc_id < y.doc_id AND x.n > 0 AND y.n > 0 AND 100 * least(x.n, y.n) >= 80 * greatest(x.n, y.n)
+      WHERE 180 * len(list_intersect(x.s, y.s)) >= 80 * (x.n + y.n)),
+l AS (SELECT a, b FROM e UNION SELECT b, a FROM e),
+r(doc_id, top) AS (SELECT doc_id, doc_id FROM n UNION SELECT l.b, r.top FROM r JOIN l ON l.a = r.doc_id AND r.top < l.b),
+c AS (SELECT doc_id, min(top) AS component_id FROM r GROUP BY 1)
+SELECT n.doc_id, CAST(n AS BIGINT) AS n_shingles, component_id, n.doc_id = component_id AS kept FROM n JOIN c USING (doc_id)
+"""

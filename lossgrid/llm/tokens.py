@@ -26,53 +26,83 @@ MARK = "▁"
 REMEMBER = 400_000
 
 
-def zipf_scores(model_file: str) -> dict[str, float]:
-    """Log-probabilities of a vocabulary's pieces if the k-th has a share of 1 / k.
+def piece_scores(model_file: str) -> dict[str, float]:
+    """Log-probabilities of a vocabulary's pieces; control, unknown and byte pieces are left out.
 
-    The files hold merge ranks, not probabilities; control, unknown and byte pieces are left out.
+    A file of a unigram model has them.  A file of a merge model has ranks instead (its scores are
+    0, -1, -2, ...), and the k-th piece is then given a share of 1 / k.
     """
     import sentencepiece
 
     model = sentencepiece.SentencePieceProcessor(model_file=model_file)
-    pieces = [model.id_to_piece(k) for k in range(model.get_piece_size()) if not (model.is_control(k) or model.is_unknown(k) or model.is_byte(k))]
-    norm = math.log(sum(1 / k for k in range(1, len(pieces) + 1)))
-    return {piece: -math.log(k) - norm for k, piece in enumerate(pieces, 1)}
+    ids = [k for k in range(model.get_piece_size()) if not (model.is_control(k) or model.is_unknown(k) or model.is_byte(k))]
+    scores = [model.get_score(k) for k in ids]
+    if any(x != round(x) for x in scores):
+        return {model.id_to_piece(k): x for k, x in zip(ids, scores, strict=True)}
+    norm = math.log(sum(1 / k for k in range(1, len(ids) + 1)))
+    return {model.id_to_piece(k): -math.log(place) - norm for place, k in enumerate(ids, 1)}
 
 
 class Trie:
     """Forward scores of pre-tokens, shared along common prefixes."""
 
     def __init__(self, scores: dict[str, float]):
-        self.scores, self.longest = scores, max(map(len, scores), default=1)
         self.fallback = min(scores.values(), default=0.0) - 10
         self.nodes = 0
+        # the vocabulary as a trie: the children of every node by character, and the score of a piece that ends there
+        self.children: list[dict[str, int]] = [{}]
+        self.score: list[float | None] = [None]
+        for piece, score in scores.items():
+            at = 0
+            for c in piece:
+                if c not in self.children[at]:
+                    self.children[at][c] = len(self.children)
+                    self.children.append({})
+                    self.score.append(None)
+                at = self.children[at][c]
+            self.score[at] = score
 
     def counts(self, words: list[str]) -> list[int]:
         """Number of pieces of each word; ``words`` sorted and distinct.
 
         A character that no piece covers costs one fallback piece for each of its UTF-8 bytes.  Of
-        equal sums the one with fewer pieces counts.
+        equal sums the one with fewer pieces counts.  Every node keeps the pieces that are open in it
+        (their place in the vocabulary's trie and the best way to their start), so that a character
+        looks only at pieces that can still match.
         """
-        scores, longest, fallback = self.scores.get, self.longest, self.fallback
-        best, pieces, out, last = [0.0], [0], [], ""
+        children, score, fallback, root = self.children, self.score, self.fallback, self.children[0]
+        path: list[tuple[float, int, list[tuple[int, float, int]]]] = [(0.0, 0, [])]
+        out, last = [], ""
         for word in words:
             depth, most = 0, min(len(last), len(word))
             while depth < most and last[depth] == word[depth]:
                 depth += 1
-            del best[depth + 1 :], pieces[depth + 1 :]
+            del path[depth + 1 :]
             self.nodes += len(word) - depth
-            for end in range(depth + 1, len(word) + 1):
-                size = len(word[end - 1].encode("utf-8", "surrogatepass"))
-                top, few = best[end - 1] + fallback * size, pieces[end - 1] + size
-                for start in range(max(0, end - longest), end):
-                    s = scores(word[start:end])
+            best, pieces, begun = path[-1]
+            for c in word[depth:]:
+                size = 1 if c < "\x80" else len(c.encode("utf-8", "surrogatepass"))
+                top, few, still = best + fallback * size, pieces + size, []
+                for node, before, n in begun:
+                    node = children[node].get(c)
+                    if node is not None:
+                        still.append((node, before, n))
+                        s = score[node]
+                        if s is not None:
+                            s += before
+                            if s > top or (s == top and n + 1 < few):
+                                top, few = s, n + 1
+                node = root.get(c)
+                if node is not None:
+                    still.append((node, best, pieces))
+                    s = score[node]
                     if s is not None:
-                        s += best[start]
-                        if s > top or (s == top and pieces[start] + 1 < few):
-                            top, few = s, pieces[start] + 1
-                best.append(top)
-                pieces.append(few)
-            out.append(pieces[-1])
+                        s += best
+                        if s > top or (s == top and pieces + 1 < few):
+                            top, few = s, pieces + 1
+                best, pieces, begun = top, few, still
+                path.append((best, pieces, begun))
+            out.append(pieces)
             last = word
         return out
 
