@@ -16,8 +16,10 @@ from collections.abc import Iterator
 import numpy as np
 import pandas as pd
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import BooleanType
 from pyspark.sql.window import Window
 
 from .lm import remainder
@@ -50,6 +52,7 @@ def _grams(codes: np.ndarray, owner: np.ndarray) -> tuple[np.ndarray, np.ndarray
     keep = np.ones(len(codes), np.bool_)
     keep[1:] = ~(blank[1:] & blank[:-1])
     codes, owner, blank = codes[keep].astype(np.uint64), owner[keep].astype(np.uint64), blank[keep]
+    owner = np.where(blank, np.append(owner[1:], owner[-1:]), owner)  # the blank between two texts begins the second
     parts = [(owner[~blank] << np.uint64(40)) | (mix64(codes[~blank]) & _LOW)]
     key = codes
     for n in range(2, LONGEST + 1):
@@ -111,10 +114,21 @@ def ranked(owner: np.ndarray, grams: np.ndarray, counts: np.ndarray, n: int) ->
     return owner[keep], grams[keep], rank[keep]
 
 
+#: Texts of a batch that are held as Python strings at once.
+FEW = 512
+
+
+def _runs(column: pa.Array) -> Iterator[tuple[int, int, np.ndarray, np.ndarray, np.ndarray]]:
+    """What :func:`counted` gives for a column, a slice of it at a time."""
+    for lo in range(0, len(column), FEW):
+        for i, j, owner, grams, counts in counted(column.slice(lo, FEW).to_pylist()):
+            yield lo + i, lo + j, owner, grams, counts
+
+
 def _sample_counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         names = batch.column(0).to_pylist()
-        for i, _, owner, grams, counts in counted(batch.column(1).to_pylist()):
+        for i, _, owner, grams, counts in _runs(batch.column(1)):
             frame = pd.DataFrame({"lang": np.array(names, object)[owner + i], "gram": grams.astype(np.int64), "n": counts})
             frame = frame.groupby(["lang", "gram"], as_index=False)["n"].sum()
             yield pa.RecordBatch.from_pandas(frame, preserve_index=False)
@@ -135,8 +149,7 @@ def _predict(shared):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         names, vocabulary, places = shared.value
         for batch in batches:
-            texts = batch.column(2).to_pylist()
-            for i, j, owner, grams, counts in counted(texts):
+            for i, j, owner, grams, counts in _runs(batch.column(2)):
                 owner, grams, rank = ranked(owner, grams, counts, j - i)
                 size = np.bincount(owner, minlength=j - i)
                 pred, score = np.full(j - i, UNKNOWN, object), np.zeros(j - i)
@@ -183,32 +196,22 @@ def identify(docs: DataFrame, folds: int = 3, held: int = 1, sample: int = SAMPL
     return rows.mapInArrow(_predict(shared_profiles(docs.sparkSession, table)), "doc_id long, held_out boolean, lang_pred string, score double")
 
 
-def _keep(shared, least: float):
-    predict = _predict(shared)
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            if not batch.num_rows:
-                continue
-            text = batch.column(batch.schema.get_field_index(_TEXT))
-            place = pa.array(range(batch.num_rows), pa.int64())
-            found = pa.Table.from_batches(predict(iter([pa.RecordBatch.from_arrays([place, place, text], ["doc_id", "held_out", "text"])]))).to_pandas()
-            keep = ((found["lang_pred"] != UNKNOWN) & (found["score"] >= least)).to_numpy()
-            yield batch.drop_columns([_TEXT]).filter(pa.array(keep))
-
-    return run
-
-
-_TEXT = "__text_to_identify"
-
-
 def keep_identified(docs: DataFrame, least: float, sample: int = SAMPLE) -> DataFrame:
     """Rows of ``docs``, all columns, whose text is in one of the languages of its column lang.
 
     Rejected are null texts, texts without a letter, and texts whose score is under ``least``.
-    All labelled rows may be learned from; if none is labelled, every text is rejected.
+    All labelled rows may be learned from; if none is labelled, every text is rejected.  Only the
+    text goes to Python, and one truth value for each comes back.
     """
     table = profiles(docs.select("doc_id", "lang", "text"), sample)
-    shared = shared_profiles(docs.sparkSession, table)
-    rows = docs.withColumn(_TEXT, F.coalesce(F.col("text").cast("string"), F.lit("")))
-    return rows.mapInArrow(_keep(shared, least), docs.schema)
+    predict = _predict(shared_profiles(docs.sparkSession, table))
+
+    @F.arrow_udf(BooleanType())
+    def keep(texts: Iterator[pa.Array]) -> Iterator[pa.Array]:
+        for column in texts:
+            place = pa.array(range(len(column)), pa.int64())
+            found = list(predict(iter([pa.RecordBatch.from_arrays([place, place, column], ["doc_id", "held_out", "text"])]))) if len(column) else []
+            parts = [pc.and_(pc.not_equal(b.column(2), UNKNOWN), pc.greater_equal(b.column(3), least)) for b in found]
+            yield pa.chunked_array(parts, pa.bool_()).combine_chunks() if parts else pa.array([], pa.bool_())
+
+    return docs.where(keep(F.coalesce(F.col("text").cast("string"), F.lit(""))))
