@@ -589,3 +589,170 @@ def test_empty_tables(spark, none):
         lm.language_model_scores(none), tokens.token_counts(none, {"a": -1.0}), minhash.near_duplicates(none), html.main_text(spark.createDataFrame([], "page_id long, url string, html string")),
     ):
         assert out.count() == 0
+
+
+@pytest.mark.parametrize("name", ["op1_benchmark_decontamination", "op4_exact_dedup", "op5_substring_dedup", "op10_minhash_near_dedup"])
+def test_sql_agrees(spark, sf, name):
+    import duckdb
+
+    con = duckdb.connect()
+    for t in ("documents", "benchmark"):
+        con.execute(f"CREATE VIEW {t} AS SELECT * FROM '{sf}/{t}.parquet'")
+    want, got = con.sql(Q.oracle_sql()[name]).df(), Q.queries()[name](spark, sf).toPandas()
+    cols = sorted(want.columns)
+    assert cols == sorted(got.columns)
+    rows = [sorted(map(repr, d[cols].astype(object).itertuples(index=False, name=None))) for d in (got, want)]
+    assert rows[0] == rows[1]
+
+
+def test_each_row_with_an_id_is_a_document(spark):
+    """Null and repeated ids: what one text has does not count for another."""
+    item = "one two three four five six seven eight nine ten eleven"
+    docs = spark.createDataFrame([(None, "clean text"), (None, f"x {item}"), (3, item), (3, "short"), (3, item), (4, "none")], "doc_id long, text string")
+    got = sorted((r["doc_id"] is None, r["n_words"], r["n_hit"], r["contaminated"]) for r in decontaminate.contamination(docs, spark.createDataFrame([(1, item)], "item_id long, text string")).collect())
+    assert got == [(False, 1, 0, False), (False, 1, 0, False), (False, 11, 11, True), (False, 11, 11, True), (True, 2, 0, False), (True, 12, 11, True)]
+
+
+def test_copies_of_indexed_texts_are_counted(spark):
+    before = {t.name for t in spark.catalog.listTables()}
+    index = exact.DigestIndex(spark, "digests_for_counts", buckets=2)
+    try:
+        exact.exact_duplicates(spark.createDataFrame([(1, "a b")], "doc_id long, text string"), index).collect()
+        more = spark.createDataFrame([(2, "ab"), (3, "a  b"), (4, "new")], "doc_id long, text string")
+        got = {r["doc_id"]: (r["keep_id"], r["group_size"], r["kept"]) for r in exact.exact_duplicates(more, index).collect()}
+        assert got == {2: (1, 3, False), 3: (1, 3, False), 4: (4, 1, True)}
+        exact.exact_duplicates(more).collect()
+    finally:
+        index.drop()
+    assert {t.name for t in spark.catalog.listTables()} == before
+
+
+def test_nothing_but_the_result_is_left(spark, docs, monkeypatch, tmp_path):
+    import os
+
+    from lossgrid.sources import scratch
+
+    monkeypatch.setattr(scratch, "shared_folder", lambda spark: str(tmp_path))
+    small = docs.where("doc_id < 200").select("doc_id", "text", "source")
+    for run in (minhash.near_duplicates, substring.repeated_substrings, mixing.mix, lm.language_model_scores):
+        run(small).count()
+    left = [sorted(os.listdir(tmp_path / d)) for d in os.listdir(tmp_path)]
+    assert len(left) == 4 and all(x == ["result"] for x in left)
+
+
+def test_budgets_of_large_documents():
+    def words_of(sizes, counts, budget):
+        return int((np.array(sizes) * mixing.fit(np.array(sizes, np.int64), np.array(counts, np.int64), budget)).sum())
+
+    assert words_of([290_000, 600_000], [1, 1], 300_000) == 290_000
+    assert words_of([300_000, 310_000, 320_000], [1, 1, 1], 610_000) == 610_000
+    rng = np.random.default_rng(5)
+    sizes = np.unique(rng.integers(1_000_000, 9_000_000, 40)) * 3
+    budget = int(sizes.sum() * 0.37)
+    assert 0 <= budget - words_of(sizes, np.ones(len(sizes), int), budget) < 0.001 * budget
+    for _ in range(200):
+        sizes = np.unique(rng.integers(1, 30, rng.integers(1, 6)))
+        counts, budget = rng.integers(0, 4, len(sizes)), int(rng.integers(1, 120))
+        reach = {0}
+        for size, n in zip(sizes.tolist(), counts.tolist(), strict=True):
+            reach = {x + size * k for x in reach for k in range(n + 1) if x + size * k <= budget}
+        took = mixing.knapsack(sizes.tolist(), counts.tolist(), budget)
+        assert (sizes * took).sum() == max(reach) and (np.array(took) <= counts).all()
+
+
+def brute_language(text, profiles):
+    """Out-of-place distances with dictionaries of spelled n-grams; of equal counts the smaller hash is first."""
+    low = "".join(c.lower()[0] if c.isalpha() else " " for c in text)
+    grams = collections.Counter()
+    for w in low.split():
+        padded = f" {w} "
+        for n in range(1, language.LONGEST + 1):
+            grams.update(g for k in range(len(padded) - n + 1) if (g := padded[k : k + n]).strip() and " " not in g[1:-1] and not (n > 1 and g[0] == g[-1] == " "))
+    order = sorted(grams, key=lambda g: (-grams[g], gram_hash(g)))[: language.TOP]
+    far = {}
+    for name, places in profiles.items():
+        far[name] = sum(abs(places[gram_hash(g)] - k) if gram_hash(g) in places else language.TOP for k, g in enumerate(order))
+    best = min(sorted(far), key=lambda x: far[x])
+    return best, 1 - far[best] / (language.TOP * len(order))
+
+
+def gram_hash(g):
+    low, key = (1 << 64) - 1, ord(g[0])
+    for n, c in enumerate(g[1:], 2):
+        key = (key * 0x100000001B3 & low) ^ (ord(c) + (n << 22))
+    return int(W.mix64(np.array([key], np.uint64))[0]) & ((1 << 40) - 1)
+
+
+def test_out_of_place_against_brute_force(spark):
+    sf = "/root/testdata/sf0.001"
+    docs = spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text", "lang")
+    extra = [(900_001, "Ünïcödé ÀÉÎ straße 東京 tower the of", None), (900_002, "a", None), (900_003, "the " * 90_000 + "y" * 300_000, None), (900_004, "12 34", None)]
+    docs = docs.unionByName(spark.createDataFrame(extra, docs.schema))
+    from pyspark.sql import functions as F
+
+    held = F.coalesce(lm.remainder(F.col("doc_id"), 3) == 1, F.lit(False))
+    table = language.profiles(docs.where(~held))
+    places = {name: dict(zip(rows["gram"], rows["rank"], strict=True)) for name, rows in table.groupby("lang")}
+    got = {r["doc_id"]: (r["lang_pred"], r["score"]) for r in language.identify(docs).collect()}
+    for i, t, _ in docs.collect():
+        if not any(c.isalpha() for c in t or ""):
+            assert got[i] == ("und", 0.0)
+        else:
+            name, score = brute_language(t, places)
+            assert got[i] == (name, pytest.approx(score, abs=1e-9)), i
+
+
+STORY = "<p>The story of the town and the river is told by the people that live in it and by those who had to leave for work.</p>"
+
+
+@pytest.mark.parametrize("page", ['<article class="post has-comments">{}</article>', '<div class="content ad-free">{}</div>', '<div class="article-share-enabled">{}</div>', '<div class="with-sidebar">{}</div>', '<div class="layout-sidebar"><article>{}</article></div>', '<div id="widget-area"><main>{}</main></div>'])
+def test_article_is_not_swallowed_by_its_names(page):
+    assert html.extract(page.format(STORY * 3)).count("story") == 3
+
+
+@pytest.mark.parametrize("name", ["site-footer", "cookie-banner", "ad", "comments", "comment-list", "sidebar-left", "related-posts", "share-buttons", "post-comments", "notice"])
+def test_named_parts_are_left_out(name):
+    for attr in ("class", "id"):
+        assert html.extract(f'<div {attr}="{name}">{STORY}</div><div>{STORY * 3}</div>').count("story") == 3
+
+
+def test_sentences_stay_whole():
+    assert "©" in html.extract(f"<div>{STORY}<p>The photo © by the painter is of the town and of the river that it was made for.</p>{STORY}</div>")
+    line = html.extract("<p>Fill in <label>the name</label> of the <math><mi>x</mi></math> axis, which is the one that goes from left to right on the page.</p>")
+    assert line.startswith("Fill in the name of the x axis")
+    assert html.extract(f"<article><h2>Teaser</h2><p>Read more of it.</p></article><div>{STORY * 6}</div>").count("story") == 6
+    other = "<p>" + "Nyelvi szöveg amelyben nincsenek ismert gyakori szavak, mégis hosszú bekezdés marad, mert senki sem tudja miért törölnénk ki. " * 2 + "</p>"
+    assert html.extract(f"<div>{other * 3}</div>").count("Nyelvi") == 6
+
+
+def test_deep_and_long_pages():
+    import time
+
+    began = time.process_time()
+    assert "story" in html.extract("<div><b>" * 20_000 + STORY + "</i></b></div></span>" * 20_000)
+    assert html.extract(f"{STORY}" * 5_000).count("story") == 5_000
+    assert time.process_time() - began < 60
+
+
+def test_lines_of_repeated_ids_and_large_groups(spark, monkeypatch):
+    """Texts that share an id are told apart, and hot words give what a plain comparison gives."""
+    monkeypatch.setattr(lines, "HOT", 8)
+    monkeypatch.setattr(lines, "HOT_ROOT", 1 << 30)
+    rng = random.Random(11)
+    base = [f"b{k}" for k in range(30)]
+    rows = []
+    for k in range(120):
+        w = list(base)
+        for at in rng.sample(range(30), rng.randrange(0, 6)):
+            w[at] = f"n{rng.randrange(40)}"
+        rows.append((rng.choice([1, 2, 3, 4, None]), " ".join(w) + "\n" + prose(rng, 12)))
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    got = {(r["doc_id"], r["print"], r["line_no"]): r["removed"] for r in lines.similar_lines(docs).collect()}
+    prints = {(r[0], r[1]): r[2] for r in docs.selectExpr("doc_id", "text", "xxhash64(text)").collect()}
+    order = sorted({(i if i is not None else -(1 << 63), k, prints[i, t] & 0xFFFFFFFF, i, prints[i, t], line) for i, t in rows for k, line in enumerate(t.split("\n"))}, key=lambda r: r[:3])
+    seen, want = [], {}
+    for _, k, _, i, p, line in order:
+        s = frozenset(words(line))
+        want[i, p, k] = any(180 * len(s & o) >= 80 * (len(s) + len(o)) for o in seen)
+        seen.append(s)
+    assert got == want and sum(want.values()) > 50

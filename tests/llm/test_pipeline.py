@@ -68,3 +68,56 @@ def test_rejected_languages(spark):
     docs = spark.createDataFrame([(1, "the house of the hill and the sea", "en", 1), (2, "...", "en", 2), (3, None, "en", 3), (None, "and the sea of the hill", None, 4)], "doc_id long, text string, lang string, score int")
     kept = language.keep_identified(docs, P.LEAST_SCORE)
     assert kept.columns == docs.columns and sorted(r["score"] for r in kept.collect()) == [1, 4]
+
+
+COLUMNS = "doc_id long, text string, lang string, source string, n_chars long, __key long, __GONE string, __sha string, __id long, __size long"
+TEXT = "the house of the hill and the sea was in the town that is by the river and it had been there for as long as anyone knew"
+
+
+def test_odd_rows_in_every_stage(spark):
+    other = "a boat from the other side of the lake came in with the wind and with some people that nobody in the place had seen before"
+    leak = spark.read.parquet(f"{SF}/benchmark.parquet").where("length(text) > 200").first()["text"]
+    more = (None, 0, 1, "x", "s", 2, 3)
+    rows = [
+        (1, TEXT, "en", "a", 1, *more[1:2], "x", "s", 2, 3),
+        (1, other + " one", "en", "a", 1, 0, "x", "s", 2, 3),  # the same id, another text
+        (None, TEXT + " " + other, "en", "b", 1, 0, "x", "s", 2, 3),
+        (None, TEXT + " " + other, "en", "b", 1, 0, "x", "s", 2, 3),  # read twice
+        (None, leak, "en", None, 1, 0, "x", "s", 2, 3),
+        (4, other + " two", "en", "b", 1, 0, "x", "s", 2, 3),  # near the second row
+        (5, None, None, None, None, None, None, None, None, None),
+        (6, "", "en", "a", 0, 0, "x", "s", 2, 3),
+    ]
+    docs = spark.createDataFrame(rows, COLUMNS)
+    names, out = dict(P.STAGES), docs
+    exact_ = names["exact dedup"](spark, docs, SF)
+    assert exact_.columns == docs.columns and sorted(r["text"] or "" for r in exact_.collect()) == sorted(["", TEXT, other + " one", other + " two", TEXT + " " + other, leak])
+    near = names["near dedup"](spark, docs, SF)
+    kept = [r["text"] for r in near.collect()]
+    assert near.columns == docs.columns and TEXT in kept and (other + " one" in kept) != (other + " two" in kept)
+    clean = names["benchmark decontamination"](spark, docs, SF)
+    assert clean.columns == docs.columns and sorted(r["text"] or "" for r in clean.collect()) == sorted(r[1] or "" for r in rows if r[1] != leak)
+    for _, stage in P.STAGES[:-1]:
+        out = spark.createDataFrame(stage(spark, out, SF).collect(), docs.schema)
+    mixed = P.STAGES[-1][1](spark, out, SF).collect()
+    assert 0 < len(mixed) == out.count()
+
+
+def test_empty_table_in_every_stage(spark):
+    none = spark.createDataFrame([], COLUMNS)
+    for _, stage in P.STAGES:
+        assert stage(spark, none, SF).count() == 0
+
+
+def test_foreign_and_random_letters_go(spark):
+    import random
+
+    rng = random.Random(3)
+    docs = spark.read.parquet(f"{SF}/documents.parquet").select("doc_id", "text", "lang")
+    noise = [(10_000 + k, " ".join("".join(rng.choice("abcdefghijklmnopqrstuvwxyz") for _ in range(rng.randrange(2, 9))) for _ in range(60)), None) for k in range(20)]
+    foreign = [(20_000, "Wszyscy ludzie rodzą się wolni i równi pod względem swej godności i swych praw", None), (20_001, "Kaikki ihmiset syntyvät vapaina ja tasavertaisina arvoltaan ja oikeuksiltaan", None)]
+    both = docs.unionByName(spark.createDataFrame(noise + foreign, docs.schema))
+    kept = {r["doc_id"] for r in language.keep_identified(both, P.LEAST_SCORE).select("doc_id").collect()}
+    assert not {i for i in kept if i >= 10_000}
+    clean = {r["doc_id"] for r in docs.collect() if any(c.isalpha() for c in r["text"] or "")}
+    assert kept == clean
