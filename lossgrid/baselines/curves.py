@@ -5,25 +5,34 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-BITS = 16
-
-
 def portable_hash(key: Column) -> Column:
     """A multiplicative hash that any engine can repeat."""
     return F.pmod(key.cast("long") * F.lit(2654435761), F.lit(1 << 32))
 
 
-def zorder(row: Column, col: Column) -> Column:
-    """Interleaved bits of row and column."""
+def bits_of(cells: DataFrame) -> int:
+    """Bits of the largest row or column."""
+    return max(1, int(cells.agg(F.greatest(F.max("row"), F.max("col"))).first()[0] or 0).bit_length())
+
+
+def zorder(row: Column, col: Column, bits: int = 31) -> Column:
+    """Interleaved bits of row and column, which are below 2**bits."""
+    if not 1 <= bits <= 31:
+        raise ValueError("1 to 31 bits fit a place on the curve")
     out = F.lit(0).cast("long")
-    for k in range(BITS):
+    for k in range(bits):
         for shift, v in ((2 * k, col), (2 * k + 1, row)):
             out = out.bitwiseOR(F.shiftleft(F.shiftright(v.cast("long"), k).bitwiseAND(F.lit(1)), shift))
     return out
 
 
-def hilbert(row: Column, col: Column, order: int = 10) -> Column:
-    """Place on the Hilbert curve over a 2**order square, as a fold over the bits."""
+def hilbert(row: Column, col: Column, order: int = 31) -> Column:
+    """Place on the Hilbert curve over a 2**order square, as a fold over the bits.
+
+    Rows and columns are below 2**order.
+    """
+    if not 1 <= order <= 31:
+        raise ValueError("an order of 1 to 31 fits a place on the curve")
     start = F.struct(row.cast("long").alias("x"), col.cast("long").alias("y"), F.lit(0).cast("long").alias("d"))
 
     def turn(acc: Column, s: Column) -> Column:
@@ -69,8 +78,12 @@ def equal_load(cells: DataFrame, key: Column, g: int) -> DataFrame:
 
 
 def zorder_parts(cells: DataFrame, g: int) -> DataFrame:
-    return equal_load(cells, zorder(F.col("row"), F.col("col")), g)
+    return equal_load(cells, zorder(F.col("row"), F.col("col"), bits_of(cells)), g)
 
 
-def hilbert_parts(cells: DataFrame, g: int, order: int = 10) -> DataFrame:
-    return equal_load(cells, hilbert(F.col("row"), F.col("col"), order), g)
+def hilbert_parts(cells: DataFrame, g: int, order: int | None = None) -> DataFrame:
+    """Along the curve over the smallest square that holds the grid, or one of the order given."""
+    least = bits_of(cells)
+    if order is not None and order < least:
+        raise ValueError(f"the grid needs an order of {least}")
+    return equal_load(cells, hilbert(F.col("row"), F.col("col"), order or least), g)

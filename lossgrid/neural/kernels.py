@@ -11,21 +11,23 @@ from ..plans.spec import TrainConfig
 
 @dataclass
 class ArrayGraph:
-    """Edges in both directions sorted by source; ``at`` has each node's first edge."""
+    """Edges in both directions sorted by source; ``whole`` has the nodes' degrees where the edges here
+    are not all they have."""
 
     src: np.ndarray
     dst: np.ndarray
     w: np.ndarray
     n: int
+    whole: np.ndarray | None = None
 
     @staticmethod
-    def of(src: np.ndarray, dst: np.ndarray, w: np.ndarray, n: int) -> ArrayGraph:
+    def of(src: np.ndarray, dst: np.ndarray, w: np.ndarray, n: int, whole: np.ndarray | None = None) -> ArrayGraph:
         by = np.lexsort((dst, src))
-        return ArrayGraph(src[by], dst[by], w[by].astype(float), n)
+        return ArrayGraph(src[by], dst[by], w[by].astype(float), n, whole)
 
     @property
     def deg(self) -> np.ndarray:
-        return np.bincount(self.src, self.w, self.n)
+        return np.bincount(self.src, self.w, self.n) if self.whole is None else self.whole
 
     def times(self, x: np.ndarray) -> np.ndarray:
         """A x."""
@@ -118,24 +120,38 @@ def softmax(z: np.ndarray) -> np.ndarray:
     return e / e.sum(axis=1, keepdims=True)
 
 
-def objective(graph: ArrayGraph, load: np.ndarray, y: np.ndarray, form: str = "cut", scale: str = "mean", alpha: float = 1.0) -> tuple[float, float, np.ndarray]:
-    """Expected normalized cut, balance term, and the gradient of their weighted sum by y."""
-    deg, g = graph.deg, y.shape[1]
-    s, vol = y.sum(axis=0), np.maximum(y.T @ deg, 1e-12)
-    ay = graph.times(y)
-    inner = (y * ay).sum(axis=0)
-    loads = y.T @ load
-    mean = load.sum() / g
+def part_sums(graph: ArrayGraph, load: np.ndarray, y: np.ndarray, own: np.ndarray | slice = slice(None)) -> np.ndarray:
+    """Sums over the own nodes that the objective is made of, by part: of Y, Y D, Y A Y, Y F and, the same
+    for all parts, of F / g."""
+    y1 = y[own]
+    return np.stack([y1.sum(axis=0), y1.T @ graph.deg[own], (y1 * graph.times(y)[own]).sum(axis=0), y1.T @ load[own], np.full(y.shape[1], load[own].sum() / y.shape[1])])
+
+
+def terms(sums: np.ndarray, form: str = "cut", scale: str = "mean") -> tuple[float, float]:
+    """Expected normalized cut and balance term of the sums over all nodes."""
+    s, vol, inner, loads, (mean, *_) = sums
+    g, vol = len(s), np.maximum(vol, 1e-12)
+    over = mean * mean if scale == "mean" and mean > 0 else 1.0
+    cut = g - (inner / vol).sum() if form == "cut" else ((s * s - inner) / vol).sum()
+    return float(cut), float(((loads - mean) ** 2).sum() / over)
+
+
+def slope(graph: ArrayGraph, load: np.ndarray, y: np.ndarray, sums: np.ndarray, form: str = "cut", scale: str = "mean", alpha: float = 1.0, beta: float = 1.0) -> np.ndarray:
+    """Gradient by y of beta times the cut and alpha times the balance term, given the sums over all nodes."""
+    s, vol, inner, loads, (mean, *_) = sums
+    deg, ay, vol = graph.deg, graph.times(y), np.maximum(vol, 1e-12)
     over = mean * mean if scale == "mean" and mean > 0 else 1.0
-    balance = float(((loads - mean) ** 2).sum() / over)
     if form == "cut":
-        cut = float(g - (inner / vol).sum())
         grad = -2 * ay / vol + (inner / vol**2)[None, :] * deg[:, None]
     else:
-        cut = float(((s * s - inner) / vol).sum())
         grad = (2 * s[None, :] - 2 * ay) / vol - ((s * s - inner) / vol**2)[None, :] * deg[:, None]
-    grad = grad + alpha * 2 * load[:, None] * (loads - mean)[None, :] / over
-    return cut, balance, grad
+    return beta * grad + alpha * 2 * load[:, None] * (loads - mean)[None, :] / over
+
+
+def objective(graph: ArrayGraph, load: np.ndarray, y: np.ndarray, form: str = "cut", scale: str = "mean", alpha: float = 1.0, beta: float = 1.0) -> tuple[float, float, np.ndarray]:
+    """Expected normalized cut, balance term, and the gradient of their weighted sum by y."""
+    sums = part_sums(graph, load, y)
+    return *terms(sums, form, scale), slope(graph, load, y, sums, form, scale, alpha, beta)
 
 
 class Network:
@@ -195,14 +211,14 @@ class Step:
             weights[k] -= self.cfg.lr * (self.m[k] / (1 - 0.9**self.t)) / (np.sqrt(self.v[k] / (1 - 0.999**self.t)) + 1e-8)
 
 
-def fit(graph: ArrayGraph, x: np.ndarray, load: np.ndarray, cfg: TrainConfig) -> tuple[Network, list[dict]]:
-    """Weights with the lowest objective seen; ends after ``patience`` epochs without a better one."""
-    net, step, trace = Network(x.shape[1], cfg), Step(cfg), []
+def descend(net: Network, look, back) -> list[dict]:
+    """Leaves the weights with the lowest objective seen in ``net``; ends after ``patience`` epochs without
+    a better one.  ``look(epoch)`` gives cut and balance, ``back()`` the gradients after it."""
+    cfg, step, trace = net.cfg, Step(net.cfg), []
     best, kept, since = np.inf, None, 0
     for epoch in range(cfg.epochs):
-        y = net.forward(graph, x, epoch)
-        cut, balance, grad = objective(graph, load, y, cfg.form, cfg.balance_scale, cfg.alpha)
-        total = cut + cfg.alpha * balance
+        cut, balance = look(epoch)
+        total = cfg.beta * cut + cfg.alpha * balance
         trace.append({"epoch": epoch, "cut": cut, "balance": balance, "objective": total})
         if total < best - 1e-6:
             best, kept, since = total, {k: v.copy() for k, v in net.weights.items()}, 0
@@ -210,14 +226,28 @@ def fit(graph: ArrayGraph, x: np.ndarray, load: np.ndarray, cfg: TrainConfig) ->
             since += 1
             if since > cfg.patience:
                 break
-        step(net.weights, net.backward(y, grad))
+        step(net.weights, back())
     net.weights = kept or net.weights
+    return trace
+
+
+def fit(graph: ArrayGraph, x: np.ndarray, load: np.ndarray, cfg: TrainConfig) -> tuple[Network, list[dict]]:
+    """A network trained on a graph in memory."""
+    net, now = Network(x.shape[1], cfg), {}
+
+    def look(epoch: int) -> tuple[float, float]:
+        now["y"] = net.forward(graph, x, epoch)
+        cut, balance, now["grad"] = objective(graph, load, now["y"], cfg.form, cfg.balance_scale, cfg.alpha, cfg.beta)
+        return cut, balance
+
+    trace = descend(net, look, lambda: net.backward(now["y"], now["grad"]))
     return net, trace
 
 
 def harden(y: np.ndarray, load: np.ndarray, graph: ArrayGraph, slack: float | None = None, rounds: int = 30) -> np.ndarray:
     """Most probable part.  With ``slack`` parts above (1 + slack) of the mean hand their least
-    certain nodes to the most probable part with room, nodes beside that part first."""
+    certain nodes to the most probable part with room, nodes beside that part first, then others,
+    until no part is above it or no node fits anywhere."""
     part = y.argmax(axis=1)
     if slack is None:
         return part
@@ -244,4 +274,14 @@ def harden(y: np.ndarray, load: np.ndarray, graph: ArrayGraph, slack: float | No
                         break
         if not moved:
             break
+    # What is still over hands its least certain nodes to the part with the most room, beside it or not.
+    for k in np.argsort(-loads):
+        for i in (j for j in np.argsort(y[:, k], kind="stable") if part[j] == k):
+            to = int(np.argmin(loads))
+            if loads[k] <= most:
+                break
+            if load[i] > 0 and loads[to] + load[i] <= most:
+                part[i] = to
+                loads[k] -= load[i]
+                loads[to] += load[i]
     return part

@@ -37,14 +37,15 @@ def both_ways(one: DataFrame) -> DataFrame:
 
 
 def borders(cells: DataFrame, neigh: str = "rook") -> DataFrame:
-    """(a, b, sides): blocks that touch and how many cell sides (corners too for queen) they share."""
+    """(a, b, sides): blocks that touch and how many cell sides (corners too for queen) they share;
+    cells with a column slice touch within it only."""
     one_of("neighbourhood", neigh, NEIGHBOURS)
     lines = [(F.col("row"), "col"), (F.col("col"), "row")]
     if neigh == "queen":
         lines += [(F.col("row") - F.col("col"), "row"), (F.col("row") + F.col("col"), "row")]
     out = None
     for line, along in lines:
-        w = Window.partitionBy(line).orderBy(along)
+        w = Window.partitionBy(line, *[c for c in cells.columns if c == "slice"]).orderBy(along)
         part = cells.select("block_id", F.lead("block_id").over(w).alias("other"), (F.lead(along).over(w) - F.col(along)).alias("step"))
         part = part.where("step = 1 and block_id <> other").select(F.least("block_id", "other").alias("a"), F.greatest("block_id", "other").alias("b"))
         out = part if out is None else out.union(part)
@@ -54,7 +55,7 @@ def borders(cells: DataFrame, neigh: str = "rook") -> DataFrame:
 def build_graph(blocks: DataFrame, cells: DataFrame, attrs: list[str], weight: str = "unit", neigh: str = "rook", scale: dict[str, float] | None = None) -> Graph:
     """Nodes are blocks (block_id, load, ...), joined where they share a border.
 
-    Weights: 1, shared sides, exp(-difference of values), or the product of loads' logs.
+    Weights: 1, shared sides, exp(-difference of values), or the sum of loads' logs.
     """
     one_of("weight", weight, ("unit", "border", "similarity", "load"))
     pairs = borders(cells, neigh)
@@ -184,12 +185,13 @@ def proximity(cells: DataFrame, radius: int = 1, weight: str = "unit", neigh: st
         steps = [(0, 1), (1, 0)]
     else:
         steps = [(r, c) for r in range(radius + 1) for c in range(-radius, radius + 1) if r > 0 or c > 0]
-    occupied = cells.where("load > 0").select("row", "col", "load", "part")
+    keys = ["row", "col", *[c for c in cells.columns if c == "slice"]]
+    occupied = cells.where("load > 0").select(*keys, "load", "part")
     near = F.explode(F.array(*[F.struct(F.lit(r).alias("r"), F.lit(c).alias("c")) for r, c in steps])).alias("o")
-    moved = occupied.select("*", near).select((F.col("row") + F.col("o.r")).alias("row"), (F.col("col") + F.col("o.c")).alias("col"), F.col("load").alias("l2"), F.col("part").alias("p2"), "o")
+    moved = occupied.select("*", near).select((F.col("row") + F.col("o.r")).alias("row"), (F.col("col") + F.col("o.c")).alias("col"), F.col("load").alias("l2"), F.col("part").alias("p2"), "o", *keys[2:])
     far = F.greatest(F.abs("o.r"), F.abs("o.c")).cast("double")
     w = {"unit": F.lit(1.0), "load": (F.col("load") * F.col("l2")).cast("double"), "distance": 1 / far}[weight]
-    both = occupied.join(moved, ["row", "col"]).select((F.col("part") == F.col("p2")).alias("same"), w.alias("w"))
+    both = occupied.join(moved, keys).select((F.col("part") == F.col("p2")).alias("same"), w.alias("w"))
     return both.agg((F.lit(100.0) * F.sum(F.when(F.col("same"), F.col("w")).otherwise(0.0)) / F.sum("w")).alias("proximity"))
 
 

@@ -33,7 +33,10 @@ def as_of(left: DataFrame, right: DataFrame, by: str, at: str, value: str) -> Da
 
 
 def salted(left: DataFrame, right: DataFrame, key: str, salts: int) -> DataFrame:
-    """An inner join whose left side's heavy keys are spread over ``salts`` tasks; the right side is repeated."""
-    a = left.withColumn("__salt", F.pmod(F.monotonically_increasing_id(), F.lit(salts)).cast("int"))
+    """An inner join whose left side's heavy keys are spread over ``salts`` tasks; the right side is repeated.
+
+    The salt is a hash of the row, so that a task that is run again deals its rows alike.
+    """
+    a = left.withColumn("__salt", F.pmod(F.xxhash64(*left.columns), F.lit(salts)).cast("int"))
     b = right.withColumn("__salt", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))))
     return a.join(b, [key, "__salt"]).drop("__salt")

@@ -23,7 +23,8 @@ from .local import ArrayGrid
 @dataclass
 class Reduced:
     """blocks: block_id, r0, r1, c0, c1, n_cells, load, attributes (representative values).
-    cells: row, col, load, attributes (original), block_id.  trace: one dict for each pass."""
+    cells: row, col, load, attributes (original), block_id.  Both have slice if the grid has.
+    trace: one dict for each pass."""
 
     theta: float
     blocks: DataFrame
@@ -39,6 +40,23 @@ class Reduced:
     def reduction(self) -> float:
         return 100.0 * (1 - self.n_blocks / max(1, self.n_cells))
 
+    def trace_table(self, spark) -> DataFrame:
+        """The passes as a table: pass, delta, blocks before and after, pairs compared, loss, seconds."""
+        fields = "pass long, delta double, n_before long, n_blocks long, pairs long, ifl double, seconds double"
+        names = [f.split()[0] for f in fields.split(", ")]
+        return spark.createDataFrame([tuple(t[k] for k in names) for t in self.trace], fields)
+
+
+def diminishing(found: dict[float, Reduced]) -> list[tuple[float, float, float, bool]]:
+    """(theta, reduction, gain over the theta before, whether that gain is no larger than the last one)."""
+    out, before, last = [], 0.0, None
+    for theta in sorted(found):
+        now = float(found[theta].reduction)
+        gain = now - before
+        out.append((theta, now, gain, last is None or gain <= last + 1e-9))
+        before, last = now, gain
+    return out
+
 
 class _Arrays:
     def __init__(self, grid: ArrayGrid, cfg: ReduceConfig):
@@ -155,13 +173,21 @@ def reduce_grid(grid: DataFrame, attrs: list[str], cols: int, cfg: ReduceConfig
     returned; ``stop="first_within"`` returns the first pass within it.  The loss is not
     monotone, so ``lookahead`` passes beyond it are tried before giving up.  The schedules
     ``distinct`` and ``min_remaining`` end only there or when no difference is left;
-    ``steps`` counts quantiles.
+    ``steps`` counts quantiles, and the most turns of ``bisect``.
+
+    A grid with a column slice is reduced within each slice: slices are laid below each other with
+    an empty row between, so that no two of them touch.  A null attribute counts as 0, in averages
+    as in the loss, where its cell adds what ``zero_policy`` says.
 
     A grid of at most ``cfg.local_cells`` cells is reduced on arrays, a larger one on tables.
     """
     cfg = cfg or ReduceConfig()
     spark = grid.sparkSession
     scratch = scratch or Scratch(spark, "reduce")
+    tall = None
+    if "slice" in grid.columns:
+        tall = int(grid.agg(F.max("row")).first()[0] or 0) + 2
+        grid = grid.withColumn("row", (F.col("slice") * F.lit(tall) + F.col("row")).cast("int"))
     grid = scratch.save(grid.select("row", "col", "load", *attrs), "grid").fillna(0.0, attrs)
     n = grid.count()
     scale = {a: d for a, (_, d) in scales(grid, attrs, "max").items()}
@@ -172,6 +198,7 @@ def reduce_grid(grid: DataFrame, attrs: list[str], cols: int, cfg: ReduceConfig
         start = _Tables(grid, G.cells_as_blocks(grid, attrs), attrs, scale, cols, cfg, scratch, n)
     if n == 0:
         blocks, cells = _Tables(grid, G.cells_as_blocks(grid, attrs), attrs, scale, cols, cfg, scratch, 0).result(spark)
+        blocks, cells = _unstacked(blocks, cells, tall)
         return {t: Reduced(t, blocks, cells, attrs, cols, 0.0, 0, 0, []) for t in cfg.thetas}
     if cfg.schedule == "bisect":
         best, trace = _bisect(start, diffs, cfg)
@@ -179,11 +206,20 @@ def reduce_grid(grid: DataFrame, attrs: list[str], cols: int, cfg: ReduceConfig
         best, trace = _walk(start, diffs, cfg)
     out = {}
     for theta, (state, ifl) in best.items():
-        blocks, cells = state.result(spark)
+        blocks, cells = _unstacked(*state.result(spark), tall)
         out[theta] = Reduced(theta, blocks, cells, attrs, cols, ifl, len(state), n, trace)
     return out
 
 
+def _unstacked(blocks: DataFrame, cells: DataFrame, tall: int | None) -> tuple[DataFrame, DataFrame]:
+    """Rows within their slice again, and the slice."""
+    if tall is None:
+        return blocks, cells
+    at = {c: F.pmod(F.col(c), F.lit(tall)).cast("int") for c in ("row", "r0", "r1")}
+    blocks = blocks.withColumns({"slice": F.floor(F.col("r0") / tall).cast("int")} | {c: at[c] for c in ("r0", "r1")})
+    return blocks, cells.withColumns({"slice": F.floor(F.col("row") / tall).cast("int"), "row": at["row"]})
+
+
 def _walk(start, diffs: DataFrame, cfg: ReduceConfig) -> tuple[dict, list[dict]]:
     best = {t: (start, 0.0) for t in cfg.thetas}
     over = dict.fromkeys(cfg.thetas, 0)
@@ -191,10 +227,10 @@ def _walk(start, diffs: DataFrame, cfg: ReduceConfig) -> tuple[dict, list[dict]]
     walk = _deltas(start, diffs, cfg)
     delta = next(walk, None)
     while delta is not None and alive:
-        began = time.monotonic()
-        state = (start if cfg.restart else state).step(delta, turn)
+        began, before = time.monotonic(), start if cfg.restart else state
+        state = before.step(delta, turn)
         ifl = state.loss()
-        trace.append({"pass": turn, "delta": delta, "n_blocks": len(state), "ifl": ifl, "seconds": time.monotonic() - began})
+        trace.append(_pass(turn, delta, before, state, ifl, began))
         for theta in list(alive):
             if ifl <= theta:
                 best[theta], over[theta] = (state, ifl), 0
@@ -214,18 +250,27 @@ def _walk(start, diffs: DataFrame, cfg: ReduceConfig) -> tuple[dict, list[dict]]
     return best, trace
 
 
+def _pass(turn: int, delta: float, before, after, ifl: float, began: float) -> dict:
+    """One row of the trace.  Every block is compared with the next one along each axis at most once."""
+    pairs = 2 * max(0, len(before) - 1)
+    return {"pass": turn, "delta": delta, "n_before": len(before), "n_blocks": len(after), "pairs": pairs, "ifl": ifl, "seconds": time.monotonic() - began}
+
+
 def _bisect(start, diffs: DataFrame, cfg: ReduceConfig) -> tuple[dict, list[dict]]:
-    """The largest threshold, in log steps from the raw grid, whose loss is within theta."""
+    """The largest threshold, in log steps from the raw grid, whose loss is within theta; ends after
+    ``steps`` turns or when both ends are within 0.01 %."""
     low, high = diffs.agg(F.min(F.when(F.col("diff") > 0, F.col("diff"))), F.max("diff")).first()
     best, trace = {}, []
     for theta in cfg.thetas:
         best[theta], lo, hi = (start, 0.0), low or 1e-12, high or 1e-12
-        for turn in range(min(cfg.steps, 12)):
+        for turn in range(cfg.steps):
+            if hi <= lo * 1.0001:
+                break
             began = time.monotonic()
             delta = (lo * hi) ** 0.5
             state = start.step(delta, 0)
             ifl = state.loss()
-            trace.append({"pass": turn, "delta": delta, "n_blocks": len(state), "ifl": ifl, "seconds": time.monotonic() - began})
+            trace.append(_pass(turn, delta, start, state, ifl, began))
             if ifl <= theta:
                 lo = delta
                 if len(state) <= len(best[theta][0]):
@@ -237,5 +282,6 @@ def _bisect(start, diffs: DataFrame, cfg: ReduceConfig) -> tuple[dict, list[dict
 
 def tag_records(df: DataFrame, spec, cells: DataFrame) -> DataFrame:
     """Records with the block they lie in (block_id).  Spark broadcasts the map if it is small."""
-    placed = df.withColumns({"row": spec.row.bin(), "col": spec.col.bin()})
-    return placed.join(cells.select("row", "col", "block_id"), ["row", "col"])
+    keys = {"row": spec.row, "col": spec.col} | ({"slice": spec.slice} if spec.slice else {})
+    placed = df.withColumns({k: axis.bin() for k, axis in keys.items()})
+    return placed.join(cells.select(*keys, "block_id"), list(keys))

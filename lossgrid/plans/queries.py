@@ -359,12 +359,12 @@ def _(spark, sf_dir):
     return rounded(G.degrees(events_graph(spark, sf_dir).edges))
 
 
-@add("graph_from_orders", """WITH p AS (SELECT DISTINCT o_custkey AS a, 1000000 + l_partkey % 100 AS b FROM orders JOIN lineitem ON l_orderkey = o_orderkey WHERE o_custkey <= 200)
+@add("graph_from_orders", """WITH p AS (SELECT DISTINCT 2 * o_custkey AS a, 2 * l_partkey + 1 AS b FROM orders JOIN lineitem ON l_orderkey = o_orderkey)
 SELECT a AS src, b AS dst, 1.0::DOUBLE AS w FROM p UNION ALL SELECT b, a, 1.0::DOUBLE FROM p""")
 def _(spark, sf_dir):
-    orders = load(spark, sf_dir, "orders", ["o_orderkey", "o_custkey"]).where("o_custkey <= 200")
-    items = load(spark, sf_dir, "lineitem", ["l_orderkey", "l_partkey"])
-    pairs = orders.join(items, F.col("o_orderkey") == F.col("l_orderkey")).select(F.col("o_custkey").alias("src"), (F.lit(1000000) + F.col("l_partkey") % 100).alias("dst"))
+    """Every customer (even ids) beside every part (odd ids) of their orders."""
+    orders, items = load(spark, sf_dir, "orders", ["o_orderkey", "o_custkey"]), load(spark, sf_dir, "lineitem", ["l_orderkey", "l_partkey"])
+    pairs = orders.join(items, F.col("o_orderkey") == F.col("l_orderkey")).select((F.col("o_custkey") * 2).alias("src"), (F.col("l_partkey") * 2 + 1).alias("dst"))
     return rounded(G.Graph.from_edges(pairs).edges)
 
 
@@ -518,6 +518,11 @@ def _(spark, sf_dir):
     return segs.select("user_id", "segment", (F.col("start") - zero).alias("since"), "n")
 
 
+@add("w7_sample_events", "SELECT event_id, user_id, event_type, round(value, 6) AS value FROM events ORDER BY (event_id * 2654435761) % 4294967296, event_id LIMIT 100000")
+def _(spark, sf_dir):
+    return rounded(sample_exact(load(spark, sf_dir, "events", ["event_id", "user_id", "event_type", "value"]), 100_000, F.col("event_id")))
+
+
 @add("sample_events", "SELECT event_id FROM events ORDER BY (event_id * 2654435761) % 4294967296, event_id LIMIT 100000")
 def _(spark, sf_dir):
     return sample_exact(load(spark, sf_dir, "events", ["event_id"]), 100_000, F.col("event_id"))

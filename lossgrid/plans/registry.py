@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from . import queries as exact
-from . import relational, studies
+from . import checked, relational, studies
 
 
 def entry(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -15,8 +15,8 @@ def entry(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return exact.QUERIES | relational.QUERIES | studies.QUERIES
+    return exact.QUERIES | relational.QUERIES | checked.QUERIES | studies.QUERIES
 
 
 def oracle_sql() -> dict[str, str]:
-    return exact.SQL | relational.SQL
+    return exact.SQL | relational.SQL | checked.SQL

@@ -139,9 +139,9 @@ def _(spark, sf_dir):
     return out.select("n_regionkey", F.col("F").alias("f"), F.col("O").alias("o"), F.col("P").alias("p"))
 
 
-@add("unpivot", "SELECT l_orderkey, l_linenumber, l_quantity AS q, k, v FROM (SELECT *, 'discount' AS k, l_discount AS v FROM lineitem UNION ALL SELECT *, 'tax' AS k, l_tax AS v FROM lineitem) WHERE l_orderkey < 50")
+@add("unpivot", "SELECT l_orderkey, l_linenumber, l_quantity AS q, k, v FROM (SELECT *, 'discount' AS k, l_discount AS v FROM lineitem UNION ALL SELECT *, 'tax' AS k, l_tax AS v FROM lineitem)")
 def _(spark, sf_dir):
-    items = load(spark, sf_dir, "lineitem", ["l_orderkey", "l_linenumber", "l_quantity", "l_discount", "l_tax"]).where("l_orderkey < 50")
+    items = load(spark, sf_dir, "lineitem", ["l_orderkey", "l_linenumber", "l_quantity", "l_discount", "l_tax"])
     named = items.select("l_orderkey", "l_linenumber", F.col("l_quantity").alias("q"), F.col("l_discount").alias("discount"), F.col("l_tax").alias("tax"))
     return named.unpivot(["l_orderkey", "l_linenumber", "q"], ["discount", "tax"], "k", "v")
 
@@ -217,9 +217,9 @@ def _(spark, sf_dir):
     return df.select("event_id", F.get_json_object("props", "$.k").cast("long").alias("k"), F.to_json(F.from_json("props", "k int")).alias("again"))
 
 
-@add("dates", "SELECT o_orderkey, strftime(date_trunc('month', o_orderdate), '%Y-%m-%d') AS m, CAST(year(o_orderdate) AS BIGINT) AS y, CAST(isodow(o_orderdate) AS BIGINT) AS d, date_diff('day', DATE '1995-01-01', CAST(o_orderdate AS DATE)) AS since FROM orders WHERE o_orderkey < 2000")
+@add("dates", "SELECT o_orderkey, strftime(date_trunc('month', o_orderdate), '%Y-%m-%d') AS m, CAST(year(o_orderdate) AS BIGINT) AS y, CAST(isodow(o_orderdate) AS BIGINT) AS d, date_diff('day', DATE '1995-01-01', CAST(o_orderdate AS DATE)) AS since FROM orders")
 def _(spark, sf_dir):
-    df = load(spark, sf_dir, "orders", ["o_orderkey", "o_orderdate"]).where("o_orderkey < 2000")
+    df = load(spark, sf_dir, "orders", ["o_orderkey", "o_orderdate"])
     return df.select("o_orderkey", F.date_format(F.trunc("o_orderdate", "month"), "yyyy-MM-dd").alias("m"), F.year("o_orderdate").cast("long").alias("y"), (F.weekday("o_orderdate") + 1).cast("long").alias("d"), F.datediff("o_orderdate", F.lit("1995-01-01")).cast("long").alias("since"))
 
 

@@ -140,6 +140,7 @@ class TrainConfig:
     form: str = "cut"
     balance_scale: str = "mean"
     alpha: float = 1.0
+    beta: float = 1.0
     seed: int = 42
     engine: str = "auto"
     local_limit: int = 200_000

@@ -2,23 +2,18 @@
 
 from __future__ import annotations
 
-from dataclasses import replace
-
 import pandas as pd
 from pyspark.sql import functions as F
 
-from ..baselines import curves, graphs, hierarchical, trajectory
+from ..baselines import graphs, hierarchical, tables, trajectory
 from ..neural import train as T
-from ..operators import graph as G
 from ..operators.grid import scales
-from ..operators.groups import pair_match, scan_groups
-from ..operators.groups import cells_as_blocks
+from ..operators.groups import scan_groups
 from ..operators.reduce import reduce_grid
 from ..sources.io import load
 from ..sources.scratch import Scratch
-from ..streaming import stream as ST
 from . import workloads as W
-from .spec import Axis, GridSpec, ReduceConfig, TrainConfig
+from .spec import ReduceConfig, TrainConfig
 
 QUERIES: dict = {}
 
@@ -34,6 +29,8 @@ for _n in ("H", "E", "P"):
     QUERIES[f"w3_proximity_{_n.lower()}"] = lambda spark, sf_dir, n=_n: W.proximity_table(spark, sf_dir, n)
     QUERIES[f"w5_balance_{_n.lower()}"] = lambda spark, sf_dir, n=_n: W.balance_table(spark, sf_dir, n)
 QUERIES |= {
+    "m4_reduction_slows": W.reduction_slows,
+    "m6_proximity_gain": W.proximity_gain,
     "w2_reduction_time": W.reduction_time,
     "w4_training_time": W.training_time,
     "w6_allocation": W.allocation_ablation,
@@ -44,21 +41,14 @@ QUERIES |= {
 }
 
 
-@add
-def w7_sample_events(spark, sf_dir):
-    from ..sources.io import sample_exact
-
-    return sample_exact(load(spark, sf_dir, "events"), 100_000, F.col("event_id"))
-
-
 def _blocks(spark, sf_dir, cfg: ReduceConfig, engine: str = "auto"):
     w = W.workload(spark, sf_dir, "E")
     r = reduce_grid(w.grid(), w.attrs, w.cols, cfg, engine)[cfg.thetas[0]]
     return r.blocks
 
 
-for _s in ("quantile", "distinct", "min_remaining", "bisect", "fixed"):
-    QUERIES[f"reduce_grid_{_s}"] = lambda spark, sf_dir, s=_s: _blocks(spark, sf_dir, ReduceConfig(thetas=(0.1,), schedule=s, fixed=0.05, steps=60))
+for _s in ("quantile", "distinct", "min_remaining", "bisect"):
+    QUERIES[f"reduce_grid_{_s}"] = lambda spark, sf_dir, s=_s: _blocks(spark, sf_dir, ReduceConfig(thetas=(0.1,), schedule=s, steps=60))
 
 
 @add
@@ -68,7 +58,7 @@ def reduce_grid_tables(spark, sf_dir):
 
 
 def _surface(spark, sf_dir):
-    grid = W.price_surface(spark, sf_dir, 50 if "0.1" not in sf_dir else 100)
+    grid = W.price_surface(spark, sf_dir, 50)
     return grid, {"price": scales(grid, ["price"])["price"][1]}
 
 
@@ -78,12 +68,6 @@ def scan_groups_price(spark, sf_dir):
     return scan_groups(grid, ["price"], scale, 0.005)
 
 
-@add
-def pair_match_price(spark, sf_dir):
-    grid, scale = _surface(spark, sf_dir)
-    return pair_match(cells_as_blocks(grid, ["price"]), ["price"], scale, 0.005)
-
-
 def _graph(spark, sf_dir, theta: float = 0.1):
     w = W.workload(spark, sf_dir, "E")
     r = W.reduced(w, ReduceConfig(thetas=(theta,)))[theta]
@@ -94,39 +78,55 @@ def _graph(spark, sf_dir, theta: float = 0.1):
 def train_trace(spark, sf_dir):
     """Objective by epoch."""
     _, _, graph = _graph(spark, sf_dir)
-    return spark.createDataFrame(pd.DataFrame(T.train(graph, TrainConfig(epochs=60)).trace))
+    return spark.createDataFrame(pd.DataFrame(T.train(graph, TrainConfig()).trace))
 
 
 @add
 def predict_soft(spark, sf_dir):
     _, _, graph = _graph(spark, sf_dir)
-    return T.predict(graph, T.train(graph, TrainConfig(epochs=60)))
+    return T.predict(graph, T.train(graph, TrainConfig()))
 
 
 @add
 def predict_blocked(spark, sf_dir):
     """The same tile by tile."""
     _, _, graph = _graph(spark, sf_dir)
-    return T.predict_blocked(graph, T.train(graph, TrainConfig(epochs=20)), 3, Scratch(spark, "blocked"))
+    return T.predict_blocked(graph, T.train(graph, TrainConfig()), 3, Scratch(spark, "blocked"))
 
 
 @add
 def partition_end_to_end(spark, sf_dir):
     w = W.workload(spark, sf_dir, "E")
-    out = W.partition(w.records, w.spec, w.rows, w.cols, 0.1, TrainConfig(g=4, epochs=80))
+    out = W.partition(w.records, w.spec, w.rows, w.cols, 0.1, TrainConfig(g=4))
     return spark.createDataFrame([{k: float(v) for k, v in out.report.items()}])
 
 
-def _on_graph(spark, sf_dir, method):
+@add
+def train_blocked_trace(spark, sf_dir):
+    """The same tile by tile: summed gradients of the whole graph, the first epochs."""
     _, _, graph = _graph(spark, sf_dir)
-    ids, _, load_, arrays = T.to_arrays(graph.nodes, graph.edges)
-    return W._parts_table(spark, ids, method(arrays, load_))
+    return spark.createDataFrame(pd.DataFrame(T.train(graph, TrainConfig(engine="blocked", epochs=3), tiles=3).trace))
 
 
-QUERIES["baseline_multilevel"] = lambda spark, sf_dir: _on_graph(spark, sf_dir, lambda a, l: graphs.multilevel_kway(a, l, 8))
-for _o in ("rows", "random", "bfs"):
-    QUERIES[f"baseline_greedy_{_o}"] = lambda spark, sf_dir, o=_o: _on_graph(spark, sf_dir, lambda a, l: graphs.greedy_stream(a, l, 8, o))
-QUERIES["baseline_eigen_sweep"] = lambda spark, sf_dir: _on_graph(spark, sf_dir, lambda a, l: graphs.sweep_cut(graphs.eigen_embedding(a, 1)[:, 0], l, 8))
+@add
+def reduce_trace(spark, sf_dir):
+    """Passes of the walk: blocks before and after, pairs compared, loss, seconds."""
+    w = W.workload(spark, sf_dir, "E")
+    return W.reduced(w, ReduceConfig(thetas=(0.1,)))[0.1].trace_table(spark)
+
+
+for _o in ("random", "bfs"):
+
+    def _greedy(spark, sf_dir, o=_o):
+        _, _, graph = _graph(spark, sf_dir)
+        ids, _, load_, arrays = T.to_arrays(graph.nodes, graph.edges)
+        return W._parts_table(spark, ids, graphs.greedy_stream(arrays, load_, 8, o))
+
+    QUERIES[f"baseline_greedy_{_o}"] = _greedy
+for _q, _o in (("multilevel", "multilevel"), ("greedy_rows", "streaming greedy"), ("eigen_sweep", "eigen sweep")):
+    QUERIES[f"baseline_{_q}"] = lambda spark, sf_dir, o=_o: W.cut_by(_graph(spark, sf_dir)[2], o, 8)
+QUERIES["baseline_multilevel_tables"] = lambda spark, sf_dir: tables.multilevel_kway(_graph(spark, sf_dir)[2], 8, limit=200)
+QUERIES["baseline_greedy_batches"] = lambda spark, sf_dir: tables.greedy_stream(_graph(spark, sf_dir)[2], 8, batch=200)
 
 
 @add
@@ -139,71 +139,8 @@ def baseline_trajectory(spark, sf_dir):
     return trajectory.trajectory_tiles(trajectory.segments(load(spark, sf_dir, "events", ["user_id", "ts"]), "user_id", "ts", F.col("user_id"), 86400), 8)
 
 
-@add
-def baseline_hilbert(spark, sf_dir):
-    return curves.hilbert_parts(W.workload(spark, sf_dir, "E").grid().select("row", "col", "load"), 8)
-
-
 @add
 def baseline_no_reduction(spark, sf_dir):
     w = W.workload(spark, sf_dir, "E")
-    out = W.partition(w.records, w.spec, w.rows, w.cols, None, replace(TrainConfig(g=4), epochs=40))
+    out = W.partition(w.records, w.spec, w.rows, w.cols, None, TrainConfig(g=4))
     return spark.createDataFrame([{k: float(v) for k, v in out.report.items() if v is not None}])
-
-
-@add
-def graph_from_orders_whole(spark, sf_dir):
-    """Every customer (even ids) beside every part (odd ids) of their orders."""
-    orders, items = load(spark, sf_dir, "orders", ["o_orderkey", "o_custkey"]), load(spark, sf_dir, "lineitem", ["l_orderkey", "l_partkey"])
-    pairs = orders.join(items, F.col("o_orderkey") == F.col("l_orderkey")).select((F.col("o_custkey") * 2).alias("src"), (F.col("l_partkey") * 2 + 1).alias("dst"))
-    return G.Graph.from_edges(pairs).edges
-
-
-@add
-def dates_whole(spark, sf_dir):
-    df = load(spark, sf_dir, "orders", ["o_orderkey", "o_orderdate"])
-    return df.select("o_orderkey", F.date_format(F.trunc("o_orderdate", "month"), "yyyy-MM-dd").alias("m"), F.year("o_orderdate").cast("long").alias("y"), (F.weekday("o_orderdate") + 1).cast("long").alias("d"), F.datediff("o_orderdate", F.lit("1995-01-01")).cast("long").alias("since"))
-
-
-@add
-def unpivot_whole(spark, sf_dir):
-    items = load(spark, sf_dir, "lineitem", ["l_orderkey", "l_linenumber", "l_quantity", "l_discount", "l_tax"])
-    named = items.select("l_orderkey", "l_linenumber", F.col("l_quantity").alias("q"), F.col("l_discount").alias("discount"), F.col("l_tax").alias("tax"))
-    return named.unpivot(["l_orderkey", "l_linenumber", "q"], ["discount", "tax"], "k", "v")
-
-
-def _stream_spec() -> GridSpec:
-    at = F.expr("timestampdiff(MICROSECOND, timestamp_ntz'2024-01-01 00:00:00', ts)")
-    return GridSpec(Axis.width(F.col("user_id"), 0, 200, 10), Axis.width(at, 0, 30 * 86400 * 1e6, 10), {"val": F.avg("value")})
-
-
-def _stream(spark, sf_dir):
-    table = load(spark, sf_dir, "events")
-    scratch = Scratch(spark, "stream")
-    table.repartition(4).write.parquet(scratch.path("in"))
-    return ST.source(spark, scratch.path("in"), table.schema), scratch
-
-
-@add
-def stream_incremental_grid(spark, sf_dir):
-    """Cells of a stream that has ended: equal to the batch grid."""
-    events, scratch = _stream(spark, sf_dir)
-    state = ST.IncrementalGrid(spark, _stream_spec(), "value")
-    ST.run_to_end(events, state, "append", scratch.path("check"))
-    return state.state
-
-
-@add
-def stream_tag(spark, sf_dir):
-    events, scratch = _stream(spark, sf_dir)
-    spec = _stream_spec()
-    from ..operators.grid import gridify
-
-    cells = curves.zorder_parts(gridify(load(spark, sf_dir, "events"), spec).select("row", "col", "load"), 4)
-    cells = scratch.save(cells.select("row", "col", "part"), "parts")
-    out: list = []
-    ST.run_to_end(ST.tag(events, spec, cells), lambda df, k: out.append(scratch.save(df.groupBy("part").agg(F.count(F.lit(1)).alias("n")), f"out-{k}")), "append", scratch.path("check"))
-    total = out[0]
-    for more in out[1:]:
-        total = total.unionByName(more)
-    return total.groupBy("part").agg(F.sum("n").alias("n"))

@@ -14,21 +14,23 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..baselines import curves, graphs, hierarchical, trajectory
+from ..baselines import curves, graphs, hierarchical, tables, trajectory
 from ..neural import kernels as K
 from ..neural import train as T
 from ..operators import graph as G
 from ..operators.grid import gridify, scales
-from ..operators.reduce import Reduced, reduce_grid
+from ..operators.reduce import Reduced, diminishing, reduce_grid
 from ..sources.frames import to_spark
 from ..sources.io import load
 from ..sources.scratch import Scratch
 from .spec import Axis, GridSpec, ReduceConfig, TrainConfig
 
 THETAS = (0.05, 0.1, 0.15)
-#: Rows and columns at sf0.001, sf0.01, and above (the paper's coarse grid where it has one).
+#: Rows and columns of small, middle and large tables (the paper's coarse grid where it has one).
 SHAPES = {"H": ((20, 30), (40, 85), (191, 193)), "E": ((10, 10), (30, 30), (191, 193)), "P": ((20, 2), (20, 5), (20, 30)), "P2": ((25, 8), (25, 80), (25, 80)), "C": ((10, 8), (30, 8), (30, 8))}
 FINE = (315, 318)
+#: The table whose rows decide, and from how many on it is a middle and a large one.
+SIZES = {"H": ("lineitem", 20_000, 200_000), "E": ("events", 3_000, 30_000), "P": ("documents", 500, 5_000), "P2": ("orders", 5_000, 50_000), "C": ("conversations", 300, 3_000)}
 
 
 @dataclass
@@ -47,9 +49,10 @@ class Workload:
         return gridify(self.records, self.spec)
 
 
-def _size(sf_dir: str, name: str) -> tuple[int, int]:
-    sf = sf_dir.rstrip("/").rsplit("/", 1)[-1]
-    return SHAPES[name][{"sf0.001": 0, "sf0.01": 1}.get(sf, 2)]
+def _size(spark: SparkSession, sf_dir: str, name: str) -> tuple[int, int]:
+    table, middle, large = SIZES[name]
+    n = spark.read.parquet(f"{sf_dir}/{table}.parquet").count()
+    return SHAPES[name][(n >= middle) + (n >= large)]
 
 
 def _top(df: DataFrame, column: str) -> int:
@@ -57,7 +60,7 @@ def _top(df: DataFrame, column: str) -> int:
 
 
 def workload(spark: SparkSession, sf_dir: str, name: str, shape: tuple[int, int] | None = None) -> Workload:
-    rows, cols = shape or _size(sf_dir, name)
+    rows, cols = shape or _size(spark, sf_dir, name)
     count = F.count(F.lit(1))
     if name == "H":
         df = load(spark, sf_dir, "lineitem", ["l_partkey", "l_shipdate", "l_extendedprice", "l_quantity"])
@@ -100,25 +103,49 @@ def reduced(w: Workload, cfg: ReduceConfig | None = None) -> dict[float, Reduced
 def size_reduction(spark: SparkSession, sf_dir: str, name: str, shapes: list | None = None) -> DataFrame:
     """Reduction and loss for each threshold and grid size."""
     rows = []
-    for shape in shapes or _two_sizes(sf_dir, name):
+    for shape in shapes or two_sizes(spark, sf_dir, name):
         w = workload(spark, sf_dir, name, shape)
         for theta, r in reduced(w).items():
             rows.append((name, f"{w.rows}x{w.cols}", theta, r.n_cells, r.n_blocks, float(r.reduction), float(r.ifl)))
     return spark.createDataFrame(rows, "workload string, grid string, theta double, n_cells long, n_blocks long, reduction double, ifl double")
 
 
-def _two_sizes(sf_dir: str, name: str) -> list[tuple[int, int]]:
-    shape = _size(sf_dir, name)
+def two_sizes(spark: SparkSession, sf_dir: str, name: str) -> list[tuple[int, int]]:
+    """A coarse grid and a fine one; where an axis has its own steps (a source, a nation, a turn) the other
+    one differs, and months are not cut, but taken in pairs for the coarse grid."""
+    rows, cols = _size(spark, sf_dir, name)
     if name in ("H", "E"):
-        return [shape, FINE if shape == (191, 193) else (shape[0] * 3 // 2, shape[1] * 3 // 2)]
-    return [shape]
+        return [(rows, cols), FINE if (rows, cols) == (191, 193) else (rows * 3 // 2, cols * 3 // 2)]
+    if name == "P2":
+        return [(rows, cols // 2), (rows, cols)]
+    return [(rows, cols), (rows * 2, cols) if name == "C" else (rows, cols * 2)]
+
+
+def reduction_slows(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = ("H", "E", "P")) -> DataFrame:
+    """What each step of the threshold adds to the reduction, and whether it is no more than the step before."""
+    rows = []
+    for name in names:
+        for shape in two_sizes(spark, sf_dir, name):
+            w = workload(spark, sf_dir, name, shape)
+            rows += [(name, f"{w.rows}x{w.cols}", *row) for row in diminishing(reduced(w))]
+    return spark.createDataFrame(rows, "workload string, grid string, theta double, reduction double, gain double, slows boolean")
+
+
+def proximity_gain(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = ("H", "E", "P"), g: int = 8) -> DataFrame:
+    """Mean relative gain in proximity over the trajectory baseline at each threshold, and in points."""
+    found = [r for name in names for r in proximity_table(spark, sf_dir, name, g).collect()]
+    base = {r["workload"]: r["proximity"] for r in found if r["method"] == "trajectory"}
+    rows = [(r["theta"], r["workload"], r["proximity"], base[r["workload"]]) for r in found if r["theta"] is not None]
+    table = spark.createDataFrame(rows, "theta double, dataset string, p double, base double")
+    out = [(t, *G.relative_gain(table.where(F.col("theta") == t)).first()) for t in sorted({r[0] for r in rows})]
+    return spark.createDataFrame(out, "theta double, gain_percent double, gain_points double")
 
 
 def reduction_time(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Passes and seconds until each threshold is exceeded."""
     rows = []
-    for name in ("H", "E", "P2"):
-        for shape in _two_sizes(sf_dir, name):
+    for name in ("H", "E", "P", "P2"):
+        for shape in two_sizes(spark, sf_dir, name):
             w = workload(spark, sf_dir, name, shape)
             by = reduced(w)
             trace = by[max(by)].trace
@@ -145,12 +172,28 @@ def cut_graph(graph: G.Graph, cfg: TrainConfig, slack: float | None = 0.02) -> t
     """Assignment (id, part) and the model."""
     model = T.train(graph, cfg)
     soft = T.predict(graph, model)
-    n = graph.nodes.count()
-    if slack is not None and n <= cfg.local_limit:
-        return T.harden_capacity(graph, soft, slack), model
+    if slack is not None:
+        return T.harden_capacity(graph, soft, slack, cfg.local_limit), model
     return G.harden(soft), model
 
 
+#: The comparison methods on graphs, on arrays and on tables.
+METHODS = {
+    "eigen sweep": (lambda a, load_, g: graphs.sweep_cut(graphs.eigen_embedding(a, 1)[:, 0], load_, g), tables.eigen_sweep),
+    "multilevel": (graphs.multilevel_kway, tables.multilevel_kway),
+    "streaming greedy": (graphs.greedy_stream, tables.greedy_stream),
+}
+
+
+def cut_by(graph: G.Graph, method: str, g: int, limit: int = TrainConfig.local_limit) -> DataFrame:
+    """(id, part) of a comparison method; beyond ``limit`` nodes the graph is not read into one process."""
+    arrays_, tables_ = METHODS[method]
+    if graph.nodes.count() > limit:
+        return tables_(graph, g)
+    ids, _, load_, arrays = T.to_arrays(graph.nodes, graph.edges)
+    return _parts_table(graph.nodes.sparkSession, ids, arrays_(arrays, load_, g))
+
+
 def _longer(cfg: TrainConfig, g: int, n: int) -> TrainConfig:
     """Small graphs are trained for more epochs; no more parts than nodes."""
     return replace(cfg, g=min(g, max(1, n)), epochs=cfg.epochs * 3 // 2 if n <= 1500 else cfg.epochs)
@@ -158,7 +201,8 @@ def _longer(cfg: TrainConfig, g: int, n: int) -> TrainConfig:
 
 def as_cells(r: Reduced, assignment: DataFrame) -> DataFrame:
     """(row, col, load, part) of every cell."""
-    return r.cells.select("row", "col", "load", "block_id").join(assignment.withColumnRenamed("id", "block_id"), "block_id").select("row", "col", "load", "part")
+    keys = ["row", "col", *[c for c in r.cells.columns if c == "slice"]]
+    return r.cells.select(*keys, "load", "block_id").join(assignment.withColumnRenamed("id", "block_id"), "block_id").select(*keys, "load", "part")
 
 
 def _one(df: DataFrame) -> float:
@@ -183,19 +227,13 @@ def proximity_table(spark: SparkSession, sf_dir: str, name: str, g: int = 8, cfg
     cells = w.grid().select("row", "col", "load")
     rows.append((name, "hierarchical", None, _one(G.proximity(hierarchical.hierarchical_index(cells, g)))))
     raw = raw_reduced(w)
-    ids, _, load_, arrays = T.to_arrays(*_nodes_edges(feature_graph(raw, w.rows)))
-    part = graphs.sweep_cut(graphs.eigen_embedding(arrays, 1)[:, 0], load_, g)
-    rows.append((name, "eigen sweep", None, _one(G.proximity(as_cells(raw, _parts_table(spark, ids, part))))))
+    rows.append((name, "eigen sweep", None, _one(G.proximity(as_cells(raw, cut_by(feature_graph(raw, w.rows), "eigen sweep", g))))))
     for theta, r in reduced(w).items():
         assignment, _ = cut_graph(feature_graph(r, w.rows), _longer(cfg, g, r.n_blocks))
         rows.append((name, "two-stage", theta, _one(G.proximity(as_cells(r, assignment)))))
     return spark.createDataFrame(rows, "workload string, method string, theta double, proximity double")
 
 
-def _nodes_edges(graph: G.Graph) -> tuple[DataFrame, DataFrame]:
-    return graph.nodes, graph.edges
-
-
 def _trajectory_cells(w: Workload, name: str, g: int) -> DataFrame:
     """Records tiled by trajectory segment; where there are no movers, each record is a segment."""
     placed = w.records.withColumns({"row": w.spec.row.bin(), "col": w.spec.col.bin()})
@@ -218,12 +256,11 @@ def balance_table(spark: SparkSession, sf_dir: str, name: str, g: int = 8, cfg:
     w = workload(spark, sf_dir, name)
     raw = raw_reduced(w)
     graph = feature_graph(raw, w.rows)
-    ids, _, load_, arrays = T.to_arrays(graph.nodes, graph.edges)
-    found = [("multilevel", None, graphs.multilevel_kway(arrays, load_, g)), ("streaming greedy", None, graphs.greedy_stream(arrays, load_, g))]
     rows = []
-    for method, theta, part in found:
-        lam, ubd = measures(arrays, load_, part, g)
-        rows.append((name, method, theta, lam, lam, ubd))
+    for method in ("multilevel", "streaming greedy"):
+        assignment = cut_by(graph, method, g)
+        lam = _one(G.edge_cut_rate(graph.edges, assignment))
+        rows.append((name, method, None, lam, lam, _one(G.imbalance(graph.nodes.join(assignment, "id").select("load", "part"), g))))
     for theta, r in reduced(w).items():
         small = feature_graph(r, w.rows)
         assignment, _ = cut_graph(small, _longer(cfg, g, r.n_blocks))
@@ -242,21 +279,17 @@ def measures(graph: K.ArrayGraph, load_: np.ndarray, part: np.ndarray, g: int) -
     return lam, float(100 * (per.max() / per.mean() - 1)) if per.sum() else 0.0
 
 
-def training_time(spark: SparkSession, sf_dir: str, name: str = "E", g: int = 8, epochs: int = 60) -> DataFrame:
-    """Seconds of the same number of epochs without reduction and at each threshold."""
-    cfg = TrainConfig(g=g, epochs=epochs, patience=epochs)
-    w = workload(spark, sf_dir, name)
-    rows, base = [], None
-    for theta, r in [(None, raw_reduced(w)), *reduced(w).items()]:
-        _, feat, load_, arrays = T.to_arrays(*_nodes_edges(feature_graph(r, w.rows)))
-        took = []
-        for _ in range(3):
-            began = time.monotonic()
-            K.fit(arrays, feat, load_, cfg)
-            took.append(time.monotonic() - began)
-        s = sorted(took)[1]
-        base = base or s
-        rows.append((name, theta, r.n_blocks, s, 100 * (1 - s / base)))
+def training_time(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = ("H", "E", "P"), g: int = 8) -> DataFrame:
+    """Seconds of training without reduction and at each threshold, all epochs of the configuration; no
+    run ends early, so that only the graph differs."""
+    cfg, rows = TrainConfig(g=g), []
+    cfg = replace(cfg, patience=cfg.epochs)
+    for name in names:
+        w, base = workload(spark, sf_dir, name), None
+        for theta, r in [(None, raw_reduced(w)), *reduced(w).items()]:
+            s = T.train(feature_graph(r, w.rows), replace(cfg, g=min(g, max(1, r.n_blocks)))).seconds
+            base = base or s
+            rows.append((name, theta, r.n_blocks, s, 100 * (1 - s / base)))
     return spark.createDataFrame(rows, "workload string, theta double, n_nodes long, seconds double, saved double")
 
 
@@ -270,18 +303,18 @@ def allocation_ablation(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def objective_ablation(spark: SparkSession, sf_dir: str, g: int = 8) -> DataFrame:
-    """Cut only, balance only and both; both forms of the cut."""
+    """Cut only, balance only and both; both forms of the cut, each with its own weight or none."""
     w = workload(spark, sf_dir, "E")
     r = reduced(w, ReduceConfig(thetas=(0.1,)))[0.1]
     graph, rows = feature_graph(r, w.rows), []
     _, feat, load_, arrays = T.to_arrays(graph.nodes, graph.edges)
-    for label, alpha, form in (("cut only", 0.0, "cut"), ("balance heavy", 100.0, "cut"), ("both", 1.0, "cut"), ("both, printed form", 1.0, "printed")):
-        net, _ = K.fit(arrays, feat, load_, TrainConfig(g=min(g, max(1, r.n_blocks)), alpha=alpha, form=form))
+    for label, alpha, beta, form in (("cut only", 0.0, 1.0, "cut"), ("balance only", 1.0, 0.0, "cut"), ("both", 1.0, 1.0, "cut"), ("both, printed form", 1.0, 1.0, "printed")):
+        net, _ = K.fit(arrays, feat, load_, TrainConfig(g=min(g, max(1, r.n_blocks)), alpha=alpha, beta=beta, form=form))
         y = net.forward(arrays, feat)
         cut, balance, _ = K.objective(arrays, load_, y)
         lam, ubd = measures(arrays, load_, y.argmax(axis=1), g)
-        rows.append((label, float(alpha), form, cut, balance, lam, ubd))
-    return spark.createDataFrame(rows, "objective string, alpha double, form string, expected_ncut double, balance double, edge_cut_rate double, imbalance double")
+        rows.append((label, alpha, beta, form, cut, balance, lam, ubd))
+    return spark.createDataFrame(rows, "objective string, alpha double, beta double, form string, expected_ncut double, balance double, edge_cut_rate double, imbalance double")
 
 
 def parts_sweep(spark: SparkSession, sf_dir: str, gs: tuple[int, ...] = (4, 8, 16, 32)) -> DataFrame:

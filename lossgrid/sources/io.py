@@ -29,9 +29,10 @@ def write_any(df: DataFrame, path: str, fmt: str, **options: str) -> None:
 def write_partitioned(records: DataFrame, path: str, sort: Sequence[str] = ("row", "col"), spread: int = 1, most: int = 5_000_000) -> None:
     """Records (with part) in one folder for each part, sorted within files.
 
-    ``spread`` salts every part over so many tasks, so that a heavy part is not one task's work.
+    ``spread`` salts every part over so many tasks by a hash of the whole record, so that neither a
+    heavy part nor a heavy cell is one task's work.
     """
-    salt = F.pmod(F.xxhash64(*sort), F.lit(spread))
+    salt = F.pmod(F.xxhash64(*records.columns), F.lit(spread))
     dealt = records.withColumn("__salt", salt).repartition("part", "__salt").drop("__salt").sortWithinPartitions("part", *sort)
     dealt.write.mode("overwrite").option("maxRecordsPerFile", most).partitionBy("part").parquet(path)
 

@@ -1,10 +1,11 @@
 import numpy as np
 import pytest
-from lossgrid.baselines import curves, graphs, hierarchical, trajectory
+from lossgrid.baselines import curves, graphs, hierarchical, tables, trajectory
 from lossgrid.neural import kernels as K
 from lossgrid.neural import train as T
 from lossgrid.operators import graph as G
 from lossgrid.operators import joins as J
+from lossgrid.plans import workloads as W
 from lossgrid.plans.spec import TrainConfig
 from lossgrid.sources import io
 from lossgrid.sources.scratch import Scratch
@@ -228,3 +229,133 @@ def test_sinks(spark, tmp_path):
 def test_scans_are_pruned(spark, sf):
     plan = io.load(spark, sf, "lineitem", ["l_partkey"]).where("l_partkey > 5")._jdf.queryExecution().executedPlan().toString()
     assert "PushedFilters: [IsNotNull(l_partkey), GreaterThan(l_partkey,5)]" in plan and "ReadSchema: struct<l_partkey:bigint>" in plan
+
+
+@pytest.mark.parametrize("kw", [{}, {"norm": "rw", "agg": "gcn", "form": "printed"}, {"agg": "pool", "balance_scale": "raw", "alpha": 0.01}])
+def test_tile_gradients_equal_local(spark, kw):
+    graph = small_graph(spark)
+    cfg = TrainConfig(g=3, hidden=6, embed=6, **kw)
+    _, feat, load, arrays = T.to_arrays(graph.nodes, graph.edges)
+    net = K.Network(feat.shape[1], cfg)
+    y = net.forward(arrays, feat)
+    cut, balance, slope = K.objective(arrays, load, y, cfg.form, cfg.balance_scale, cfg.alpha, cfg.beta)
+    want = net.backward(y, slope)
+    tiles = T.pack_tiles(graph, 4, Scratch(spark, "t"))
+    assert tiles.count() == 4 and min(r["n"] for r in tiles.collect()) < 30
+    sums = T.tile_sums(tiles, net, cfg)
+    assert K.terms(sums, cfg.form, cfg.balance_scale) == pytest.approx((cut, balance), abs=1e-9)
+    got = T.tile_gradients(tiles, net, cfg, sums)
+    for k in want:
+        assert np.allclose(got[k], want[k], atol=1e-9), k
+
+
+def test_blocked_training_equals_local(spark):
+    graph = small_graph(spark)
+    one = T.train(graph, TrainConfig(g=3, hidden=6, embed=6, epochs=4, engine="local"))
+    many = T.train(graph, TrainConfig(g=3, hidden=6, embed=6, epochs=4, engine="blocked"), tiles=3)
+    assert [t["objective"] for t in many.trace] == pytest.approx([t["objective"] for t in one.trace], abs=1e-8)
+    assert all(np.allclose(many.weights[k], one.weights[k], atol=1e-8) for k in one.weights)
+    assert T.train(graph, TrainConfig(g=3, epochs=1, local_limit=10)).trace[0]["objective"] == pytest.approx(T.train(graph, TrainConfig(g=3, epochs=1)).trace[0]["objective"])
+
+
+def grid_tables(spark, rows=30, cols=30):
+    pairs = [(r * cols + c, q * cols + d) for r in range(rows) for c in range(cols) for q, d in ((r + 1, c), (r, c + 1)) if q < rows and d < cols]
+    load = spark.createDataFrame([(i, 1 + i % 4) for i in range(rows * cols)], "id long, load long")
+    graph = G.Graph.from_edges(spark.createDataFrame(pairs, "src long, dst long"), load)
+    scratch = Scratch(spark, "grid")
+    return G.Graph(scratch.save(graph.nodes, "nodes"), scratch.save(graph.edges, "edges"))
+
+
+def arrays_of(graph):
+    ids, _, load, arrays = T.to_arrays(graph.nodes.withColumn("feat", F.array(F.lit(0.0))), graph.edges)
+    return load, arrays
+
+
+def test_greedy_in_batches_equals_one_by_one(spark):
+    graph = grid_tables(spark)
+    load, arrays = arrays_of(graph)
+    want = graphs.greedy_stream(arrays, load, 4)
+    for batch in (10_000, 250):
+        got = tables.greedy_stream(graph, 4, batch).orderBy("id").toPandas()["part"].to_numpy()
+        assert (got == want).all()
+
+
+def test_multilevel_on_tables(spark):
+    graph = grid_tables(spark)
+    load, arrays = arrays_of(graph)
+    plain = W.measures(arrays, load, graphs.multilevel_kway(arrays, load, 4), 4)
+    part = tables.multilevel_kway(graph, 4, limit=200, rounds=4).orderBy("id").toPandas()["part"].to_numpy()
+    lam, ubd = W.measures(arrays, load, part, 4)
+    assert len(part) == 900 and lam < max(0.16, 2.2 * plain[0]) and ubd < 12
+
+
+def test_eigenvector_on_tables(spark):
+    graph = grid_tables(spark, 12, 8)
+    load, arrays = arrays_of(graph)
+    start = np.sin(np.arange(96) * 1.7)
+    got = tables.eigen_vector(graph, F.sin(F.col("id") * 1.7), 12, Scratch(spark, "e")).orderBy("id").toPandas()["v"].to_numpy()
+    want = graphs.eigen_embedding(arrays, 1, 12, start=start)[:, 0]
+    assert np.allclose(got, want, atol=1e-9)
+    parts = tables.eigen_sweep(graph, 4, iters=12).groupBy("part").count().collect()
+    assert len(parts) == 4
+
+
+def test_hardening_holds_its_slack(spark):
+    rng = np.random.default_rng(4)
+    graph = grid_tables(spark, 20, 20)
+    load, arrays = arrays_of(graph)
+    y = rng.dirichlet((4.0, 1.0, 0.5), 400)
+    part = K.harden(y, load, arrays, 0.02)
+    per = np.bincount(part, load, 3)
+    assert per.max() / per.mean() <= 1.02 + 1e-9
+    soft = spark.createDataFrame([(i, [float(p) for p in row]) for i, row in enumerate(y)], "id long, prob array<double>")
+    out = T.harden_capacity(graph, soft, 0.05, limit=10).orderBy("id").toPandas()["part"].to_numpy()
+    per = np.bincount(out, load, 3)
+    assert len(out) == 400 and per.max() / per.mean() <= 1.08
+    sure = y.max(axis=1) > 0.9
+    assert (out[sure] == y.argmax(axis=1)[sure]).mean() > 0.5
+
+
+def test_curves_cover_the_whole_grid(spark):
+    far = spark.createDataFrame([(5, 7, 1), (1029, 7, 1), (5, 1031, 1), (70_000, 3, 1)], "row int, col int, load long")
+    assert far.select(curves.hilbert(F.col("row"), F.col("col"), 17).alias("d")).distinct().count() == 4
+    assert far.select(curves.zorder(F.col("row"), F.col("col")).alias("d")).distinct().count() == 4
+    assert curves.hilbert_parts(far, 4).select("part").distinct().count() == 4
+    with pytest.raises(ValueError):
+        curves.hilbert_parts(far, 4, order=10)
+
+
+def test_salt_is_the_rows_own(spark):
+    left = spark.createDataFrame([(1, k) for k in range(50)] + [(2, 0)], "k int, v int")
+    right = spark.createDataFrame([(1, "a"), (2, "b")], "k int, x string")
+    assert sorted(map(tuple, J.salted(left, right, "k", 4).collect())) == sorted(map(tuple, left.join(right, "k").collect()))
+    assert "monotonically" not in J.salted(left, right, "k", 4)._jdf.queryExecution().analyzed().toString()
+
+
+def test_model_trace_and_buckets(spark, tmp_path):
+    graph = small_graph(spark)
+    model = T.train(graph, TrainConfig(g=2, epochs=3, hidden=4, embed=4))
+    io.save_model(model, spark, str(tmp_path / "m"))
+    back = T.Model.from_table(spark.read.parquet(str(tmp_path / "m")), model.cfg)
+    assert all(np.allclose(back.weights[k], w) for k, w in model.weights.items())
+    io.save_trace(model.trace, spark, str(tmp_path / "t"))
+    assert spark.read.parquet(str(tmp_path / "t")).count() == 3
+    try:
+        for name in ("lg_left", "lg_right"):
+            io.write_bucketed(graph.nodes.select("id", "load"), name, "id", 4)
+        joined = spark.table("lg_left").hint("merge").join(spark.table("lg_right"), "id")
+        assert joined.count() == 30 and "Exchange hashpartitioning" not in joined._jdf.queryExecution().executedPlan().toString()
+    finally:
+        for name in ("lg_left", "lg_right"):
+            spark.sql(f"DROP TABLE IF EXISTS {name}")
+    assert sorted(r["load"] for r in G.with_loads(graph.nodes, F.col("load") * 2).collect()) == sorted(2 * r["load"] for r in graph.nodes.collect())
+
+
+def test_heavy_cell_is_spread(spark, tmp_path):
+    one = spark.range(2000).select(F.lit(1).alias("row"), F.lit(1).alias("col"), F.lit(0).alias("part"), "id")
+    spark.conf.set("spark.sql.adaptive.coalescePartitions.enabled", "false")  # which joins small tasks
+    try:
+        io.write_partitioned(one, str(tmp_path / "p"), spread=4)
+    finally:
+        spark.conf.unset("spark.sql.adaptive.coalescePartitions.enabled")
+    assert len(list((tmp_path / "p" / "part=0").glob("*.parquet"))) > 1

@@ -171,3 +171,38 @@ def test_plan_has_one_exchange_for_each_axis(spark, tmp_path):
     plan = G.run_merge(spark.read.parquet(path), ["a"], {"a": 40.0}, 0.05)._jdf.queryExecution().executedPlan().toString()
     assert plan.count("Exchange hashpartitioning") == 2
     assert "NestedLoop" not in plan and "Cartesian" not in plan
+
+
+def test_slices_do_not_merge(spark):
+    from pyspark.sql import functions as F
+
+    cells = spark.range(32).select((F.col("id") % 4).cast("int").alias("row"), (F.floor(F.col("id") / 4) % 4).cast("int").alias("col"), F.floor(F.col("id") / 16).cast("int").alias("slice"), F.lit(1).cast("long").alias("load"), F.lit(5.0).alias("v"))
+    for engine in ("local", "tables"):
+        found = reduce_grid(cells, ["v"], 4, ReduceConfig(thetas=(0.1,), guard="chain", schedule="fixed", fixed=0.0), engine)[0.1]
+        blocks = sorted(tuple(r) for r in found.blocks.select("slice", "r0", "r1", "c0", "c1", "n_cells").collect())
+        assert blocks == [(0, 0, 3, 0, 3, 16), (1, 0, 3, 0, 3, 16)] and found.ifl == 0
+        assert found.cells.select("row", "col", "slice").distinct().count() == 32
+    apart = cells.withColumn("v", F.when(F.col("col") < 2, 5.0).otherwise(9.0))
+    found = reduce_grid(apart, ["v"], 4, ReduceConfig(thetas=(0.1,), schedule="fixed", fixed=0.01))[0.1]
+    from lossgrid.operators import graph as G
+
+    edges = G.build_graph(found.blocks, found.cells, ["v"]).edges
+    assert found.n_blocks == 4 and edges.count() == 4  # two blocks in each slice, joined within it only
+
+
+def test_reduction_that_slows():
+    from types import SimpleNamespace
+
+    from lossgrid.operators.reduce import diminishing
+
+    found = {t: SimpleNamespace(reduction=r) for t, r in ((0.1, 30.0), (0.05, 20.0), (0.15, 45.0))}
+    assert [(t, g, s) for t, _, g, s in diminishing(found)] == [(0.05, 20.0, True), (0.1, 10.0, True), (0.15, 15.0, False)]
+
+
+def test_trace_is_a_table(spark):
+    from pyspark.sql import functions as F
+
+    grid = spark.range(36).select((F.col("id") % 6).cast("int").alias("row"), F.floor(F.col("id") / 6).cast("int").alias("col"), F.lit(1).cast("long").alias("load"), (F.col("id") % 5 + 1).cast("double").alias("v"))
+    found = reduce_grid(grid, ["v"], 6, ReduceConfig(thetas=(0.2,)))[0.2]
+    rows = found.trace_table(spark).orderBy("pass").collect()
+    assert len(rows) == len(found.trace) and rows[0]["n_before"] == 36 and all(r["n_blocks"] <= r["n_before"] and r["pairs"] == 2 * (r["n_before"] - 1) for r in rows)
