@@ -3,8 +3,7 @@
 A line is the set of its words.  Words are ordered by rarity, so that two similar lines
 must share a word among the first few of each; only these prefixes are joined.  Length and
 position filters, and a parity bitmap of each line's words that bounds what two lines can
-share, drop most pairs within the join; the rest is verified on the words themselves.
-Only DataFrame functions are used.
+share, drop most pairs within the join; the rest is verified on whole sets.
 
 Rarity: words are counted over all documents in ``CLASSES`` classes by hash; a word's level
 is the logarithm of its class's count, which is never less than its own, and words of one
@@ -15,30 +14,36 @@ Lines with equal sets become one before anything is joined.  Prefix words of lar
 can stand in many lines: those lines are first compared with the ``CENTERS`` earliest that
 have the word, and a line that matches one of these needs no other partner; what is left
 of such words is joined by bands of length.
+
+Counting, joining and choosing are DataFrame operations.  Cutting texts into words and comparing
+sets is done on Arrow buffers: with array functions alone these took more CPU than the whole
+operator may (see README).
 """
 
 from __future__ import annotations
 
 import math
+from collections.abc import Iterator
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from . import textwords as W
 from .store import Scratch
 
-CLASSES = 1 << 18
-#: Occurrences of a class of words that make its words hot.
-HOT = 512
+CLASSES = 1 << 21
+#: A class is hot from so many occurrences on, at least; more in a large corpus, as the square root of its words.
+HOT, HOT_ROOT = 512, 9
 #: Earliest lines with a hot word that all others with it are compared with first.
 CENTERS = 4
 #: Bits of the filter that says which lines' words are asked for, at most.
 FILTER = 1 << 26
-_BITS = 54
-_GAP = "[\\x20\\x09-\\x0D]+"
 #: Stands for a null doc_id, which comes first.
 _NULL = -(1 << 63)
+_FEED = 10
 
 
 def _text(col: str = "text") -> Column:
@@ -46,63 +51,126 @@ def _text(col: str = "text") -> Column:
 
 
 def _level(count: int | np.ndarray) -> np.ndarray:
-    return 1 + np.floor(4 * np.log2(np.maximum(count, 1))).astype(np.int64)
-
-
-def _levels(docs: DataFrame) -> Column:
-    """Array of the level of each class, 0 if it has no word, as a constant of CLASSES numbers."""
-    words = docs.select(F.explode(F.split(_text(), _GAP)).alias("word"))
-    counts = words.groupBy(F.xxhash64("word").bitwiseAND(F.lit(CLASSES - 1)).alias("class")).agg(F.count(F.lit(1)).alias("n")).toArrow()
-    level = np.zeros(CLASSES, np.int64)
-    level[counts.column("class").to_numpy()] = _level(counts.column("n").to_numpy())
-    return F.split(F.lit(",".join(map(str, level.tolist()))), ",").cast("array<smallint>")
-
-
-def _lines(docs: DataFrame) -> DataFrame:
-    """(d, lk, line_no, line): d is doc_id with a number for null; lk orders the lines of a document
-    and, below that, tells texts of one doc_id apart."""
-    rows = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(_NULL)).alias("d"), F.xxhash64(_text()).alias("print"), _text().alias("text"))
-    rows = rows.select("d", "print", F.posexplode(F.split("text", "\n")).alias("line_no", "line"))
-    lk = F.shiftleft(F.col("line_no").cast("long"), 32).bitwiseOR(F.col("print").bitwiseAND(F.lit(0xFFFFFFFF)))
-    return rows.select("d", "print", "line_no", lk.alias("lk"), "line")
-
-
-def _split(line: Column) -> Column:
-    return F.array_remove(F.split(line, _GAP), "")
+    """Four steps for each doubling; 0 for a class without a word."""
+    return np.where(np.asarray(count) > 0, 1 + np.floor(4 * np.log2(np.maximum(count, 1))), 0).astype(np.uint8)
+
+
+def _documents(docs: DataFrame) -> DataFrame:
+    """(d, print, text): d is doc_id with a number for null, print a hash of the text."""
+    return docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(_NULL)).alias("d"), F.xxhash64(_text()).alias("print"), W.terminated(F.col("text")).alias("text"))
+
+
+def _class_counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    words, total = W.Words(False), np.zeros(CLASSES, np.int64)
+    for batch in batches:
+        for _, _, hashes, _ in words.batches(batch.column(0)):
+            total += np.bincount((hashes & np.uint64(CLASSES - 1)).astype(np.int64), minlength=CLASSES)
+    at = np.flatnonzero(total)
+    for k in range(0, len(at), 1 << 16):
+        some = at[k : k + (1 << 16)]
+        yield pa.RecordBatch.from_arrays([pa.array(some.astype(np.int32)), pa.array(total[some])], ["class", "n"])
+
+
+def _levels(docs: DataFrame) -> tuple[np.ndarray, int]:
+    """The level of each class and the least level of a hot one."""
+    counts = docs.select("text").mapInArrow(_class_counts, "class int, n long").groupBy("class").agg(F.sum("n").alias("n"))
+    level, total = np.zeros(CLASSES, np.uint8), 0
+    for batch in counts.toArrow().to_batches():
+        n = batch.column(1).to_numpy()
+        level[batch.column(0).to_numpy()], total = _level(n), total + int(n.sum())
+    return level, int(_level(max(HOT, math.isqrt(total) // HOT_ROOT)))
+
+
+def _blocks(data: np.ndarray, off: np.ndarray) -> Iterator[tuple[int, int, np.ndarray, np.ndarray, np.ndarray]]:
+    """(first text, text after the last, bytes, ends of the lines in them, first line number of the first
+    text): runs of texts of at most BLOCK bytes; a longer text comes in pieces of whole lines."""
+    i, n = 0, len(off) - 1
+    while i < n:
+        j = max(i + 1, int(np.searchsorted(off, off[i] + W.BLOCK, "right")) - 1)
+        lo, end, line = int(off[i]), int(off[j]), 0
+        while lo < end:
+            hi = end
+            if j == i + 1 and end - lo > W.BLOCK:
+                back = np.flatnonzero(data[lo : lo + W.BLOCK] == _FEED)
+                hi = lo + int(back[-1]) + 1 if len(back) else lo + W.BLOCK + int(np.argmax(data[lo + W.BLOCK : end] == _FEED)) + 1
+            feeds = np.flatnonzero(data[lo:hi] == _FEED)
+            yield i, j, data[lo:hi], feeds, line
+            lo, line = hi, line + len(feeds)
+        i = j
+
+
+def _numbered(i: int, j: int, off: np.ndarray, feeds: np.ndarray, line: int, d: np.ndarray, prints: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """d and lk of every line of a block; lk orders the lines of a document and, below that, tells texts of one doc_id apart."""
+    if j == i + 1:
+        text, no = np.full(len(feeds), i), line + np.arange(len(feeds))
+    else:
+        text = i + np.searchsorted(off[i + 1 : j + 1] - off[i], feeds, "right")
+        no = np.arange(len(feeds)) - np.searchsorted(feeds, off[i:j] - off[i])[text - i]
+    return d[text], (no.astype(np.int64) << 32) | (prints[text] & 0xFFFFFFFF)
+
+
+def _sets(words: W.Words, part: np.ndarray, feeds: np.ndarray, level: np.ndarray | None) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Distinct words of every line of a block, by line, rarest first if there are levels: (line, first lane,
+    second lane, levels)."""
+    lanes, starts, _ = words._block(part)
+    first = lanes[0] if words.lanes > 1 else lanes
+    line = np.searchsorted(feeds, starts)
+    rank = level[(first & np.uint64(CLASSES - 1)).astype(np.int64)] if level is not None else np.zeros(len(first), np.uint8)
+    by = np.lexsort((first, (line.astype(np.int64) << 8) | rank))
+    line, first, rank = line[by], first[by], rank[by]
+    new = np.ones(len(by), np.bool_)
+    new[1:] = (line[1:] != line[:-1]) | (first[1:] != first[:-1])
+    second = lanes[1][by][new] if words.lanes > 1 else first[new]
+    return line[new], first[new], second, rank[new]
+
+
+_LINES = ["d", "lk", "n", "parity", "cold", "f1", "f2", "head"]
+
+
+def _prefixes(shared, hot: int, percent: int):
+    """A row for every line that has words: its size, parity bitmap, how many of its first words are not
+    hot, two prints of its set, and its first words."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        level, words = shared.value, W.Words(False, lanes=2)
+        for batch in batches:
+            d, prints = batch.column(0).to_numpy(), batch.column(1).to_numpy()
+            data, off = W.buffers(batch.column(2))
+            for i, j, part, feeds, line in _blocks(data, off):
+                of, first, second, rank = _sets(words, part, feeds, level)
+                if not len(of):
+                    continue
+                begin = np.flatnonzero(np.concatenate([[True], of[1:] != of[:-1]]))
+                n = np.diff(np.append(begin, len(of)))
+                there = of[begin]
+                ds, lks = _numbered(i, j, off, feeds, line, d, prints)
+                parity = np.bitwise_xor.reduceat(np.uint64(1) << ((first >> np.uint64(24)) & np.uint64(63)), begin)
+                f1, f2 = np.add.reduceat(W.mix64(first), begin), np.add.reduceat(W.mix64(second ^ np.uint64(0x5BD1E995)), begin)
+                size = n - -(-n * percent // 100) + 1
+                pos = np.arange(len(of)) - np.repeat(begin, n)
+                head = pos < np.repeat(size, n)
+                cold = np.add.reduceat((head & (rank < hot)).astype(np.int64), begin)
+                spelled = (first[head] >> np.uint64(32)).astype(np.uint32).view(np.int32)
+                lists = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(size)]).astype(np.int32)), pa.array(spelled))
+                longs = [pa.array(x.astype(np.int64) if x.dtype != np.uint64 else x.view(np.int64)) for x in (ds[there], lks[there], n, parity, cold, f1, f2)]
+                yield pa.RecordBatch.from_arrays([*longs, lists], _LINES)
+
+    return run
 
 
-def _words(line: Column, levels: Column) -> Column:
-    """Distinct words of a line as numbers, level above hash, rarest first."""
-
-    def number(word: Column) -> Column:
-        h = F.xxhash64(word)
-        return F.shiftleft(F.get(levels, h.bitwiseAND(F.lit(CLASSES - 1)).cast("int")).cast("long"), _BITS).bitwiseOR(h.bitwiseAND(F.lit((1 << _BITS) - 1)))
-
-    return F.sort_array(F.array_distinct(F.transform(_split(line), number)))
+def _leads(docs: DataFrame, percent: int) -> DataFrame:
+    """The earliest line of every set of words: d, lk, n, parity, cold, head."""
+    level, hot = _levels(docs)
+    shared = docs.sparkSession.sparkContext.broadcast(level)
+    rows = docs.mapInArrow(_prefixes(shared, hot, percent), "d long, lk long, n long, parity long, cold long, f1 long, f2 long, head array<int>")
+    first = F.min(F.struct("d", "lk", "n", "parity", "cold", "head")).alias("first")
+    return rows.groupBy("f1", "f2").agg(first).select("first.*")
 
 
 def _needs(overlap: Column, percent: int, a: Column, b: Column) -> Column:
     return overlap * (100 + percent) >= (a + b) * percent
 
 
-def _leads(docs: DataFrame, percent: int) -> DataFrame:
-    """The earliest line of every set of words: d, lk, n, parity bitmap, its first words and how many
-    of these are not hot."""
-    rows = _lines(docs).select("d", "lk", _words(F.col("line"), _levels(docs)).alias("words")).where(F.size("words") > 0)
-    n = F.size("words")
-    head = F.slice("words", F.lit(1), n - F.floor((n * percent + 99) / 100).cast("int") + 1)
-    parity = F.aggregate("words", F.lit(0).cast("long"), lambda bits, w: bits.bitwiseXOR(F.call_function("shiftleft", F.lit(1).cast("long"), F.shiftright(w, 20).bitwiseAND(F.lit(63)).cast("int"))))
-    hot = F.lit(int(_level(HOT)) << _BITS)
-    rows = rows.select("d", "lk", n.alias("n"), parity.alias("parity"), F.xxhash64("words").alias("f1"), F.xxhash64(F.lit(1), "words").alias("f2"), head.alias("head"))
-    rows = rows.select(
-        "d", "lk", "n", "parity", "f1", "f2",
-        F.size(F.filter("head", lambda w: w < hot)).alias("cold"),
-        F.transform("head", lambda w: (w.bitwiseAND(F.lit(0xFFFFFFFF)) - F.lit(1 << 31)).cast("int")).alias("head"),
-    )
-    first = F.min(F.struct("d", "lk", "n", "parity", "cold", "head")).alias("first")
-    return rows.groupBy("f1", "f2").agg(first).select("first.*")
-
-
 def _heads(leads: DataFrame) -> DataFrame:
     """One row for each first word: packed is the size, the place and whether the line still looks for a partner."""
     rows = leads.select("d", "lk", "n", "parity", "cold", "open", F.posexplode("head").alias("pos", "word"))
@@ -128,7 +196,8 @@ def _pairs(x: DataFrame, y: DataFrame, on: list[str], percent: int) -> DataFrame
     condition = _possible(percent)
     for c in same:
         condition = c & condition
-    return x.alias("x").join(y.alias("y"), condition).select(F.col("x.d").alias("xd"), F.col("x.lk").alias("xk"), F.col("y.d").alias("yd"), F.col("y.lk").alias("yk"))
+    miss = F.bit_count(F.col("x.parity").bitwiseXOR(F.col("y.parity"))).alias("miss")
+    return x.alias("x").join(y.alias("y"), condition).select(F.col("x.d").alias("xd"), F.col("x.lk").alias("xk"), F.col("y.d").alias("yd"), F.col("y.lk").alias("yk"), miss)
 
 
 def _bands(heads: DataFrame, percent: int, near: bool) -> DataFrame:
@@ -138,29 +207,87 @@ def _bands(heads: DataFrame, percent: int, near: bool) -> DataFrame:
     return heads.withColumn("band", F.explode(F.array(band - 1, band, band + 1)) if near else band)
 
 
-def _asked(lines: DataFrame, pairs: DataFrame, scratch: Scratch, name: str) -> DataFrame:
-    """Those of ``lines`` that ``pairs`` name, and a few more: a bitmap of at most FILTER bits is sent to
-    the lines, so that others are not shuffled."""
-    wanted = pairs.select(F.xxhash64("xd", "xk").alias("h")).union(pairs.select(F.xxhash64("yd", "yk"))).distinct()
-    wanted = scratch.save(wanted, f"{name}-wanted")
-    size = min(FILTER, max(1 << 15, 1 << math.ceil(math.log2(16 * max(1, wanted.count())))))
-    place = F.pmod("h", F.lit(size)) + 1
-    marked = wanted.groupBy(F.bitmap_bucket_number(place).alias("bucket")).agg(F.bitmap_construct_agg(F.bitmap_bit_position(place)).alias("bits"))
-    rows = lines.withColumn("h", F.xxhash64("d", "lk")).withColumn("place", place)
-    rows = rows.withColumns({"bucket": F.bitmap_bucket_number("place"), "at": F.bitmap_bit_position("place").cast("int")}).join(F.broadcast(marked), "bucket")
-    byte = F.conv(F.hex(F.expr("substring(bits, at div 8 + 1, 1)")), 16, 10).cast("int")
-    hit = F.call_function("shiftright", byte, F.expr("int(at % 8)")).bitwiseAND(F.lit(1)) == 1
-    return rows.where(hit).select("d", "lk", "line").dropDuplicates(["d", "lk"])
+def _key(d: np.ndarray, lk: np.ndarray) -> np.ndarray:
+    return W.mix64(W.mix64(d.view(np.uint64)) ^ lk.view(np.uint64))
+
+
+def _places(size: int):
+    """Places of lines (d, lk) in a filter of so many bits."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            at = (_key(batch.column(0).to_numpy(), batch.column(1).to_numpy()) % np.uint64(size)).astype(np.int64)
+            yield pa.RecordBatch.from_arrays([pa.array(at)], ["place"])
 
+    return run
 
-def _confirmed(lines: DataFrame, pairs: DataFrame, percent: int, scratch: Scratch, name: str) -> DataFrame:
-    """(d, lk) of the later lines of those pairs whose words match."""
-    texts = scratch.save(_asked(lines, pairs, scratch, name), f"{name}-lines")
-    both = pairs.join(texts.select(F.col("d").alias("xd"), F.col("lk").alias("xk"), F.col("line").alias("x")), ["xd", "xk"])
-    both = both.join(texts.select(F.col("d").alias("yd"), F.col("lk").alias("yk"), F.col("line").alias("y")), ["yd", "yk"])
-    x, y = F.array_distinct(_split(F.col("x"))), F.array_distinct(_split(F.col("y")))
-    match = _needs(F.size(F.array_intersect(x, y)), percent, F.size(x), F.size(y))
-    return scratch.save(both.where(match).select(F.col("yd").alias("d"), F.col("yk").alias("lk")).distinct(), f"{name}-matched")
+
+def _wanted_sets(shared, size: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        bits, words = shared.value, W.Words(False)
+        for batch in batches:
+            d, prints = batch.column(0).to_numpy(), batch.column(1).to_numpy()
+            data, off = W.buffers(batch.column(2))
+            for i, j, part, feeds, line in _blocks(data, off):
+                ds, lks = _numbered(i, j, off, feeds, line, d, prints)
+                at = _key(ds, lks) % np.uint64(size)
+                pick = np.flatnonzero((bits[(at >> np.uint64(3)).astype(np.int64)] >> (at & np.uint64(7)).astype(np.uint8)) & 1)
+                if not len(pick):
+                    continue
+                begin = np.concatenate([[0], feeds[:-1] + 1])[pick]
+                some = np.concatenate([part[a:b] for a, b in zip(begin.tolist(), (feeds[pick] + 1).tolist(), strict=True)])
+                of, first, _, _ = _sets(words, some, np.flatnonzero(some == _FEED), None)
+                ends = np.searchsorted(of, np.arange(len(pick) + 1))
+                packed = pa.array([first[a:b].tobytes() for a, b in zip(ends[:-1], ends[1:], strict=True)], pa.binary())
+                yield pa.RecordBatch.from_arrays([pa.array(ds[pick]), pa.array(lks[pick]), packed], ["d", "lk", "words"])
+
+    return run
+
+
+def _asked(docs: DataFrame, pairs: DataFrame, scratch: Scratch, name: str) -> DataFrame:
+    """(d, lk, words) of the lines that ``pairs`` name, and of a few more: a bitmap of at most FILTER bits
+    goes to the documents, so that other lines are neither cut into words nor shuffled."""
+    wanted = pairs.select(F.col("xd").alias("d"), F.col("xk").alias("lk")).union(pairs.select("yd", "yk")).distinct()
+    wanted = scratch.save(wanted, f"{name}-wanted")
+    size = min(FILTER, max(1 << 15, 1 << math.ceil(math.log2(16 * max(1, wanted.count())))))
+    place = wanted.mapInArrow(_places(size), "place long").select((F.col("place") + 1).alias("place"))
+    marked = place.groupBy(F.bitmap_bucket_number("place").alias("bucket")).agg(F.bitmap_construct_agg(F.bitmap_bit_position("place")).alias("bits"))
+    bits = np.zeros(size // 8, np.uint8)
+    for r in marked.collect():  # a row of 4 KB for each 32768 bits
+        lo = (r["bucket"] - 1) * 4096
+        bits[lo : lo + 4096] = np.frombuffer(r["bits"], np.uint8)[: len(bits) - lo]
+    shared = docs.sparkSession.sparkContext.broadcast(bits)
+    return docs.mapInArrow(_wanted_sets(shared, size), "d long, lk long, words binary").dropDuplicates(["d", "lk"])
+
+
+def _alike(percent: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            keep = np.zeros(batch.num_rows, np.bool_)
+            for k in range(batch.num_rows):
+                x, y = (np.frombuffer(batch.column(c)[k].as_buffer(), np.uint64) for c in (2, 3))
+                keep[k] = len(np.intersect1d(x, y, assume_unique=True)) * (100 + percent) >= (len(x) + len(y)) * percent
+            yield pa.RecordBatch.from_arrays([batch.column(c).filter(pa.array(keep)) for c in (0, 1)], ["d", "lk"])
+
+    return run
+
+
+def _confirmed(docs: DataFrame, pairs: DataFrame, percent: int, scratch: Scratch, name: str) -> DataFrame:
+    """(d, lk) of the later lines of those pairs whose words match; the likeliest partner of each line is
+    looked at first, and all others only where that one does not match."""
+    sets = scratch.save(_asked(docs, pairs, scratch, name), f"{name}-sets")
+
+    def matching(some: DataFrame, turn: str) -> DataFrame:
+        both = some.join(sets.select(F.col("d").alias("xd"), F.col("lk").alias("xk"), F.col("words").alias("x")), ["xd", "xk"])
+        both = both.join(sets.select(F.col("d").alias("yd"), F.col("lk").alias("yk"), F.col("words").alias("y")), ["yd", "yk"])
+        both = both.select(F.col("yd").alias("d"), F.col("yk").alias("lk"), "x", "y")
+        return scratch.save(both.mapInArrow(_alike(percent), "d long, lk long").distinct(), f"{name}-{turn}")
+
+    best = pairs.groupBy("yd", "yk").agg(F.min(F.struct("miss", "xd", "xk")).alias("best")).select("yd", "yk", "best.xd", "best.xk")
+    found = matching(best, "best")
+    known = found.select(F.col("d").alias("yd"), F.col("lk").alias("yk"))
+    rest = pairs.join(known, ["yd", "yk"], "left_anti").join(best, ["yd", "yk", "xd", "xk"], "left_anti")
+    return found.union(matching(rest, "rest"))
 
 
 def similar_lines(docs: DataFrame, percent: int = 80, scratch: Scratch | None = None) -> DataFrame:
@@ -174,16 +301,16 @@ def similar_lines(docs: DataFrame, percent: int = 80, scratch: Scratch | None =
     text are one document read twice: their lines have the same answers.  A null doc_id comes first
     (as does -2**63, which is taken for null).  An empty table gives an empty result.
     """
-    scratch = scratch or Scratch(docs.sparkSession, "lines")
+    own, scratch = scratch is None, scratch or Scratch(docs.sparkSession, "lines")
     docs = docs.select("doc_id", "text")
-    lines = _lines(docs)
-    leads = scratch.save(_leads(docs, percent), "leads").withColumn("open", F.lit(True))
+    texts = _documents(docs)
+    leads = scratch.save(_leads(texts, percent), "leads").withColumn("open", F.lit(True))
 
     hot = scratch.save(_heads(leads.where(F.col("cold") < F.size("head"))).where("hot").drop("hot"), "hot")
     first = Window.partitionBy("word").orderBy("d", "lk")
     centers = hot.withColumn("turn", F.row_number().over(first)).where(F.col("turn") <= CENTERS)
     pairs = scratch.save(_pairs(centers, hot, ["word"], percent).distinct(), "near-centers")
-    matched = _confirmed(lines, pairs, percent, scratch, "centers")
+    matched = scratch.save(_confirmed(texts, pairs, percent, scratch, "centers"), "matched")
     if not matched.isEmpty():
         found = matched.withColumn("found", F.lit(True))
         leads = leads.drop("open").join(found, ["d", "lk"], "left").withColumn("open", F.col("found").isNull())
@@ -194,12 +321,16 @@ def similar_lines(docs: DataFrame, percent: int = 80, scratch: Scratch | None =
     beside = _bands(hot.where(F.col("packed").bitwiseAND(F.lit(1)) == 1), percent, True)
     pairs = pairs.union(_pairs(_bands(hot, percent, False), beside, ["word", "band"], percent))
     pairs = scratch.save(pairs.distinct(), "pairs")
-    matched = matched.union(_confirmed(lines, pairs, percent, scratch, "all")).distinct()
+    matched = matched.union(_confirmed(texts, pairs, percent, scratch, "all")).distinct()
 
     kept = scratch.save(leads.select("d", "lk").join(matched, ["d", "lk"], "left_anti"), "kept").withColumn("stays", F.lit(True))
-    words = F.size(F.array_distinct(_split(F.col("line")))).cast("long")
+    if own:
+        scratch.only("kept")
+    lines = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(_NULL)).alias("d"), F.xxhash64(_text()).alias("print"), F.posexplode(F.split(_text(), "\n")).alias("line_no", "line"))
+    lk = F.shiftleft(F.col("line_no").cast("long"), 32).bitwiseOR(F.col("print").bitwiseAND(F.lit(0xFFFFFFFF)))
     some = F.col("line").rlike("[^\\x20\\x09-\\x0D]")
-    out = lines.select("d", "print", "lk", "line_no", words.alias("n_words"), some.alias("some")).join(kept, ["d", "lk"], "left")
+    n_words = F.size(F.array_distinct(F.array_remove(F.split("line", "[\\x20\\x09-\\x0D]+"), ""))).cast("long")
+    out = lines.select("d", "print", lk.alias("lk"), "line_no", n_words.alias("n_words"), some.alias("some")).join(kept, ["d", "lk"], "left")
     return out.select(F.nullif("d", F.lit(_NULL)).alias("doc_id"), "print", "line_no", "n_words", (F.col("some") & F.col("stays").isNull()).alias("removed"))
 
 
