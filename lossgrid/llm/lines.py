@@ -124,11 +124,11 @@ def _sets(words: W.Words, part: np.ndarray, feeds: np.ndarray, level: np.ndarray
     return line[new], first[new], second, rank[new]
 
 
-_LINES = ["d", "lk", "n", "parity", "cold", "f1", "f2", "head"]
+_LINES = ["d", "lk", "n", "parity", "parity2", "cold", "f1", "f2", "head"]
 
 
 def _prefixes(shared, hot: int, percent: int):
-    """A row for every line that has words: its size, parity bitmap, how many of its first words are not
+    """A row for every line that has words: its size, parity bitmap (two numbers), how many of its first words are not
     hot, two prints of its set, and its first words."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -144,7 +144,8 @@ def _prefixes(shared, hot: int, percent: int):
                 n = np.diff(np.append(begin, len(of)))
                 there = of[begin]
                 ds, lks = _numbered(i, j, off, feeds, line, d, prints)
-                parity = np.bitwise_xor.reduceat(np.uint64(1) << ((first >> np.uint64(24)) & np.uint64(63)), begin)
+                bit, half = np.uint64(1) << ((first >> np.uint64(24)) & np.uint64(63)), (first >> np.uint64(30)) & np.uint64(1)
+                parity, parity2 = (np.bitwise_xor.reduceat(np.where(half == k, bit, np.uint64(0)), begin) for k in (0, 1))
                 f1, f2 = np.add.reduceat(W.mix64(first), begin), np.add.reduceat(W.mix64(second ^ np.uint64(0x5BD1E995)), begin)
                 size = n - -(-n * percent // 100) + 1
                 pos = np.arange(len(of)) - np.repeat(begin, n)
@@ -152,7 +153,7 @@ def _prefixes(shared, hot: int, percent: int):
                 cold = np.add.reduceat((head & (rank < hot)).astype(np.int64), begin)
                 spelled = (first[head] >> np.uint64(32)).astype(np.uint32).view(np.int32)
                 lists = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(size)]).astype(np.int32)), pa.array(spelled))
-                longs = [pa.array(x.astype(np.int64) if x.dtype != np.uint64 else x.view(np.int64)) for x in (ds[there], lks[there], n, parity, cold, f1, f2)]
+                longs = [pa.array(x.astype(np.int64) if x.dtype != np.uint64 else x.view(np.int64)) for x in (ds[there], lks[there], n, parity, parity2, cold, f1, f2)]
                 yield pa.RecordBatch.from_arrays([*longs, lists], _LINES)
 
     return run
@@ -162,8 +163,8 @@ def _leads(docs: DataFrame, percent: int) -> DataFrame:
     """The earliest line of every set of words: d, lk, n, parity, cold, head."""
     level, hot = _levels(docs)
     shared = docs.sparkSession.sparkContext.broadcast(level)
-    rows = docs.mapInArrow(_prefixes(shared, hot, percent), "d long, lk long, n long, parity long, cold long, f1 long, f2 long, head array<int>")
-    first = F.min(F.struct("d", "lk", "n", "parity", "cold", "head")).alias("first")
+    rows = docs.mapInArrow(_prefixes(shared, hot, percent), "d long, lk long, n long, parity long, parity2 long, cold long, f1 long, f2 long, head array<int>")
+    first = F.min(F.struct("d", "lk", "n", "parity", "parity2", "cold", "head")).alias("first")
     return rows.groupBy("f1", "f2").agg(first).select("first.*")
 
 
@@ -172,10 +173,16 @@ def _needs(overlap: Column, percent: int, a: Column, b: Column) -> Column:
 
 
 def _heads(leads: DataFrame) -> DataFrame:
-    """One row for each first word: packed is the size, the place and whether the line still looks for a partner."""
-    rows = leads.select("d", "lk", "n", "parity", "cold", "open", F.posexplode("head").alias("pos", "word"))
-    packed = F.shiftleft(F.col("n").cast("long"), 32).bitwiseOR(F.shiftleft(F.col("pos").cast("long"), 1)).bitwiseOR(F.col("open").cast("long"))
-    return rows.select("word", "d", "lk", "parity", packed.alias("packed"), (F.col("pos") >= F.col("cold")).alias("hot"))
+    """One row for each first word: packed is the size, the place and, as its last bit, whether the line still
+    looks for a partner, which all do at first."""
+    rows = leads.select("d", "lk", "n", "parity", "parity2", "cold", F.posexplode("head").alias("pos", "word"))
+    packed = F.shiftleft(F.col("n").cast("long"), 32).bitwiseOR(F.shiftleft(F.col("pos").cast("long"), 1)).bitwiseOR(F.lit(1))
+    return rows.select("word", "d", "lk", "parity", "parity2", packed.alias("packed"), (F.col("pos") >= F.col("cold")).alias("hot"))
+
+
+def _apart() -> Column:
+    """Words that one of x and y has and the other has not, at least."""
+    return sum((F.bit_count(F.col(f"x.{c}").bitwiseXOR(F.col(f"y.{c}"))) for c in ("parity", "parity2")), F.lit(0))
 
 
 def _possible(percent: int) -> Column:
@@ -185,7 +192,7 @@ def _possible(percent: int) -> Column:
     before = (F.col("x.d") < F.col("y.d")) | ((F.col("x.d") == F.col("y.d")) & (F.col("x.lk") < F.col("y.lk")))
     length = (nx * 100 >= ny * percent) & (ny * 100 >= nx * percent)
     place = _needs(F.least(nx - px, ny - py), percent, nx, ny)
-    shared = F.shiftright(nx + ny - F.bit_count(F.col("x.parity").bitwiseXOR(F.col("y.parity"))), 1)
+    shared = F.shiftright(nx + ny - _apart(), 1)
     # with x in it, this is tested in the join, so that both sides of a self-join are one exchange
     opened = F.col("x.packed").bitwiseOR(F.lit(1)).bitwiseAND(F.col("y.packed")).bitwiseAND(F.lit(1)) == 1
     return opened & length & place & before & _needs(shared, percent, nx, ny)
@@ -196,7 +203,7 @@ def _pairs(x: DataFrame, y: DataFrame, on: list[str], percent: int) -> DataFrame
     condition = _possible(percent)
     for c in same:
         condition = c & condition
-    miss = F.bit_count(F.col("x.parity").bitwiseXOR(F.col("y.parity"))).alias("miss")
+    miss = _apart().alias("miss")
     return x.alias("x").join(y.alias("y"), condition).select(F.col("x.d").alias("xd"), F.col("x.lk").alias("xk"), F.col("y.d").alias("yd"), F.col("y.lk").alias("yk"), miss)
 
 
@@ -246,7 +253,8 @@ def _wanted_sets(shared, size: int):
 
 def _asked(docs: DataFrame, pairs: DataFrame, scratch: Scratch, name: str) -> DataFrame:
     """(d, lk, words) of the lines that ``pairs`` name, and of a few more: a bitmap of at most FILTER bits
-    goes to the documents, so that other lines are neither cut into words nor shuffled."""
+    goes to the documents, so that other lines are neither cut into words nor shuffled.  A document that
+    was read twice gives its lines twice."""
     wanted = pairs.select(F.col("xd").alias("d"), F.col("xk").alias("lk")).union(pairs.select("yd", "yk")).distinct()
     wanted = scratch.save(wanted, f"{name}-wanted")
     size = min(FILTER, max(1 << 15, 1 << math.ceil(math.log2(16 * max(1, wanted.count())))))
@@ -257,7 +265,7 @@ def _asked(docs: DataFrame, pairs: DataFrame, scratch: Scratch, name: str) -> Da
         lo = (r["bucket"] - 1) * 4096
         bits[lo : lo + 4096] = np.frombuffer(r["bits"], np.uint8)[: len(bits) - lo]
     shared = docs.sparkSession.sparkContext.broadcast(bits)
-    return docs.mapInArrow(_wanted_sets(shared, size), "d long, lk long, words binary").dropDuplicates(["d", "lk"])
+    return docs.mapInArrow(_wanted_sets(shared, size), "d long, lk long, words binary")
 
 
 def _alike(percent: int):
@@ -304,7 +312,7 @@ def similar_lines(docs: DataFrame, percent: int = 80, scratch: Scratch | None =
     own, scratch = scratch is None, scratch or Scratch(docs.sparkSession, "lines")
     docs = docs.select("doc_id", "text")
     texts = _documents(docs)
-    leads = scratch.save(_leads(texts, percent), "leads").withColumn("open", F.lit(True))
+    leads = scratch.save(_leads(texts, percent), "leads")
 
     hot = scratch.save(_heads(leads.where(F.col("cold") < F.size("head"))).where("hot").drop("hot"), "hot")
     first = Window.partitionBy("word").orderBy("d", "lk")
@@ -312,15 +320,14 @@ def similar_lines(docs: DataFrame, percent: int = 80, scratch: Scratch | None =
     pairs = scratch.save(_pairs(centers, hot, ["word"], percent).distinct(), "near-centers")
     matched = scratch.save(_confirmed(texts, pairs, percent, scratch, "centers"), "matched")
     if not matched.isEmpty():
-        found = matched.withColumn("found", F.lit(True))
-        leads = leads.drop("open").join(found, ["d", "lk"], "left").withColumn("open", F.col("found").isNull())
-        hot = hot.join(found, ["d", "lk"], "left").withColumn("packed", F.when(F.col("found"), F.col("packed").bitwiseAND(F.lit(-2))).otherwise(F.col("packed")))
+        hot = hot.join(matched.withColumn("found", F.lit(True)), ["d", "lk"], "left").withColumn("packed", F.when(F.col("found"), F.col("packed").bitwiseAND(F.lit(-2))).otherwise(F.col("packed")))
 
     heads = _heads(leads).where("not hot").drop("hot")
     pairs = _pairs(heads, heads, ["word"], percent)
     beside = _bands(hot.where(F.col("packed").bitwiseAND(F.lit(1)) == 1), percent, True)
     pairs = pairs.union(_pairs(_bands(hot, percent, False), beside, ["word", "band"], percent))
-    pairs = scratch.save(pairs.distinct(), "pairs")
+    pairs = pairs.distinct().join(matched.select(F.col("d").alias("yd"), F.col("lk").alias("yk")), ["yd", "yk"], "left_anti")
+    pairs = scratch.save(pairs, "pairs")
     matched = matched.union(_confirmed(texts, pairs, percent, scratch, "all")).distinct()
 
     kept = scratch.save(leads.select("d", "lk").join(matched, ["d", "lk"], "left_anti"), "kept").withColumn("stays", F.lit(True))
