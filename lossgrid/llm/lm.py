@@ -38,6 +38,8 @@ END = np.uint64(0x454E44)
 FLUSH = 1 << 22
 #: A word with more tokens has several parts; a part is meant for a quarter of it, a task for four times it.
 PART = 1 << 19
+#: So has a word with more than this share of all tokens, so that small and large corpora go the same way.
+HEAVY = 1 / 200
 _SHIFT = np.int64(21)
 
 
@@ -288,7 +290,7 @@ def _send(shared, hot: np.ndarray, ways: np.ndarray, parts: int):
     def packed(held: list) -> Iterator[pa.RecordBatch]:
         far, mid, last, rows, trained = (np.concatenate(x) for x in zip(*held, strict=True))
         part = _parts_of(far, mid, hot, ways, parts)
-        by = np.lexsort((mid, part))
+        by = np.lexsort((last, mid, part))  # repeated bigrams side by side take little room
         part = part[by]
         cuts = np.flatnonzero(np.concatenate([[True], part[1:] != part[:-1], [True]]))
         columns = [x[by] for x in (mid, far, last, rows, trained)]
@@ -433,7 +435,7 @@ def _score_in_parts(rows: DataFrame, counted: tuple, scratch: Scratch, order: in
     shared = spark.sparkContext.broadcast(model)
     tasks = max(spark.sparkContext.defaultParallelism, math.ceil(total / (4 * PART)))
     parts = 16 * tasks
-    hot = np.flatnonzero((model.counts > PART) & (model.words != END)).astype(np.uint64)
+    hot = np.flatnonzero((model.counts > min(PART, HEAVY * total)) & (model.words != END)).astype(np.uint64)
     ways = np.minimum(parts, -(-model.counts[hot.astype(np.int64)] // PART) * 4).astype(np.uint64)
     numbered = rows.select(F.monotonically_increasing_id().alias("row"), "doc_id", "held_out", "text")
     sent = numbered.mapInArrow(_send(shared, hot, ways, parts), _SENT_TYPES)
@@ -458,7 +460,7 @@ def language_model_scores(docs: DataFrame, folds: int = 7, held: int = 2, order:
 
     Returns doc_id, held_out, n_tokens, n_known, train_tokens, base_score (add-one unigrams), score.
     """
-    scratch = scratch or Scratch(docs.sparkSession, "lm")
+    own, scratch = scratch is None, scratch or Scratch(docs.sparkSession, "lm")
     out = F.coalesce(remainder(F.col("doc_id"), folds) == held, F.lit(False))
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), out.alias("held_out"), W.terminated(F.col("text")).alias("text"))
     counted = count_words(rows.where("not held_out"), scratch)
@@ -478,7 +480,7 @@ def language_model_scores(docs: DataFrame, folds: int = 7, held: int = 2, order:
     rare = rare.groupBy("row").agg(F.sum(base).alias("more_base"), F.sum(F.log10(F.col("share") + F.col("left") * p1)).alias("more"), F.sum((known > 0).cast("long")).alias("more_known"))
     joined = whole.join(rare, "row", "left")
     nought = F.lit(0.0)
-    return joined.select(
+    out = joined.select(
         "doc_id",
         "held_out",
         "n_tokens",
@@ -487,3 +489,4 @@ def language_model_scores(docs: DataFrame, folds: int = 7, held: int = 2, order:
         (F.col("base") + F.coalesce("more_base", nought)).alias("base_score"),
         (F.coalesce("score", nought) + F.coalesce("more", nought)).alias("score"),
     )
+    return scratch.finish(out) if own else out
