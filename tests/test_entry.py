@@ -53,6 +53,11 @@ def test_whole_tables(spark):
     assert sorted((r["l_orderkey"], r["l_linenumber"], r["k"], float(r["v"])) for r in registry.queries()["op_unpivot"](spark, sf).collect()) == want
 
 
+def test_gains_come_from_the_events(spark):
+    small, large = (tuple(registry.queries()["paper_gain_table"](spark, f"/root/testdata/sf{n}").first()) for n in ("0.001", "0.01"))
+    assert small != large and None not in small + large
+
+
 @pytest.mark.parametrize("name", ["stream_incremental_grid", "stream_tag"])
 def test_streams_equal_batches(spark, sf, name):
     from lossgrid.operators.grid import gridify
