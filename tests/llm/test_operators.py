@@ -756,3 +756,16 @@ def test_lines_of_repeated_ids_and_large_groups(spark, monkeypatch):
         want[i, p, k] = any(180 * len(s & o) >= 80 * (len(s) + len(o)) for o in seen)
         seen.append(s)
     assert got == want and sum(want.values()) > 50
+
+
+def test_lines_run_no_python(spark, monkeypatch):
+    """Lines are cut and compared by DataFrame functions only; every kind of white space parts words."""
+
+    def refuse(*_, **__):
+        raise AssertionError("Python on the executors")
+
+    for name in ("mapInArrow", "mapInPandas"):
+        monkeypatch.setattr(type(spark.range(1)), name, refuse)
+    rows = [(1, "a b c d e\n\n x"), (2, "e\td\rc\x0bb\x0ca\n   \nx y"), (3, "a b c d e f\nonly here"), (4, None), (5, "a b c d g h\nx")]
+    got = lines.line_report(lines.similar_lines(spark.createDataFrame(rows, "doc_id long, text string"))).collect()
+    assert {r["doc_id"]: (r["n_lines"], list(r["removed_lines"])) for r in got} == {1: (3, []), 2: (3, [0]), 3: (2, [0]), 4: (1, []), 5: (2, [1])}
