@@ -769,3 +769,11 @@ def test_lines_run_no_python(spark, monkeypatch):
     rows = [(1, "a b c d e\n\n x"), (2, "e\td\rc\x0bb\x0ca\n   \nx y"), (3, "a b c d e f\nonly here"), (4, None), (5, "a b c d g h\nx")]
     got = lines.line_report(lines.similar_lines(spark.createDataFrame(rows, "doc_id long, text string"))).collect()
     assert {r["doc_id"]: (r["n_lines"], list(r["removed_lines"])) for r in got} == {1: (3, []), 2: (3, [0]), 3: (2, [0]), 4: (1, []), 5: (2, [1])}
+
+
+def test_lines_keep_levels_out_of_plans(spark):
+    """The levels of all classes are in no text of a plan, which the driver keeps, and in no row."""
+    docs = spark.createDataFrame([(1, "a b c d e\na b c d f"), (2, "x y\n\nz")], "doc_id long, text string")
+    plan = lines._leads(lines._lines(docs), 80)._jdf.queryExecution()
+    assert len(plan.toString()) < 100_000
+    assert "levels" in plan.analyzed().toString() and "levels" not in plan.optimizedPlan().toString()
