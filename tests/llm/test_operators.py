@@ -777,3 +777,38 @@ def test_lines_keep_levels_out_of_plans(spark):
     plan = lines._leads(lines._lines(docs), 80)._jdf.queryExecution()
     assert len(plan.toString()) < 100_000
     assert "levels" in plan.analyzed().toString() and "levels" not in plan.optimizedPlan().toString()
+
+
+def test_lines_long_and_of_other_lengths(spark):
+    """Lines of up to 300 words around 80 %: the report of whole documents, the one of lines and a plain comparison
+    agree, and bitmaps leave few pairs of long lines that share some words only."""
+    rng = random.Random(23)
+    vocabulary = [f"v{k}" for k in range(2500)]
+    texts = [rng.sample(vocabulary, rng.randrange(150, 260)) for _ in range(150)]
+    short = [rng.sample(vocabulary, rng.randrange(2, 30)) for _ in range(60)]
+    near = []
+    for w in texts[:60] + short:
+        gone = rng.randrange(0, len(w) // 4 + 1)
+        near.append(w[gone:] if rng.random() < 0.5 else w + [f"x{rng.randrange(10**6)}" for _ in range(gone)])
+    every = [" ".join(w) for w in texts + short + near] + ["", "\t "]
+    rng.shuffle(every)
+    rows = [(k // 4 if k // 4 else None, t) for k, t in enumerate("\n".join(every[i : i + 3]) for i in range(0, len(every), 3))] + [(7, every[0]), (7, every[0])]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    prints = {(r[0], r[1]): r[2] for r in docs.selectExpr("doc_id", "text", "xxhash64(text)").collect()}
+    order = sorted({(-(1 << 63) if i is None else i, k, prints[i, t] & 0xFFFFFFFF, t, line) for i, t in rows for k, line in enumerate(t.split("\n"))})
+    seen, gone = [], {}
+    for i, k, _, t, line in order:
+        s = frozenset(words(line))
+        gone.setdefault((i, t), []).extend([k] if s and any(100 * len(s & o) >= 80 * len(s | o) for o in seen) else [])
+        seen.append(s)
+    want = sorted((i, t.count("\n") + 1, len(g), sorted(g)) for (i, t), g in gone.items())
+    assert sum(r[2] for r in want) > 50
+
+    def report(df):
+        return sorted((-(1 << 63) if r["doc_id"] is None else r["doc_id"], r["n_lines"], r["n_removed"], list(r["removed_lines"])) for r in df.collect())
+
+    assert report(lines.removed_lines(docs)) == want == report(lines.line_report(lines.similar_lines(docs)))
+    leads = lines._leads(lines._lines(docs.where("doc_id > 0")), 80)
+    longer = lines._heads(leads.where("n > 140")).drop("hot")
+    met = lines._cold_pairs(longer, 80).select("xd", "xk", "yd", "yk").distinct().count()
+    assert met < 200  # of lines that share a first word, thousands; of similar ones, some 30
